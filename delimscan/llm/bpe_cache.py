@@ -21,14 +21,10 @@ SIGN[[b for b in range(33, 127) if not LETTER[b] and b != 39]] = True
 _ENCODERS: dict[tuple[str, int], ChunkEncoder] = {}
 
 
-class ChunkEncoder:
-    def __init__(self, path: str, room: int = 600_000):
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
+class ChunkMemory:
+    """Encodes texts through the ids of their distinct chunks, of which about ``room`` are remembered."""
 
-        self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
-        self.mark = self.tok.encode(" " + MARK, add_special_tokens=False).ids  # ends with an id that only this character has
+    def __init__(self, room: int):
         self.room = room
         self._clear()
 
@@ -39,41 +35,31 @@ class ChunkEncoder:
         self.start = np.zeros(1 << 12, np.int64)
         self.count = np.zeros(1 << 12, np.int64)
 
-    def _learn(self, chunks: list[str]) -> None:
-        """Encode new chunks: those that begin with white space many to a call, parted by the mark; others one by one."""
-        joined = [c[0] in WHITE and MARK not in c for c in chunks]
-        many = [c for c, j in zip(chunks, joined, strict=True) if j]
-        one = [c for c, j in zip(chunks, joined, strict=True) if not j]
-        chunks = many + one
-        parts, counts = [], []
-        texts = [(" " + MARK).join(many[i : i + TOGETHER]) for i in range(0, len(many), TOGETHER)]
-        for e in self.tok.encode_batch_fast(texts, add_special_tokens=False):
-            ids = np.array(e.ids, np.uint32)
-            ends = np.flatnonzero(ids == self.mark[-1]) + 1 - len(self.mark)
-            begins = np.append(0, ends + len(self.mark))
-            ends = np.append(ends, len(ids))
-            counts.append(ends - begins)
-            parts.append(ragged_take(ids, begins, ends - begins))
-        for e in self.tok.encode_batch_fast(one, add_special_tokens=False):
-            parts.append(np.array(e.ids, np.uint32))
-            counts.append(np.array([len(e.ids)]))
-        n, base = np.concatenate(counts).astype(np.int64), len(self.known)
-        new, ids = np.concatenate(parts), chunks
+    def cut(self, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
+        raise NotImplementedError
+
+    def encode_chunks(self, chunks: list[str]) -> tuple[list[str], np.ndarray, np.ndarray]:
+        """``(chunks in the order of the ids, ids, number of ids of each)``."""
+        raise NotImplementedError
+
+    def _learn(self, fresh: list[str]) -> None:
+        base = len(self.known)
+        chunks, new, n = self.encode_chunks(fresh)
         while self.used + len(new) > len(self.flat):
             self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
-        while base + len(ids) > len(self.start):
+        while base + len(chunks) > len(self.start):
             self.start, self.count = (np.concatenate([x, np.zeros_like(x)]) for x in (self.start, self.count))
         self.flat[self.used : self.used + len(new)] = new
-        self.start[base : base + len(ids)] = self.used + np.cumsum(n) - n
-        self.count[base : base + len(ids)] = n
+        self.start[base : base + len(chunks)] = self.used + np.cumsum(n) - n
+        self.count[base : base + len(chunks)] = n
         self.used += len(new)
-        self.known.update(zip(chunks, range(base, base + len(ids)), strict=True))
+        self.known.update(zip(chunks, range(base, base + len(chunks)), strict=True))
 
     def encode(self, raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """``(ids, per-text offsets into ids)`` for a concatenation of UTF-8 texts."""
         if not raw.size:
             return np.zeros(0, np.uint32), np.zeros(len(off), np.int64)
-        cut = chunk_starts(raw, off)
+        cut = self.cut(raw, off)
         chunks = pa.LargeStringArray.from_buffers(len(cut), pa.py_buffer(np.append(cut, len(raw)).astype(np.int64)), pa.py_buffer(np.ascontiguousarray(raw)))
         coded = pc.dictionary_encode(chunks)
         distinct = coded.dictionary.to_pylist()
@@ -86,6 +72,41 @@ class ChunkEncoder:
         return ragged_take(self.flat, self.start[own], self.count[own]), ends[np.searchsorted(cut, off)]
 
 
+class ChunkEncoder(ChunkMemory):
+    """Chunks encoded by the tokenizers library from a tokenizer file."""
+
+    def __init__(self, path: str, room: int = 600_000):
+        super().__init__(room)
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
+        from tokenizers import Tokenizer
+
+        self.tok = Tokenizer.from_file(path)
+        self.tok.encode_special_tokens = True
+        self.mark = self.tok.encode(" " + MARK, add_special_tokens=False).ids  # ends with an id that only this character has
+
+    def cut(self, raw: np.ndarray, off: np.ndarray) -> np.ndarray:
+        return chunk_starts(raw, off)
+
+    def encode_chunks(self, chunks: list[str]) -> tuple[list[str], np.ndarray, np.ndarray]:
+        """Chunks that begin with white space many to a call, parted by the mark; others one by one."""
+        joined = [c[0] in WHITE and MARK not in c for c in chunks]
+        many = [c for c, j in zip(chunks, joined, strict=True) if j]
+        one = [c for c, j in zip(chunks, joined, strict=True) if not j]
+        parts, counts = [np.zeros(0, np.uint32)], [np.zeros(0, np.int64)]
+        texts = [(" " + MARK).join(many[i : i + TOGETHER]) for i in range(0, len(many), TOGETHER)]
+        for e in self.tok.encode_batch_fast(texts, add_special_tokens=False):
+            ids = np.array(e.ids, np.uint32)
+            ends = np.flatnonzero(ids == self.mark[-1]) + 1 - len(self.mark)
+            begins = np.append(0, ends + len(self.mark))
+            ends = np.append(ends, len(ids))
+            counts.append(ends - begins)
+            parts.append(ragged_take(ids, begins, ends - begins))
+        for e in self.tok.encode_batch_fast(one, add_special_tokens=False):
+            parts.append(np.array(e.ids, np.uint32))
+            counts.append(np.array([len(e.ids)]))
+        return many + one, np.concatenate(parts), np.concatenate(counts).astype(np.int64)
+
+
 def chunk_starts(raw: np.ndarray, off: np.ndarray) -> np.ndarray:
     """Where a chunk begins: at each text, and at ASCII white space right after a character that is surely visible."""
     first = np.zeros(len(raw), bool)

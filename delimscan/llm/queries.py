@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import cascade, hash_tree, packing, simhash, token_files
+from . import cascade, curve_ann, hash_tree, html_text, packing, piece_codec, simhash, token_files
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,10 +18,22 @@ def _vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return piece_codec.codec_digest(_table(spark, sf_dir, "documents"), _vocabulary("piece_bpe_32k.model"))
+
+
+def op2_curve_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return curve_ann.search(_table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0, k=20)
+
+
 def op3_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(_table(spark, sf_dir, "documents"))
 
 
+def op4_page_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_text.extract_text(_table(spark, sf_dir, "pages"))
+
+
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(_table(spark, sf_dir, "documents"), _vocabulary("word_bpe_49k.json"), end_id=1, capacity=2048)
 
@@ -39,4 +52,4 @@ def op9_rule_cascade(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cascade.measured(_table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op3_simhash_groups, op5_packing, op6_token_files, op7_hash_tree_shards, op9_rule_cascade)}
+QUERIES = {f.__name__: f for f in (op1_piece_codec, op2_curve_neighbours, op3_simhash_groups, op4_page_text, op5_packing, op6_token_files, op7_hash_tree_shards, op9_rule_cascade)}
