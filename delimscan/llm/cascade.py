@@ -17,10 +17,10 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, let
+from .common import let
 
 GAP = r"[\x20\x09-\x0D]+"
-SAMPLE_ROWS = 512  # bound of the sample from which cost and rejection are estimated
+SAMPLE_ROWS, SAMPLE_BYTES = 512, 1 << 18  # bounds of the sample from which cost and rejection are estimated, and of a text in it
 
 
 @dataclass(frozen=True)
@@ -90,7 +90,8 @@ def _from_text(rule: Rule, t: Column, ws: Column) -> Column:
 
 def estimate(docs: DataFrame, rules: tuple[Rule, ...] = RULES, text_col: str = "text", sample_rows: int = SAMPLE_ROWS) -> list[tuple[Rule, float, float]]:
     """``(rule, seconds, rejection rate)`` of each rule on at most ``sample_rows`` rows, the best rejection per cost first."""
-    sample = durable(docs.select(_text(text_col).alias("t")).limit(sample_rows))
+    few = docs.select(_text(text_col).alias("t")).where(F.octet_length("t") <= SAMPLE_BYTES).limit(sample_rows).toArrow()  # reads as many partitions as it needs
+    sample = docs.sparkSession.createDataFrame(few)
     found = []
     for rule in rules:
         began = time.perf_counter()

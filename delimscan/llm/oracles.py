@@ -17,4 +17,21 @@ b AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_fail
 SELECT *, NOT base_failed AND NOT (100 * n_symbols > 20 * n_words) AND NOT (n_dup_lines > 5 AND 10 * n_dup_lines > n_words)
           AND NOT (word_chars < 2 * n_words OR word_chars > 100 * n_words) AS kept
 FROM b""",
+    "op10_url_lists": r"""
+WITH c AS (SELECT row_number() OVER () AS r, page_id, url, TIMESTAMP '2024-01-01' + to_days((page_id % 366)::INT) + to_hours((page_id % 24)::INT) AS fetched,
+                  lower(regexp_extract(coalesce(url, ''), '^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?(\[[^\]/?#]*\]|[^/?#:]*)', 1)) AS host,
+                  list_filter(string_split(regexp_extract(coalesce(url, ''), '^[a-zA-Z][a-zA-Z0-9+.-]*://[^/?#]*([^?#]*)', 1), '/'), lambda p: p <> '')[1:3] AS parts FROM pages),
+h AS (SELECT host, ('0x' || substr(md5(host), 1, 2))::INT AS m FROM (SELECT DISTINCT host FROM c WHERE host <> '')),
+e AS (SELECT 'spam' AS list, 'd:' || host AS pattern, 30 AS d, true AS act FROM h WHERE m % 3 = 0
+      UNION SELECT 'spam', 'd:' || host, 40, true FROM h WHERE m % 3 = 0
+      UNION SELECT 'spam', 'd:' || host, 100 + m, false FROM h WHERE m % 3 = 0
+      UNION SELECT 'spam', 'd:' || host, 300, true FROM h WHERE m % 6 = 0
+      UNION SELECT 'tracker', 'd:' || substr(host, strpos(host, '.') + 1), 120, true FROM h WHERE m % 5 = 0 AND strpos(host, '.') > 0
+      UNION SELECT 'section', 'p:' || host || '/en', 180, true FROM h WHERE m % 4 = 1),
+k AS (SELECT r, fetched, 'd:' || array_to_string(string_split(host, '.')[i:], '.') AS pattern FROM c, unnest(range(1, len(string_split(host, '.')) + 1)) AS u(i) WHERE host <> ''
+      UNION SELECT r, fetched, 'p:' || host || '/' || array_to_string(parts[1:i], '/') FROM c, unnest(range(1, len(parts) + 1)) AS u(i) WHERE host <> ''),
+a AS (SELECT r, list, pattern, arg_max(act, d * 2 + (NOT act)::INT) AS act FROM k JOIN e USING (pattern)
+      WHERE TIMESTAMP '2024-01-01' + to_days(d) <= fetched GROUP BY r, list, pattern),
+l AS (SELECT r, string_agg(DISTINCT list, ',' ORDER BY list) AS lists FROM a WHERE act GROUP BY r)
+SELECT page_id, url, fetched, coalesce(lists, '') AS lists, lists IS NOT NULL AS blocked FROM c LEFT JOIN l USING (r)""",
 }
