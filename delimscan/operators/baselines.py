@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.dialect import FLD_START, PLAIN, QUOTED, REC_START, Dfa, compile_dialect
+from ..functions.dialect import PLAIN, QUOTED, Dfa, compile_dialect
 from ..plans.reader import EXTRA, FILE, RECORD_NO, Options, _records, aligned_ranges, seed_table, summary_table
 from ..sources.files import durable, list_files, read_range, splits, spread
 from . import convert
@@ -110,7 +110,6 @@ def guess(data: np.ndarray, dfa: Dfa) -> int:
 def speculative(spark: SparkSession, path: str, schema: T.StructType, dialect="rfc4180", split_bytes: int = 1 << 20, rounds: int = 1000) -> tuple[DataFrame, int, int]:
     """Guess every split's start, parse, compare with the predecessor's end, parse misses again: ``(records, misses, rounds)``."""
     dfa = compile_dialect(dialect)
-    plain = {dfa.states.index(s) for s in (REC_START, PLAIN, FLD_START)}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -124,18 +123,16 @@ def speculative(spark: SparkSession, path: str, schema: T.StructType, dialect="r
     kind = "file string, split long, off long, len long, claimed int, end int, recs long, first_end long"
     ranges = splits(list_files(spark, path), split_bytes).withColumn("start", F.lit(None).cast("int"))
     found = durable(spread(ranges).mapInArrow(run, kind), "speculated")
-    same = F.array(*[F.lit(i in plain) for i in range(dfa.n_states)])
     misses = done = 0
     for done in range(1, rounds + 1):
-        true = F.coalesce(F.lag("end").over(Window.partitionBy("file").orderBy("split")), F.lit(dfa.start))
-        judged = found.withColumn("true", true)
-        # outside quotes the exact state matters only for a quote right at the edge, so a plain guess is compared in full
-        wrong = judged.where("claimed <> true").where(~(F.element_at(same, F.col("claimed") + 1) & F.element_at(same, F.col("true") + 1) & (F.col("claimed") == F.col("true"))))
+        want = F.coalesce(F.lag("end").over(Window.partitionBy("file").orderBy("split")), F.lit(dfa.start))
+        judged = found.withColumn("want", want)
+        wrong = judged.where("claimed <> want")
         n = wrong.count()
         if not n:
             break
         misses += n
-        again = spread(wrong.select("file", "split", "off", "len", F.col("true").alias("start"))).mapInArrow(run, kind)
+        again = spread(wrong.select("file", "split", "off", "len", F.col("want").alias("start"))).mapInArrow(run, kind)
         found = durable(found.join(wrong, ["file", "split"], "left_anti").unionByName(again), "speculated")
     return _from_states(spark, found, dfa, schema), misses, done
 

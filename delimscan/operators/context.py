@@ -8,6 +8,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions.dialect import Dfa
 from .chunking import byte_at
@@ -50,7 +51,7 @@ def transition_vectors(chunks: DataFrame, dfa: Dfa, data: str = "data", lane: in
             vectors = [block_vector(np.frombuffer(x or b"", np.uint8), dfa, lane).astype(np.int32).tolist() for x in b.column(len(keep)).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns[: len(keep)], pa.array(vectors, pa.list_(pa.int32()))], [*keep, "vector"])
 
-    kind = chunks.select(*keep).schema.add("vector", "array<int>")
+    kind = chunks.select(*keep).schema.add("vector", T.ArrayType(T.IntegerType()))
     return chunks.select(*keep, data).mapInArrow(run, kind)
 
 

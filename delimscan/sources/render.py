@@ -13,7 +13,7 @@ _RENDERED: dict[tuple[str, str, str], str] = {}
 def cell(c: Column, kind: str, quote: bool | None, sep: str = ",") -> Column:
     """A value as text: quoted always, never, or (None) where it needs to be; null is an unquoted nothing."""
     if kind.startswith("array"):
-        text = F.concat(F.lit("["), F.concat_ws(",", c.cast("array<string>")), F.lit("]"))
+        return F.coalesce(F.concat(F.lit("["), F.concat_ws(",", c.cast("array<string>")), F.lit("]")), F.lit(""))
     else:
         text = c.cast("string")
     quoted = F.concat(F.lit('"'), F.replace(text, F.lit('"'), F.lit('""')), F.lit('"'))

@@ -120,7 +120,12 @@ def parsed_rows(spark: SparkSession, out: str, schema: T.StructType) -> DataFram
 
 
 def cut(spark: SparkSession, path: str, partition_bytes: int) -> str:
-    """The files below ``path``, in name order, cut into slices of equal size: the arriving input of a stream."""
+    """The files below ``path``, in name order, cut into slices of equal size: the arriving input of a stream.
+
+    Slices are written one after the other with growing time stamps, as the file source takes them in that order.
+    """
+    import time
+
     from ..sources.files import _store, list_files, read_range, splits
 
     target = fresh_path(spark, "slices")
@@ -133,9 +138,10 @@ def cut(spark: SparkSession, path: str, partition_bytes: int) -> str:
                 store.create_dir(root, recursive=True)
                 with store.open_output_stream(f"{root}/s{files[file]:06d}-{split:09d}") as f:
                     f.write(read_range(file, off, size).tobytes())
+                time.sleep(0.004)
                 yield pa.RecordBatch.from_arrays([pa.array([size], pa.int64())], ["n"])
 
-    splits(list_files(spark, path), partition_bytes).mapInArrow(write, "n long").agg(F.sum("n")).first()
+    splits(list_files(spark, path), partition_bytes).coalesce(1).sortWithinPartitions("file", "split").mapInArrow(write, "n long").agg(F.sum("n")).first()
     return target
 
 
