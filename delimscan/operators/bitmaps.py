@@ -28,7 +28,7 @@ def build(chunks: DataFrame, dfa: Dfa, data: str = "data", state: str = "start_s
                 sizes.append(len(classes))
             yield pa.RecordBatch.from_arrays([*b.columns[: len(keep)], *[pa.array(m, pa.binary()) for m in maps], pa.array(sizes, pa.int32())], [*keep, "rec_bm", "fld_bm", "ctl_bm", "size"])
 
-    kind = chunks.select(*keep).schema.add("rec_bm", "binary").add("fld_bm", "binary").add("ctl_bm", "binary").add("size", "int")
+    kind = chunks.select(*keep).schema.add("rec_bm", "binary").add("fld_bm", "binary").add("ctl_bm", "binary").add("size", "integer")
     return chunks.select(*keep, data, state).mapInArrow(run, kind)
 
 
