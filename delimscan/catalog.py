@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .plans import parse_queries
+from .plans import parse_queries, relational
+from .streaming import event_time
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return dict(parse_queries.Q)
+    return parse_queries.Q | relational.Q | event_time.Q
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(parse_queries.SQL)
+    return parse_queries.SQL | relational.SQL | event_time.SQL

@@ -72,7 +72,7 @@ def parsed_frame(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """A table parsed back from its text: lazy, the two passes are planned once a session."""
     key = (spark.sparkContext.applicationId, sf_dir, name)
     if key not in _FRAMES:
-        _FRAMES[key] = parsed(spark, sf_dir, name).df.select(*frame(spark, sf_dir, name).columns)
+        _FRAMES[key] = parsed(spark, sf_dir, name, dialect="bracket_array" if name == "embeddings" else "rfc4180").df.select(*frame(spark, sf_dir, name).columns)
     return _FRAMES[key]
 
 
