@@ -145,9 +145,12 @@ def _platt(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
 def co_train(texts: list[str], metas: list[list[int]], y: np.ndarray, toxic: np.ndarray, pool_texts: list[str], pool_metas: list[list[int]], rounds: int = 3, share: float = 0.05, sure: float = 0.98, held: float = 0.3) -> CoModel:
     """``y``: 1 is good; ``toxic`` marks the bad documents that are bad by their words."""
     model = CoModel()
-    if y.min(initial=1) == y.max(initial=0):
+    if not len(y) or y.min() == y.max():
         return model
     fit = np.arange(len(y)) % 10 >= round(10 * held)
+    out = ~fit
+    if len(set(y[fit].tolist())) < 2 or not out.any():  # too few labels to hold any out
+        fit = out = np.ones(len(y), bool)
     model.lexicon = lexicon_of([t for t, f in zip(texts, fit, strict=True) if f], toxic[fit].astype(bool))
     rows = lambda ts: np.stack([model.text_row(t) for t in ts]) if ts else np.zeros((0, SHAPES + 2))
     a, b, pa_, pb = rows(texts), meta_matrix(metas), rows(pool_texts), meta_matrix(pool_metas)
@@ -164,7 +167,7 @@ def co_train(texts: list[str], metas: list[list[int]], y: np.ndarray, toxic: np.
         if r == rounds or not len(pool_texts):
             break
         for source, target, view, coef, x in ((0, 1, pa_, ta, a), (1, 0, pb, tb, b)):
-            s, c = _platt(x[~fit] @ coef, y[~fit])
+            s, c = _platt(x[out] @ coef, y[out])
             p = 1 / (1 + np.exp(-np.clip(s * (view @ coef) + c, -30, 30)))
             for label, order in ((1, np.argsort(-p, kind="stable")), (0, np.argsort(p, kind="stable"))):
                 part = y[fit].mean() if label else 1 - y[fit].mean()
@@ -172,7 +175,7 @@ def co_train(texts: list[str], metas: list[list[int]], y: np.ndarray, toxic: np.
                     if (p[i] if label else 1 - p[i]) >= sure:
                         lent[target].setdefault(int(i), label)
     model.text, model.meta, model.prior = ta, tb, base
-    model.scale = (_platt(a[~fit] @ ta, y[~fit]), _platt(b[~fit] @ tb, y[~fit]))
+    model.scale = (_platt(a[out] @ ta, y[out]), _platt(b[out] @ tb, y[out]))
     return model
 
 
