@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -58,18 +60,57 @@ def rank_of(text: Column) -> Column:
     return out.when(F.lower(t).isin("true", "false"), 9).otherwise(10)
 
 
+def type_of(top: int | None, lo: int | None, hi: int | None) -> str:
+    """Type of a column from its largest rung and the least and largest family (0: numbers) of its fields."""
+    if not top:
+        return "string"
+    mixed = lo != hi and (lo, hi) != (7, 8)
+    return "string" if mixed else LADDER[top]
+
+
+def rank_stats(column: pa.Array) -> tuple[int, int, int]:
+    """``(top, lo, hi)`` of an Arrow string column; ``(0, -1, -1)`` if no field votes."""
+    t = pc.utf8_trim_whitespace(column)
+    t = t.filter(pc.fill_null(pc.not_equal(t, ""), False))
+    ranks: set[int] = set()
+
+    def take(pattern: str) -> pa.Array:
+        nonlocal t
+        hit = pc.match_substring_regex(t, pattern)
+        found, t = t.filter(hit), t.filter(pc.invert(hit))
+        return found
+
+    if len(short := take(r"^[+-]?[0-9]{1,18}$")):
+        v = pc.min_max(pc.cast(pc.replace_substring_regex(short, r"^[+]", ""), pa.int64())).as_py()
+        ranks.add(next(k for k, b in ((1, 7), (2, 15), (3, 31), (4, 63)) if -(1 << b) <= v["min"] and v["max"] < 1 << b))
+    if len(t):
+        for x in take(r"^[+-]?[0-9]+$").to_pylist():
+            ranks.add(4 if -(1 << 63) <= int(x) < 1 << 63 else 5 if abs(int(x)) < 10**38 else 6)
+    if len(t) and len(take(r"^[+-]?([0-9]+\.?[0-9]*|\.[0-9]+)([eE][+-]?[0-9]+)?$")):
+        ranks.add(6)
+    for rung, pattern, kind in ((7, r"^[0-9]{4}-[0-9]{2}-[0-9]{2}$", pa.date32()), (8, r"^[0-9]{4}-[0-9]{2}-[0-9]{2}[ T][0-9]{2}:[0-9]{2}(:[0-9]{2}(\.[0-9]{1,6})?)?$", pa.timestamp("us"))):
+        if len(t) and len(found := take(pattern)):
+            try:
+                pc.cast(found, kind)
+                ranks.add(rung)
+            except pa.ArrowInvalid:
+                ranks.add(10)
+    if len(t) and len(take(r"^(?i:true|false)$")):
+        ranks.add(9)
+    if len(t):
+        ranks.add(10)
+    if not ranks:
+        return 0, -1, -1
+    family = [0 if r <= 6 else r for r in ranks]
+    return max(ranks), min(family), max(family)
+
+
 def infer_types(df: DataFrame, columns: list[str]) -> DataFrame:
     """``(column, type)``: the largest rung any field of a column needs; mixed families meet at string."""
-    family = lambda r: F.when(r <= 6, 0).otherwise(r)
-    stats = [F.struct(F.max(rank_of(F.col(c))).alias("top"), F.min(F.when(rank_of(F.col(c)) > 0, family(rank_of(F.col(c))))).alias("lo"), F.max(F.when(rank_of(F.col(c)) > 0, family(rank_of(F.col(c))))).alias("hi")).alias(c) for c in columns]
-    one = df.agg(*stats)
+    ranked = df.select(*[rank_of(F.col(c)).alias(c) for c in columns])
+    family = lambda r: F.when(r > 6, r).when(r > 0, 0)
+    one = ranked.agg(*[F.struct(F.max(c).alias("top"), F.min(family(F.col(c))).alias("lo"), F.max(family(F.col(c))).alias("hi")).alias(c) for c in columns])
     names = F.array(*[F.lit(x) for x in LADDER])
-    rows = F.array(*[F.struct(F.lit(c).alias("column"), F.col(c).alias("s")) for c in columns])
-    x = one.select(F.explode(rows).alias("x")).select("x.column", "x.s.*")
+    x = one.select(F.explode(F.array(*[F.struct(F.lit(c).alias("column"), F.col(c).alias("s")) for c in columns])).alias("x")).select("x.column", "x.s.*")
     mixed = (F.col("lo") != F.col("hi")) & ~((F.col("lo") == 7) & (F.col("hi") == 8))
-    return x.select("column", F.when(F.col("top").isNull() | (F.col("top") == 0), F.lit("string")).when(mixed, F.lit("string")).otherwise(F.element_at(names, F.col("top") + 1)).alias("type"))
-
-
-def infer_schema(df: DataFrame, columns: list[str]) -> T.StructType:
-    kinds = {r["column"]: r["type"] for r in infer_types(df, columns).collect()}
-    return T.StructType([T.StructField(c, T._parse_datatype_string(kinds[c])) for c in columns])
+    return x.select("column", F.when(F.coalesce("top", F.lit(0)) == 0, "string").when(mixed, "string").otherwise(F.element_at(names, F.col("top") + 1)).alias("type"))

@@ -266,7 +266,17 @@ def _seeded(spark, path, split_bytes, dfa=RFC):
 
 @query("conditional_summary_seeds", "SELECT count(*)::BIGINT AS records, 9 AS min_columns, 9 AS max_columns, true AS ok FROM documents")
 def _(spark, sf_dir):
-    return parsed(spark, sf_dir, "text9", fan=3).report.groupBy().agg(F.sum("records").alias("records"), F.min("min_columns").alias("min_columns"), F.max("max_columns").alias("max_columns"), F.bool_and("ok").alias("ok"))
+    return parsed(spark, sf_dir, "text9", fan=3, driver_splits=0).report.groupBy().agg(F.sum("records").alias("records"), F.min("min_columns").alias("min_columns"), F.max("max_columns").alias("max_columns"), F.bool_and("ok").alias("ok"))
+
+
+@query("scan_tree_equals_fold", "SELECT true AS equal")
+def _(spark, sf_dir):
+    """Seeds from the distributed scan of conditional summaries equal the fold on the driver, over many small splits."""
+    from .reader import seeds_of
+
+    ranges = splits(list_files(spark, fixture(spark, sf_dir, "conversations")), 997)
+    a, b = (seeds_of(ranges, RFC, fan=5, driver_splits=n) for n in (0, 10**6))
+    return spark.createDataFrame([(a.count() == b.count() and a.exceptAll(b).count() == 0,)], "equal boolean")
 
 
 @query("symbol_tags_region", """WITH f AS (SELECT r_regionkey AS r, 0 AS c, r_regionkey::VARCHAR AS t FROM region UNION ALL SELECT r_regionkey, 1, r_name FROM region)

@@ -42,6 +42,7 @@ class Options:
     split_bytes: int = SPLIT_BYTES
     giant_bytes: int = 256 << 20
     fan: int = 1024
+    driver_splits: int = 4096
 
 
 @dataclass
@@ -92,6 +93,26 @@ def summary_monoid(states: int) -> Monoid:
     return Monoid(F.array(*[blank(s) for s in range(states)]), lambda a, b: F.transform(a, lambda x: _join_summaries(x, F.element_at(b, x["end"] + 1))))
 
 
+SEED_DDL = f"file string, split bigint, off bigint, len bigint, start_state int, first_record bigint, first_column bigint, before {SUMMARY_DDL}, own {SUMMARY_DDL}"
+DRIVER_SPLITS = 4096  # up to so many summaries (about 1 kB each) are folded on the driver, more by the scan tree
+
+
+def seeds_of(ranges: DataFrame, dfa: Dfa, lane: int = LANE, fan: int = 1024, driver_splits: int = DRIVER_SPLITS) -> DataFrame:
+    """Pass one and the scan.  The number of splits is known from the listing, so the way is chosen by a checked size."""
+    if ranges.count() > driver_splits:
+        return durable(seed_table(summary_table(ranges, dfa, lane), dfa, fan), "seeds")
+    own = lambda r: Summary(*[r[f] for f in FIELDS])
+    flat = lambda s: tuple(getattr(s, f) for f in FIELDS)
+    rows, last, total = [], None, Summary(dfa.start)
+    for r in summary_table(ranges, dfa, lane).orderBy("file", "split").collect():
+        if r["file"] != last:
+            last, total = r["file"], Summary(dfa.start)
+        mine = own(r["per_state"][total.end])
+        rows.append((r["file"], r["split"], r["off"], r["len"], total.end, total.recs, total.col, flat(total), flat(mine)))
+        total = total.then(mine)
+    return ranges.sparkSession.createDataFrame(rows, SEED_DDL).coalesce(1)
+
+
 def seed_table(summaries: DataFrame, dfa: Dfa, fan: int = 1024) -> DataFrame:
     """``(file, split, off, len, start_state, first_record, first_column, before, own)`` with summaries from the file's start state."""
     before = exclusive_scan(summaries, "file", "split", "per_state", summary_monoid(dfa.n_states), fan)
@@ -135,7 +156,7 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     dfa = compile_dialect(o.dialect)
     if o.skip_rows:
         path = skip_rows(spark, path, o.skip_rows, o.split_bytes)
-    seeds = durable(seed_table(summary_table(splits(list_files(spark, path), o.split_bytes), dfa, o.lane_bytes), dfa, o.fan), "seeds")
+    seeds = seeds_of(splits(list_files(spark, path), o.split_bytes), dfa, o.lane_bytes, o.fan, o.driver_splits)
     report = format_report(seeds, dfa)
     if o.on_error == "fail" and (bad := report.where("not ok").first()):
         raise ValueError(f"{bad['file']}: invalid at byte {bad['first_bad_byte']}, record {bad['first_bad_record']}, ends in {bad['end_state']}")
@@ -147,9 +168,10 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     else:
         names = schema.fieldNames()
     wanted = o.columns or names
-    text = _records(spark, aligned_ranges(seeds), dfa, names, wanted, o, len(names) + trailing)
+    ranges = aligned_ranges(seeds)
+    text = _records(spark, ranges, dfa, names, wanted, o, len(names) + trailing)
     if schema is None:
-        schema = convert.infer_schema(text, wanted)
+        schema = _inferred(ranges, dfa, names, wanted, o)
     if o.skip_records:
         text = text.where(F.col(RECORD_NO) >= o.skip_records)
     ragged = F.col("_width") != len(names) + int(trailing)
@@ -193,6 +215,22 @@ def _records(spark: SparkSession, ranges: DataFrame, dfa: Dfa, names: list[str],
     return spread(ranges).select("file", "begin", "stop", "record", "final").mapInArrow(run, schema)
 
 
+def _inferred(ranges: DataFrame, dfa: Dfa, names: list[str], wanted: list[str], o: Options) -> T.StructType:
+    """Types from a pass that sends back three numbers a column and block, never text."""
+    at, lane, empty_null = [names.index(c) for c in wanted], o.lane_bytes, o.empty_null
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for file, begin, stop, final in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
+                for p in parse_range(file, begin, stop, final, dfa, lane):
+                    stats = [convert.rank_stats(decode(c)) for c in columns_of(p, at, empty_null)]
+                    yield pa.RecordBatch.from_arrays([pa.array(range(len(at)), pa.int32()), *[pa.array([s[k] for s in stats], pa.int32()) for k in range(3)]], ["c", "top", "lo", "hi"])
+
+    found = spread(ranges).select("file", "begin", "stop", "final").mapInArrow(run, "c int, top int, lo int, hi int").groupBy("c").agg(F.max("top").alias("top"), F.min(F.when(F.col("lo") >= 0, F.col("lo"))).alias("lo"), F.max("hi").alias("hi"))
+    kinds = {r["c"]: convert.type_of(r["top"], r["lo"], r["hi"]) for r in found.collect()}  # a row a column
+    return T.StructType([T.StructField(c, T._parse_datatype_string(kinds.get(i, "string"))) for i, c in enumerate(wanted)])
+
+
 def format_report(seeds: DataFrame, dfa: Dfa) -> DataFrame:
     """``(file, ok, end_state, first_bad_byte, first_bad_record, min_columns, max_columns, records)``."""
     last = seeds.groupBy("file").agg(F.max_by(F.struct("before", "own", "len"), "split").alias("x"), F.min(F.when(F.col("own.bad") >= 0, F.struct((F.col("off") + F.col("own.bad")).alias("byte"), F.col("split")))).alias("bad"))
