@@ -29,20 +29,7 @@ def _whole_files(spark: SparkSession, path: str) -> DataFrame:
 def sequential(spark: SparkSession, path: str, schema: T.StructType, dialect="rfc4180") -> DataFrame:
     """One task runs over everything."""
     names = schema.fieldNames()
-    ranges = _whole_files(spark, path).coalesce(1)
-    one = ranges.sparkSession.createDataFrame(ranges.collect(), ranges.schema).coalesce(1)  # a row a file
-    return _typed(_read_one(one, compile_dialect(dialect), names), schema)
-
-
-def _read_one(ranges: DataFrame, dfa: Dfa, names: list[str]) -> DataFrame:
-    """Pass two without spreading its ranges over tasks."""
-    from ..plans import reader
-
-    held, reader.spread = reader.spread, lambda df, tasks=None: df
-    try:
-        return _records(ranges.sparkSession, ranges, dfa, names, names, Options(), len(names))
-    finally:
-        reader.spread = held
+    return _typed(_records(spark, _whole_files(spark, path).coalesce(1), compile_dialect(dialect), names, names, Options(), len(names)), schema)
 
 
 def prepass(spark: SparkSession, path: str, schema: T.StructType, dialect="rfc4180", split_bytes: int = 1 << 20) -> DataFrame:
@@ -68,7 +55,7 @@ def _from_states(spark: SparkSession, found: DataFrame, dfa: Dfa, schema: T.Stru
     before = F.coalesce(F.sum("recs").over(Window.partitionBy("file").orderBy("split").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))  # a row a split
     seeds = found.select("file", "split", "off", "len", before.cast("long").alias("first_record"), F.struct(F.col("recs"), F.col("first_end")).alias("own"))
     names = schema.fieldNames()
-    return _typed(_records(spark, aligned_ranges(seeds), dfa, names, names, Options(), len(names)), schema)
+    return _typed(_records(spark, spread(aligned_ranges(seeds)), dfa, names, names, Options(), len(names)), schema)
 
 
 def line_split(spark: SparkSession, path: str, sep: str = ",") -> DataFrame:
@@ -194,7 +181,7 @@ def single_node(spark: SparkSession, path: str, schema: T.StructType) -> DataFra
 def one_task_per_field(spark: SparkSession, path: str, schema: T.StructType, dialect="rfc4180", split_bytes: int = 1 << 20) -> DataFrame:
     """Every field travels alone to one worker, then records are put together again: two shuffles of all bytes."""
     dfa = compile_dialect(dialect)
-    ranges = aligned_ranges(durable(seed_table(summary_table(splits(list_files(spark, path), split_bytes), dfa), dfa), "seeds"))
+    ranges = aligned_ranges(durable(seed_table(summary_table(spread(splits(list_files(spark, path), split_bytes)), dfa), dfa), "seeds"))
     fields = tag_runs(spread(ranges), dfa).repartition("file", "record_no", "column_no")
     text = F.when((F.col("len") == 0) & ~F.col("quoted"), None).otherwise(F.decode("text", "UTF-8"))
     wide = [F.max(F.when(F.col("column_no") == i, F.col("t"))).alias(n) for i, n in enumerate(schema.fieldNames())]

@@ -67,7 +67,7 @@ def summary_table(ranges: DataFrame, dfa: Dfa, lane: int = LANE) -> DataFrame:
                 kind = pa.list_(pa.struct([(f, pa.int32() if f == "end" else pa.bool_() if f == "is_abs" else pa.int64()) for f in FIELDS]))
                 yield pa.RecordBatch.from_arrays([pa.array([file]), pa.array([split], pa.int64()), pa.array([off], pa.int64()), pa.array([size], pa.int64()), pa.array(rows, kind)], ["file", "split", "off", "len", "per_state"])
 
-    return spread(ranges.select("file", "split", "off", "len")).mapInArrow(run, f"file string, split long, off long, len long, per_state array<{SUMMARY_DDL}>")
+    return ranges.select("file", "split", "off", "len").mapInArrow(run, f"file string, split long, off long, len long, per_state array<{SUMMARY_DDL}>")
 
 
 def _join_summaries(x, y):
@@ -97,20 +97,31 @@ SEED_DDL = f"file string, split bigint, off bigint, len bigint, start_state int,
 DRIVER_SPLITS = 4096  # up to so many summaries (about 1 kB each) are folded on the driver, more by the scan tree
 
 
-def seeds_of(ranges: DataFrame, dfa: Dfa, lane: int = LANE, fan: int = 1024, driver_splits: int = DRIVER_SPLITS) -> DataFrame:
-    """Pass one and the scan.  The number of splits is known from the listing, so the way is chosen by a checked size."""
-    if ranges.count() > driver_splits:
-        return durable(seed_table(summary_table(ranges, dfa, lane), dfa, fan), "seeds")
+def seeds_of(ranges: DataFrame, dfa: Dfa, lane: int = LANE, fan: int = 1024, driver_splits: int = DRIVER_SPLITS) -> tuple[DataFrame, DataFrame]:
+    """Pass one and the scan: seeds, and record-aligned ranges.  The number of splits comes from the listing, so the way is chosen by a checked size."""
+    spark = ranges.sparkSession
+    known = ranges.limit(driver_splits + 1).collect() if driver_splits else []  # names and numbers of ranges, no contents
+    if not driver_splits or len(known) > driver_splits:
+        seeds = durable(seed_table(summary_table(spread(ranges), dfa, lane), dfa, fan), "seeds")
+        return seeds, spread(aligned_ranges(seeds))
     own = lambda r: Summary(*[r[f] for f in FIELDS])
     flat = lambda s: tuple(getattr(s, f) for f in FIELDS)
     rows, last, total = [], None, Summary(dfa.start)
-    for r in summary_table(ranges, dfa, lane).orderBy("file", "split").collect():
+    cut: list[list] = []
+    few = spark.createDataFrame(known, ranges.schema)  # already dealt evenly over the session's tasks
+    for r in sorted(summary_table(few, dfa, lane).collect(), key=lambda r: (r["file"], r["split"])):
         if r["file"] != last:
             last, total = r["file"], Summary(dfa.start)
+            cut.append([r["file"], r["split"], 0, 0, 0, True])
         mine = own(r["per_state"][total.end])
         rows.append((r["file"], r["split"], r["off"], r["len"], total.end, total.recs, total.col, flat(total), flat(mine)))
+        if r["split"] and mine.recs:
+            cut[-1][3], cut[-1][5] = r["off"] + mine.first_end, False
+            cut.append([r["file"], r["split"], r["off"] + mine.first_end, 0, total.recs + 1, True])
+        cut[-1][3] = r["off"] + r["len"]
         total = total.then(mine)
-    return ranges.sparkSession.createDataFrame(rows, SEED_DDL).coalesce(1)
+    aligned = spark.createDataFrame([tuple(c) for c in cut if c[3] > c[2]], "file string, split bigint, begin bigint, stop bigint, record bigint, final boolean")
+    return spark.createDataFrame(rows, SEED_DDL).coalesce(1), aligned
 
 
 def seed_table(summaries: DataFrame, dfa: Dfa, fan: int = 1024) -> DataFrame:
@@ -156,7 +167,7 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     dfa = compile_dialect(o.dialect)
     if o.skip_rows:
         path = skip_rows(spark, path, o.skip_rows, o.split_bytes)
-    seeds = seeds_of(splits(list_files(spark, path), o.split_bytes), dfa, o.lane_bytes, o.fan, o.driver_splits)
+    seeds, ranges = seeds_of(splits(list_files(spark, path), o.split_bytes), dfa, o.lane_bytes, o.fan, o.driver_splits)
     report = format_report(seeds, dfa)
     if o.on_error == "fail" and (bad := report.where("not ok").first()):
         raise ValueError(f"{bad['file']}: invalid at byte {bad['first_bad_byte']}, record {bad['first_bad_record']}, ends in {bad['end_state']}")
@@ -168,7 +179,6 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     else:
         names = schema.fieldNames()
     wanted = o.columns or names
-    ranges = aligned_ranges(seeds)
     text = _records(spark, ranges, dfa, names, wanted, o, len(names) + trailing)
     if schema is None:
         schema = _inferred(ranges, dfa, names, wanted, o)
@@ -212,7 +222,7 @@ def _records(spark: SparkSession, ranges: DataFrame, dfa: Dfa, names: list[str],
                     record += p.records
 
     schema = T.StructType([T.StructField(FILE, T.StringType()), T.StructField(RECORD_NO, T.LongType()), T.StructField("_width", T.IntegerType()), T.StructField(EXTRA, T.ArrayType(T.StringType())), *[T.StructField(c, T.StringType()) for c in wanted]])
-    return spread(ranges).select("file", "begin", "stop", "record", "final").mapInArrow(run, schema)
+    return ranges.select("file", "begin", "stop", "record", "final").mapInArrow(run, schema)
 
 
 def _inferred(ranges: DataFrame, dfa: Dfa, names: list[str], wanted: list[str], o: Options) -> T.StructType:
@@ -226,7 +236,7 @@ def _inferred(ranges: DataFrame, dfa: Dfa, names: list[str], wanted: list[str],
                     stats = [convert.rank_stats(decode(c)) for c in columns_of(p, at, empty_null)]
                     yield pa.RecordBatch.from_arrays([pa.array(range(len(at)), pa.int32()), *[pa.array([s[k] for s in stats], pa.int32()) for k in range(3)]], ["c", "top", "lo", "hi"])
 
-    found = spread(ranges).select("file", "begin", "stop", "final").mapInArrow(run, "c int, top int, lo int, hi int").groupBy("c").agg(F.max("top").alias("top"), F.min(F.when(F.col("lo") >= 0, F.col("lo"))).alias("lo"), F.max("hi").alias("hi"))
+    found = ranges.select("file", "begin", "stop", "final").mapInArrow(run, "c int, top int, lo int, hi int").groupBy("c").agg(F.max("top").alias("top"), F.min(F.when(F.col("lo") >= 0, F.col("lo"))).alias("lo"), F.max("hi").alias("hi"))
     kinds = {r["c"]: convert.type_of(r["top"], r["lo"], r["hi"]) for r in found.collect()}  # a row a column
     return T.StructType([T.StructField(c, T._parse_datatype_string(kinds.get(i, "string"))) for i, c in enumerate(wanted)])
 
