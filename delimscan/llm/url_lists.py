@@ -60,9 +60,8 @@ def judge(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_
     # every list turns at its own times, so a pattern's state is the set of its lists after each turn
     steps = turns.select("pattern", "list", F.col("since").alias("at"), F.lit(1).alias("way")).unionByName(turns.where("until is not null").select("pattern", "list", F.col("until").alias("at"), F.lit(-1).alias("way")))
     steps = steps.groupBy("pattern", "list", "at").agg(F.sum("way").alias("way")).where("way <> 0")
-    known = steps.select("pattern").distinct()
-    asks = asks.join(known, "pattern", "left_semi")
     side = steps.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1)))).select("pattern", "salt", "at", F.lit(None).cast("long").alias("row"), "list", "way")
+    asks = asks.join(side.select("pattern", "salt").distinct(), ["pattern", "salt"], "left_semi")
     both = side.unionByName(asks.select("pattern", "salt", "at", "row", F.lit(None).cast("string").alias("list"), F.lit(0).alias("way")))
     lists = [r["list"] for r in entries.select("list").where("list is not null").distinct().orderBy("list").collect()]  # names of lists, a handful by contract
     upto = Window.partitionBy("pattern", "salt").orderBy("at").rangeBetween(Window.unboundedPreceding, 0)
