@@ -8,7 +8,7 @@ at records, so raw bytes are never shuffled, whatever records cross split edges.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -159,9 +159,7 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     unquoted empty fields are null, quoted ones are ''.  Without a schema the number of columns and their types are
     inferred from all data.
     """
-    o = options or Options()
-    for k, v in changes.items():
-        setattr(o, k, v)
+    o = replace(options or Options(), **changes)
     if o.encoding.lower().replace("_", "-") in ("utf-16le", "utf-16be"):
         path = to_utf8(spark, path, o.encoding, o.split_bytes)
     dfa = compile_dialect(o.dialect)

@@ -82,7 +82,7 @@ def tags(spark, inputs) -> None:
 
     dfa = compile_dialect("rfc4180")
     for name, path in inputs.items():
-        seeds = durable(seed_table(summary_table(splits(list_files(spark, path), 4 << 20), dfa), dfa))
+        seeds = durable(seed_table(summary_table(spread(splits(list_files(spark, path), 4 << 20)), dfa), dfa))
         runs = durable(tagging.tag_runs(spread(aligned_ranges(seeds)), dfa))
         n = runs.agg(F.count("*").alias("n"), F.sum("len").alias("b")).first()
         for mode in tagging.MODES:
