@@ -179,13 +179,18 @@ def links(fps: DataFrame, fp: str = "fp") -> DataFrame:
     return table.repartition("combo", "key").sortWithinPartitions("combo", "key").mapInArrow(run, "u long, v long")
 
 
+def _grouped(prints: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """``(fp, id, root)`` of distinct fingerprints, ``id`` their smallest, and ``(root, component_id)`` of groups."""
+    least = durable(prints.groupBy("fp").agg(F.min("id").alias("id")))
+    roots = connected_components(links(least))
+    placed = least.join(roots, least.fp == roots.node, "left").select("fp", "id", F.coalesce("root", "fp").alias("root"))
+    return placed, placed.groupBy("root").agg(F.min("id").alias("component_id"))
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 3) -> DataFrame:
     """``(id_col, fingerprint, component_id, group_root)`` for every row: classes of texts linked within three bits."""
     prints = durable(with_fingerprint(docs, id_col, text_col, size))
-    least = prints.groupBy("fp").agg(F.min("id").alias("id"))
-    roots = connected_components(links(least))
-    placed = least.join(roots, least.fp == roots.node, "left").select("fp", "id", F.coalesce("root", "fp").alias("root"))
-    groups = placed.groupBy("root").agg(F.min("id").alias("component_id"))
+    placed, groups = _grouped(prints)
     of = placed.join(groups, "root").select("fp", "root", "component_id")
     return prints.join(of, "fp").select(F.col("id").alias(id_col), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", F.col("root").alias("group_root"))
 
@@ -198,9 +203,8 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", si
     """
     from pyspark.sql import Window
 
-    groups = near_duplicates(docs, id_col, text_col, size)
-    stay = groups.groupBy("group_root").agg(F.min(id_col).alias("__id")).select("__id")
-    named = stay.where("__id is not null").distinct()
+    _, groups = _grouped(with_fingerprint(docs, id_col, text_col, size))
+    named = groups.where("component_id is not null").select(F.col("component_id").alias("__id"))
     first = Window.partitionBy(id_col).orderBy(F.length(text_col), F.xxhash64(text_col))
     kept = docs.join(named, docs[id_col] == named["__id"], "left_semi").withColumn("__n", F.row_number().over(first)).where("__n = 1").drop("__n")
     return kept.unionByName(docs.where(F.col(id_col).isNull()))
