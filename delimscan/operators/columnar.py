@@ -5,21 +5,26 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.files import durable
 
-def radix_pass(items: DataFrame, key: str, pos: str, shift: int, bits: int) -> DataFrame:
-    """One stable pass: ``items`` with ``pos`` replaced by histogram base plus rank within the digit."""
+
+def radix_pass(items: DataFrame, key: str, pos: str, shift: int, bits: int, block: int = 1 << 16) -> DataFrame:
+    """One stable pass: ``items`` with ``pos`` (distinct) replaced by histogram base plus rank within the digit.
+
+    Ranks are taken within blocks of ``block`` positions, so a digit with most of the rows is still spread over tasks.
+    """
     digit = F.call_function("shiftright", F.col(key).cast("long"), F.lit(shift)).bitwiseAND(F.lit((1 << bits) - 1).cast("long"))
-    tagged = items.withColumn("_d", digit)
-    before = Window.orderBy("_d").rowsBetween(Window.unboundedPreceding, -1)  # a row a digit value
-    base = tagged.groupBy("_d").count().withColumn("_base", F.coalesce(F.sum("count").over(before), F.lit(0))).drop("count")
-    rank = F.row_number().over(Window.partitionBy("_d").orderBy(pos)) - 1
-    return tagged.withColumn("_r", rank).join(F.broadcast(base), "_d").withColumn(pos, (F.col("_base") + F.col("_r")).cast("long")).drop("_d", "_r", "_base")
+    tagged = items.withColumn("_d", digit).withColumn("_b", F.floor(F.col(pos) / block))
+    before = Window.orderBy("_d", "_b").rowsBetween(Window.unboundedPreceding, -1)  # a row a digit value and block
+    base = tagged.groupBy("_d", "_b").count().withColumn("_base", F.coalesce(F.sum("count").over(before), F.lit(0))).drop("count")
+    rank = F.row_number().over(Window.partitionBy("_d", "_b").orderBy(pos)) - 1
+    return tagged.withColumn("_r", rank).join(F.broadcast(base), ["_d", "_b"]).withColumn(pos, (F.col("_base") + F.col("_r")).cast("long")).drop("_d", "_b", "_r", "_base")
 
 
 def partition_by_column(items: DataFrame, key: str = "column_no", pos: str = "pos", bits: int = 2, key_bits: int = 8) -> DataFrame:
-    """All passes, the lowest bits first."""
+    """All passes, the lowest bits first; every pass reads its input twice, so it is written once before."""
     for shift in range(0, key_bits, bits):
-        items = radix_pass(items, key, pos, shift, bits)
+        items = radix_pass(durable(items, "radix"), key, pos, shift, bits)
     return items
 
 

@@ -5,10 +5,14 @@ from __future__ import annotations
 import time
 from contextlib import contextmanager
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.kernel import COUNTERS
+from ..functions.dialect import compile_dialect
+from ..operators.kernel import BLOCK, COUNTERS, Lanes, columns_of, decode, exclusive_prefix, parse_block
+from ..sources.files import read_range
 from .reader import ParseResult
 
 
@@ -48,6 +52,37 @@ class StepTimer:
         return {k: v / total for k, v in self.seconds.items()}
 
 
+def step_seconds(ranges: DataFrame, lane_sizes: tuple[int, ...], columns: int, block: int = BLOCK) -> DataFrame:
+    """``(lane, step, seconds, bytes)`` of every block of record-aligned ranges, timed where it is read."""
+
+    def run(batches):
+        dfa = compile_dialect("rfc4180")
+        for b in batches:
+            for file, lo, stop, final in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
+                carry = np.zeros(0, np.uint8)
+                while lo < stop:
+                    hi = min(stop, lo + max(block, len(carry)))
+                    raw = np.concatenate([carry, read_range(file, lo, hi - lo)])
+                    for lane in lane_sizes:
+                        t = StepTimer()
+                        with t.step("parse"):
+                            lanes = Lanes(raw, dfa, lane)
+                            v = lanes.vectors()
+                        with t.step("scan"):
+                            before = exclusive_prefix(v)
+                        with t.step("tag"):
+                            lanes.run(before[:, 0])
+                        with t.step("partition_convert"):
+                            p = parse_block(raw, dfa, final and hi == stop, lane)
+                            if p.records:
+                                [decode(c) for c in columns_of(p, list(range(columns)))]
+                        n = len(t.seconds)
+                        yield pa.RecordBatch.from_arrays([pa.array([lane] * n, pa.int32()), pa.array(list(t.seconds)), pa.array(list(t.seconds.values())), pa.array([p.consumed] * n, pa.int64())], ["lane", "step", "seconds", "bytes"])
+                    carry, lo = raw[p.consumed :], hi
+
+    return ranges.select("file", "begin", "stop", "final").mapInArrow(run, "lane int, step string, seconds double, bytes long")
+
+
 def force(df: DataFrame) -> float:
     """Seconds to compute every row."""
     began = time.perf_counter()

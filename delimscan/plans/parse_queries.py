@@ -335,6 +335,14 @@ for _mode in tagging.MODES:
         return tagging.field_index(tagging.column_buffers(runs, _mode), _mode).select("column_no", "record_no", "off", "len")
 
 
+for _mode in tagging.MODES:
+
+    @query(f"field_index_whole_{_mode}", _INDEX)
+    def _(spark, sf_dir, _mode=_mode):
+        """All columns; the SQL of ``field_index_*`` keeps three."""
+        return tagging.field_index(tagging.column_buffers(_one_stream(_li_runs(spark, sf_dir)), _mode), _mode).select("column_no", "record_no", "off", "len")
+
+
 @query("field_index_run_lengths", "WITH f AS (SELECT r_regionkey::BIGINT AS record_no, 1 AS column_no, strlen(r_name)::BIGINT AS len FROM region) SELECT column_no, record_no, coalesce(sum(len) OVER (ORDER BY record_no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS off, len FROM f")
 def _(spark, sf_dir):
     tags = Q["symbol_tags_region"](spark, sf_dir).withColumn("file", F.lit("region"))
@@ -369,6 +377,26 @@ def _(spark, sf_dir):
     return columnar.partition_by_column(_items(spark, sf_dir), bits=2, key_bits=4).select("pos0", "column_no", "pos")
 
 
+_WHOLE = "SELECT (l_partkey % 16)::BIGINT AS column_no, row_number() OVER (ORDER BY {k}) - 1 AS pos0 FROM lineitem".format(k=", ".join(LI))
+
+
+def _whole_items(spark, sf_dir):
+    """Every record of lineitem at the number that the parse gave it; the SQL of the two queries above keeps an id subset."""
+    part = _one_stream(_li_runs(spark, sf_dir).where("column_no = 1"))
+    key = (F.decode("text", "UTF-8").cast("long") % 16).alias("column_no")
+    return durable(part.select(key, F.col("record_no").alias("pos0"), F.col("record_no").alias("pos")), "items")
+
+
+@query("radix_pass_stable_whole", f"WITH i AS ({_WHOLE}) SELECT pos0::BIGINT AS pos0, column_no, (row_number() OVER (ORDER BY column_no & 3, pos0) - 1)::BIGINT AS pos FROM i")
+def _(spark, sf_dir):
+    return columnar.radix_pass(_whole_items(spark, sf_dir), "column_no", "pos", 0, 2).select("pos0", "column_no", "pos")
+
+
+@query("radix_partition_all_passes_whole", f"WITH i AS ({_WHOLE}) SELECT pos0::BIGINT AS pos0, column_no, (row_number() OVER (ORDER BY column_no, pos0) - 1)::BIGINT AS pos FROM i")
+def _(spark, sf_dir):
+    return columnar.partition_by_column(_whole_items(spark, sf_dir), bits=2, key_bits=4).select("pos0", "column_no", "pos")
+
+
 # --- conversion tiers, skew, capabilities ----------------------------------------------------------------------------
 
 

@@ -4,14 +4,15 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources.datasource import register
 from ..sources.files import fresh_path
 from . import measures
-from .parse_queries import NATION
-from .workloads import fixture, one_file, parsed, split_size, text_of
+from .parse_queries import NATION, _seeded
+from .reader import aligned_ranges
+from .workloads import fixture, frame, one_file, parsed, split_size, text_of
 
 Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -86,30 +87,11 @@ def _(spark, sf_dir):
 
 @query("measure_steps")
 def _(spark, sf_dir):
-    """Seconds and share of each kernel step over the numeric set, for several lane sizes."""
-    from ..functions.dialect import compile_dialect
-    from ..operators import kernel
-    from ..sources.files import blocks
-
-    dfa, out = compile_dialect("rfc4180"), []
-    data = blocks(spark, fixture(spark, sf_dir, "orders"), 4 << 20).orderBy("file", "block").first()["data"]
-    import numpy as np
-
-    raw = np.frombuffer(data, np.uint8)
-    for lane in (15, 31, 64, 256):
-        t = measures.StepTimer()
-        with t.step("parse"):
-            lanes = kernel.Lanes(raw, dfa, lane)
-            v = lanes.vectors()
-        with t.step("scan"):
-            before = kernel.exclusive_prefix(v)
-        with t.step("tag"):
-            lanes.run(before[:, 0])
-        with t.step("partition_convert"):
-            p = kernel.parse_block(raw, dfa, lane=lane)
-            [kernel.decode(c) for c in kernel.columns_of(p, list(range(6)))]
-        out += [(lane, k, s, t.shares()[k]) for k, s in t.seconds.items()]
-    return spark.createDataFrame(out, "lane int, step string, seconds double, share double")
+    """Seconds and share of each kernel step over all blocks of the numeric set, for several lane sizes."""
+    path = fixture(spark, sf_dir, "num17")
+    one = measures.step_seconds(aligned_ranges(_seeded(spark, path, split_size(spark, path))), (15, 31, 64, 256), len(frame(spark, sf_dir, "num17").columns))
+    total = one.groupBy("lane", "step").agg(F.sum("seconds").alias("seconds"))
+    return total.withColumn("share", F.col("seconds") / F.sum("seconds").over(Window.partitionBy("lane")))  # a row a step
 
 
 @query("measure_automaton_factor")
