@@ -1,12 +1,11 @@
 """Main text of web pages with site template removal.
 
 Pass one parses every page into blocks of text, each with the hashes of the element subtrees around it (tag, role,
-and everything below).  Spark counts, per host, the distinct pages that hold each subtree.  Pass two drops blocks
-inside subtrees that recur across many pages of their host, and joins the rest.
+and everything below), inside the main content too.  Spark counts, per host, the different pages that hold each
+subtree.  Pass two drops blocks inside subtrees that recur across many pages of their host, and joins the rest.
 
-What the page itself marks as its main content (``article``, ``main``, ``role=main``) is never judged by recurrence,
-since articles quote each other; outside of it, and inside it by tag or role, menus, headers, footers, sidebars,
-notices, adverts, forms, scripts, styles and reader comments are left out.
+As a supplement, menus, headers, footers, sidebars, notices, adverts, forms, scripts, styles and reader comments are
+left out by tag, role or class, however rare they are.
 
 Defined results: null or empty html gives an empty text of length 0; a null url belongs to the host ''; pages that
 repeat exactly count as one page towards recurrence, and each gives its text; unclosed, stray and misnested tags are
@@ -69,10 +68,10 @@ def _boilerplate(tag: str, attrs: str, parents: list[_Node]) -> tuple[bool, bool
     return drop, main, f"{tag}\x00{role}\x00{marks}"
 
 
-def blocks_of(page: str) -> tuple[list[tuple[str, list[int]]], list[int]]:
-    """``(blocks, root)``: each block's text with the hashes of the subtrees around it that recurrence may judge."""
+def blocks_of(page: str) -> tuple[list[tuple[str, list[int], bool]], list[int]]:
+    """``(blocks, nodes)``: each block's text, the hashes of the subtrees around it, and whether its markup rules it out."""
     stack: list[_Node] = []
-    blocks: list[list] = []  # text, path of uids, inside main
+    blocks: list[list] = []  # text, path of uids, ruled out
     done: dict[int, int] = {}
     text: list[str] = []
     uid, pos, n = 0, 0, len(page)
@@ -82,10 +81,8 @@ def blocks_of(page: str) -> tuple[list[tuple[str, list[int]]], list[int]]:
         if text:
             joined = SPACE.sub(" ", "".join(text)).strip()
             text.clear()
-            if joined and not any(p.drop for p in stack):
-                inside = [i for i, p in enumerate(stack) if p.main]
-                cut = inside[0] if inside else len(stack)
-                blocks.append([joined, [p.uid for p in stack[:cut] if p.tag not in ("html", "body")], bool(inside)])
+            if joined:
+                blocks.append([joined, [p.uid for p in stack if p.tag not in ("html", "body")], any(p.drop for p in stack)])
 
     def close(k: int) -> None:
         """End every element from depth k on."""
@@ -155,11 +152,9 @@ def blocks_of(page: str) -> tuple[list[tuple[str, list[int]]], list[int]]:
                 stack[-1].hash.update(page[m.end() : pos].encode("utf-8", "surrogatepass"))
     flush()
     close(0)
-    if any(b[2] for b in blocks):
-        blocks = [b for b in blocks if b[2]]
     signed = lambda h: h - (1 << 64) if h >> 63 else h
-    out = [(t, [signed(done[u]) for u in path]) for t, path, _ in blocks]
-    return out, sorted({h for _, path in out for h in path})
+    out = [(t, [signed(done[u]) for u in path], ruled) for t, path, ruled in blocks]
+    return out, sorted({h for _, path, _ in out for h in path})
 
 
 def host_of(url: str | None) -> str:
@@ -171,7 +166,7 @@ def host_of(url: str | None) -> str:
 
 def parse_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """``(uid, page_id, url, host, content, nodes, blocks)``; ``content`` identifies equal pages, ``uid`` rows."""
-    block = pa.list_(pa.struct([("text", pa.string()), ("path", pa.list_(pa.int64()))]))
+    block = pa.list_(pa.struct([("text", pa.string()), ("path", pa.list_(pa.int64())), ("ruled", pa.bool_())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -186,13 +181,13 @@ def parse_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
                     pa.array([host_of(u) for u in rows.column(1).to_pylist()], pa.string()),
                     pa.array([int.from_bytes(xxhash.xxh64_digest((h or "").encode("utf-8", "surrogatepass")), "little", signed=True) for h in rows.column(2).to_pylist()], pa.int64()),
                     pa.array([x for _, x in got], pa.list_(pa.int64())),
-                    pa.array([[{"text": t, "path": p} for t, p in b] for b, _ in got], block),
+                    pa.array([[{"text": t, "path": p, "ruled": r} for t, p, r in b] for b, _ in got], block),
                 ]
                 uid += rows.num_rows
                 yield pa.RecordBatch.from_arrays(cols, ["uid", "page_id", "url", "host", "content", "nodes", "blocks"])
 
     src = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"))
-    return src.mapInArrow(run, "uid long, page_id long, url string, host string, content long, nodes array<long>, blocks array<struct<text: string, path: array<long>>>")
+    return src.mapInArrow(run, "uid long, page_id long, url string, host string, content long, nodes array<long>, blocks array<struct<text: string, path: array<long>, ruled: boolean>>")
 
 
 def site_templates(parsed: DataFrame, min_pages: int = 8) -> DataFrame:
@@ -201,13 +196,26 @@ def site_templates(parsed: DataFrame, min_pages: int = 8) -> DataFrame:
     return once.groupBy("host", "node").count().where(F.col("count") >= min_pages).select("host", "node")
 
 
-def extract_text(pages: DataFrame, min_pages: int = 8, broadcast_rows: int = 100_000, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """``(page_id, url, text, n_chars)`` of every page."""
+def judged(pages: DataFrame, min_pages: int = 8, broadcast_rows: int = 100_000, salts: int = 32, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+    """Parsed pages with ``gone``, the recurring subtrees of each (null if none)."""
     parsed = durable(parse_pages(pages, id_col, url_col, html_col))
+    found = durable(site_templates(parsed, min_pages))
     nodes = parsed.select("uid", "host", F.explode("nodes").alias("node"))
-    hits = durable(nodes.join(site_templates(parsed, min_pages), ["host", "node"], "left_semi").groupBy("uid").agg(F.collect_set("node").alias("gone")))
+    if found.count() <= broadcast_rows:
+        near = nodes.join(F.broadcast(found), ["host", "node"], "left_semi")
+    else:  # a template of a hot host is on many pages, so these are dealt among copies of it
+        copies = found.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+        near = nodes.withColumn("salt", F.pmod(F.xxhash64("uid"), F.lit(salts)).cast("int")).join(copies, ["host", "node", "salt"], "left_semi")
+    hits = durable(near.groupBy("uid").agg(F.collect_set("node").alias("gone")))
     side = F.broadcast(hits) if hits.count() <= broadcast_rows else hits  # above that size the join shuffles
+    return parsed.join(side, "uid", "left")
+
+
+def extract_text(pages: DataFrame, min_pages: int = 8, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+    """``(page_id, url, text, n_chars)`` of every page."""
     gone = F.coalesce("gone", F.array().cast("array<long>"))
-    live = F.filter("blocks", lambda b: ~F.arrays_overlap(b["path"], gone))
+    open_ = F.filter("blocks", lambda b: ~b["ruled"])
+    live = F.filter(open_, lambda b: ~F.arrays_overlap(b["path"], gone))
     text = F.coalesce(F.array_join(F.transform(live, lambda b: b["text"]), "\n\n"), F.lit(""))
-    return parsed.join(side, "uid", "left").select(F.col("page_id").alias(id_col), F.col("url").alias(url_col), text.alias("text")).withColumn("n_chars", F.char_length("text").cast("long"))
+    out = judged(pages, min_pages, id_col=id_col, url_col=url_col, html_col=html_col)
+    return out.select(F.col("page_id").alias(id_col), F.col("url").alias(url_col), text.alias("text")).withColumn("n_chars", F.char_length("text").cast("long"))
