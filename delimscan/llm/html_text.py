@@ -2,8 +2,11 @@
 
 Pass one parses every page into blocks of text, each with the hashes of the element subtrees around it (tag, role,
 and everything below), inside the main content too.  Spark counts, per host, the different pages that hold each
-subtree.  Pass two drops blocks inside subtrees that recur across many pages of their host, and joins the rest.
+subtree.  Pass two drops blocks inside subtrees that recur on at least ``share`` of their host's pages (and on
+``least`` of them), and joins the rest.
 
+Pages count as different by their text, so copies that differ in title, comments, scripts or attributes are one page.
+Where recurrence would take three quarters of a page's text or more, it is taken for the page's content and stays.
 As a supplement, menus, headers, footers, sidebars, notices, adverts, forms, scripts, styles and reader comments are
 left out by tag, role or class, however rare they are.
 
@@ -165,7 +168,7 @@ def host_of(url: str | None) -> str:
 
 
 def parse_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """``(uid, page_id, url, host, content, nodes, blocks)``; ``content`` identifies equal pages, ``uid`` rows."""
+    """``(uid, page_id, url, host, content, nodes, blocks)``; ``content`` identifies pages of equal text, ``uid`` rows."""
     block = pa.list_(pa.struct([("text", pa.string()), ("path", pa.list_(pa.int64())), ("ruled", pa.bool_())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -179,7 +182,7 @@ def parse_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
                 cols = [
                     pa.array(range(uid, uid + rows.num_rows), pa.int64()), rows.column(0), rows.column(1),
                     pa.array([host_of(u) for u in rows.column(1).to_pylist()], pa.string()),
-                    pa.array([int.from_bytes(xxhash.xxh64_digest((h or "").encode("utf-8", "surrogatepass")), "little", signed=True) for h in rows.column(2).to_pylist()], pa.int64()),
+                    pa.array([int.from_bytes(xxhash.xxh64_digest("\n".join(t for t, _, ruled in b if not ruled).encode("utf-8", "surrogatepass")), "little", signed=True) for b, _ in got], pa.int64()),
                     pa.array([x for _, x in got], pa.list_(pa.int64())),
                     pa.array([[{"text": t, "path": p, "ruled": r} for t, p, r in b] for b, _ in got], block),
                 ]
@@ -190,16 +193,18 @@ def parse_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
     return src.mapInArrow(run, "uid long, page_id long, url string, host string, content long, nodes array<long>, blocks array<struct<text: string, path: array<long>, ruled: boolean>>")
 
 
-def site_templates(parsed: DataFrame, min_pages: int = 8) -> DataFrame:
-    """``(host, node)`` of subtrees that recur on at least ``min_pages`` different pages of a host."""
+def site_templates(parsed: DataFrame, share: float = 0.5, least: int = 3) -> DataFrame:
+    """``(host, node)`` of subtrees on at least ``share`` of the different pages of a host, and on ``least`` of them."""
     once = parsed.select("host", "content", F.explode("nodes").alias("node")).distinct()
-    return once.groupBy("host", "node").count().where(F.col("count") >= min_pages).select("host", "node")
+    held = once.groupBy("host", "node").agg(F.count("*").alias("n")).where(F.col("n") >= least)
+    pages = parsed.select("host", "content").distinct().groupBy("host").agg(F.count("*").alias("pages"))
+    return held.join(pages, "host").where(F.col("n") >= share * F.col("pages")).select("host", "node")
 
 
-def judged(pages: DataFrame, min_pages: int = 8, broadcast_rows: int = 100_000, salts: int = 32, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+def judged(pages: DataFrame, share: float = 0.5, least: int = 3, broadcast_rows: int = 100_000, salts: int = 32, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """Parsed pages with ``gone``, the recurring subtrees of each (null if none)."""
     parsed = durable(parse_pages(pages, id_col, url_col, html_col))
-    found = durable(site_templates(parsed, min_pages))
+    found = durable(site_templates(parsed, share, least))
     nodes = parsed.select("uid", "host", F.explode("nodes").alias("node"))
     if found.count() <= broadcast_rows:
         near = nodes.join(F.broadcast(found), ["host", "node"], "left_semi")
@@ -211,11 +216,13 @@ def judged(pages: DataFrame, min_pages: int = 8, broadcast_rows: int = 100_000,
     return parsed.join(side, "uid", "left")
 
 
-def extract_text(pages: DataFrame, min_pages: int = 8, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+def extract_text(pages: DataFrame, share: float = 0.5, least: int = 3, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """``(page_id, url, text, n_chars)`` of every page."""
     gone = F.coalesce("gone", F.array().cast("array<long>"))
     open_ = F.filter("blocks", lambda b: ~b["ruled"])
     live = F.filter(open_, lambda b: ~F.arrays_overlap(b["path"], gone))
-    text = F.coalesce(F.array_join(F.transform(live, lambda b: b["text"]), "\n\n"), F.lit(""))
-    out = judged(pages, min_pages, id_col=id_col, url_col=url_col, html_col=html_col)
+    size = lambda c: F.aggregate(c, F.lit(0), lambda n, b: n + F.char_length(b["text"]))
+    kept = F.when(F.col("gone").isNull() | (4 * size(live) <= size(open_)), open_).otherwise(live)
+    text = F.coalesce(F.array_join(F.transform(kept, lambda b: b["text"]), "\n\n"), F.lit(""))
+    out = judged(pages, share, least, id_col=id_col, url_col=url_col, html_col=html_col)
     return out.select(F.col("page_id").alias(id_col), F.col("url").alias(url_col), text.alias("text")).withColumn("n_chars", F.char_length("text").cast("long"))

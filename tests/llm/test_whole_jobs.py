@@ -11,3 +11,18 @@ def test_counting_judges_inside_articles_and_keeps_text_beside_them(spark):
     page = "<html><body><article><h1>Story {0}</h1><p>Words of story {0} as they were told</p><div><p>Read our other stories</p></div></article><p>Correction of story {0}</p></body></html>"
     got = _texts(spark, [(i, "http://a.example/", page.format(i)) for i in range(12)])
     assert got == {i: f"Story {i}\n\nWords of story {i} as they were told\n\nCorrection of story {i}" for i in range(12)}
+
+
+def test_a_share_of_the_host_is_what_counts(spark):
+    page = "<body><div><p>About this house</p></div><p>Report number {0} of the day</p>{1}</body>"
+    quote = "<blockquote>A passage that some reports quote</blockquote>"
+    got = _texts(spark, [(i, "http://big.example/", page.format(i, quote if i < 9 else "")) for i in range(60)] + [(100 + i, "http://small.example/", page.format(i, "")) for i in range(4)])
+    assert all(got[i] == f"Report number {i} of the day" + ("\n\nA passage that some reports quote" if i < 9 else "") for i in range(60))
+    assert all(got[100 + i] == f"Report number {i} of the day" for i in range(4))
+
+
+def test_near_copies_keep_their_text(spark):
+    page = "<html><head><title>{0}</title></head><body><!-- {0} --><div><p>The whole story, paragraph one</p><p>The whole story, paragraph two</p></div>{1}</body></html>"
+    whole = "The whole story, paragraph one\n\nThe whole story, paragraph two"
+    got = _texts(spark, [(i, "http://a.example/", page.format(i, "")) for i in range(12)] + [(20 + i, "http://b.example/", page.format(i, f"<p>seen {i}</p>")) for i in range(12)])
+    assert all(got[i] == whole and got[20 + i] == f"{whole}\n\nseen {i}" for i in range(12))
