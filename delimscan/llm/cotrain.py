@@ -5,8 +5,9 @@ source and length.  Each round, each model labels the unlabelled documents of wh
 Both are then calibrated on held-out labelled documents (Platt scaling) and their calibrated log-odds are summed, the
 shared prior counted once, to score every document.
 
-Fitting uses bounded samples, ``fit_rows`` labelled and ``pool_rows`` unlabelled documents chosen by the hash of their
-id; scoring covers all documents, whole texts.
+Labelled documents are sampled, ``fit_rows`` of them by the hash of their id.  Unlabelled documents all take part: each
+round scores every one, and every confident one enters the other view's fit through sums of gradients and curvatures
+by partition (text view) or counts of equal metadata (metadata view).  Scoring covers all documents, whole texts.
 
 Defined results: a null text is empty and scored like any; null metadata is a value of its own; labels that are null
 or of unknown documents are ignored; a document with contradicting labels counts as bad; without labels of both kinds
@@ -15,7 +16,7 @@ every document gets score 1 and is kept; repeated rows are scored alike.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -24,6 +25,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import durable
+
 SHAPES = 14
 TRIM = ".,;:!?\"'()[]|*#$%&<>"
 META_BINS = 1 << 8
@@ -64,15 +67,25 @@ def meta_keys(lang: str | None, source: str | None, n_chars: int | None) -> list
     return [xxhash.xxh32_intdigest(x) % META_BINS for x in names]
 
 
-def logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float, rounds: int = 25) -> np.ndarray:
-    """Ridge logistic regression by Newton steps; column 0 is the intercept and free of the ridge."""
-    b = np.zeros(x.shape[1])
+def newton_sums(x: np.ndarray, y: np.ndarray, weight: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Gradient and curvature of the weighted log-likelihood at ``b``."""
+    p = 1 / (1 + np.exp(-np.clip(x @ b, -30, 30)))
+    return x.T @ (weight * (y - p)), (x * (weight * np.maximum(p * (1 - p), 1e-6))[:, None]).T @ x
+
+
+def logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float, rounds: int = 25, more: Callable | None = None, start: np.ndarray | None = None) -> np.ndarray:
+    """Ridge logistic regression by Newton steps; column 0 is the intercept and free of the ridge.
+
+    ``more(b)`` gives the gradient and curvature of rows that are held elsewhere.
+    """
+    b = np.zeros(x.shape[1]) if start is None else start.copy()
     penalty = np.full(x.shape[1], ridge)
     penalty[0] = 1e-6
     for _ in range(rounds):
-        p = 1 / (1 + np.exp(-np.clip(x @ b, -30, 30)))
-        h = (x * (weight * np.maximum(p * (1 - p), 1e-6))[:, None]).T @ x + np.diag(penalty)
-        step = np.linalg.solve(h, x.T @ (weight * (y - p)) - penalty * b)
+        g, h = newton_sums(x, y, weight, b)
+        if more is not None:
+            g, h = (u + v for u, v in zip((g, h), more(b), strict=True))
+        step = np.linalg.solve(h + np.diag(penalty), g - penalty * b)
         b += step
         if np.abs(step).max() < 1e-6:
             break
@@ -142,8 +155,75 @@ def _platt(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(max(b[1], 0.0)), float(b[0])
 
 
-def co_train(texts: list[str], metas: list[list[int]], y: np.ndarray, toxic: np.ndarray, pool_texts: list[str], pool_metas: list[list[int]], rounds: int = 3, share: float = 0.05, sure: float = 0.98, held: float = 0.3) -> CoModel:
-    """``y``: 1 is good; ``toxic`` marks the bad documents that are bad by their words."""
+Lender = tuple[np.ndarray, float, float]  # a view's weights with the calibration at the time it lent
+
+
+def pseudo_labels(x: np.ndarray, lenders: list[Lender], sure: float) -> np.ndarray:
+    """The label that the first sure lender gives each row; -1 where none is sure."""
+    out = np.full(len(x), -1)
+    for coef, s, c in lenders:
+        p = 1 / (1 + np.exp(-np.clip(s * (x @ coef) + c, -30, 30)))
+        out = np.where(out >= 0, out, np.where(p >= sure, 1, np.where(1 - p >= sure, 0, -1)))
+    return out
+
+
+class Pool:
+    """Features of every unlabelled document, as a durable table that each round reads again."""
+
+    def __init__(self, docs: DataFrame, marks: DataFrame, model: CoModel):
+        """``docs(id, lang, source, n_chars, text)``; ``marks(id)`` are the labelled ones."""
+        held = docs.sparkSession.sparkContext.broadcast(model)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for lo in range(0, batch.num_rows, 512):
+                    b = batch.slice(lo, 512)
+                    rows = [held.value.text_row(t or "").tolist() for t in b.column(4).to_pylist()]
+                    metas = [meta_keys(*m) for m in zip(*(b.column(k).to_pylist() for k in (1, 2, 3)), strict=True)]
+                    yield pa.RecordBatch.from_arrays([b.column(0), pa.array(rows, pa.list_(pa.float64())), pa.array(metas, pa.list_(pa.int32()))], ["id", "x", "keys"])
+
+        slim = docs.select("id", "lang", "source", "n_chars", "text").mapInArrow(run, "id long, x array<double>, keys array<int>")
+        self.table = durable(slim.join(marks.select("id"), "id", "left_anti").select("x", "keys"))
+
+    def lend(self, by_text: list[Lender], by_meta: list[Lender], sure: float) -> list[tuple[list[int], int, int, int]]:
+        """``(keys, label for the metadata view, label for the text view, documents)``."""
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if b.num_rows:
+                    x, keys = b.column(0).flatten().to_numpy().reshape(b.num_rows, -1), b.column(1).to_pylist()
+                    yield pa.RecordBatch.from_arrays([b.column(1), pa.array(pseudo_labels(x, by_text, sure), pa.int32()), pa.array(pseudo_labels(meta_matrix(keys), by_meta, sure), pa.int32())], ["keys", "for_meta", "for_text"])
+
+        got = self.table.mapInArrow(run, "keys array<int>, for_meta int, for_text int").groupBy("keys", "for_meta", "for_text").count()
+        return [tuple(r) for r in got.where("for_meta >= 0 or for_text >= 0").collect()]  # a row a combination of language, source and size
+
+    def text_sums(self, by_meta: list[Lender], sure: float, weights: np.ndarray) -> Callable:
+        """Gradient and curvature of the text view's pseudo-labelled rows, a small row from each partition."""
+
+        def more(coef: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+                n = len(coef)
+                g, h = np.zeros(n), np.zeros((n, n))
+                for b in batches:
+                    if b.num_rows:
+                        y = pseudo_labels(meta_matrix(b.column(1).to_pylist()), by_meta, sure)
+                        x = b.column(0).flatten().to_numpy().reshape(b.num_rows, -1)[y >= 0]
+                        y = y[y >= 0]
+                        dg, dh = newton_sums(x, y, weights[y], coef)
+                        g, h = g + dg, h + dh
+                yield pa.RecordBatch.from_arrays([pa.array([g.tolist()]), pa.array([h.ravel().tolist()])], ["g", "h"])
+
+            got = self.table.mapInArrow(run, "g array<double>, h array<double>").collect()
+            return sum(np.array(r.g) for r in got), sum(np.array(r.h) for r in got).reshape(len(coef), -1)
+
+        return more
+
+
+def co_train(texts: list[str], metas: list[list[int]], y: np.ndarray, toxic: np.ndarray, pool_of: Callable[[CoModel], Pool], rounds: int = 3, sure: float = 0.98, held: float = 0.3) -> CoModel:
+    """``y``: 1 is good; ``toxic`` marks the bad documents that are bad by their words.
+
+    Pseudo-labels weigh half a label each, and together no more than the labels of their kind.
+    """
     model = CoModel()
     if not len(y) or y.min() == y.max():
         return model
@@ -152,50 +232,45 @@ def co_train(texts: list[str], metas: list[list[int]], y: np.ndarray, toxic: np.
     if len(set(y[fit].tolist())) < 2 or not out.any():  # too few labels to hold any out
         fit = out = np.ones(len(y), bool)
     model.lexicon = lexicon_of([t for t, f in zip(texts, fit, strict=True) if f], toxic[fit].astype(bool))
-    rows = lambda ts: np.stack([model.text_row(t) for t in ts]) if ts else np.zeros((0, SHAPES + 2))
-    a, b, pa_, pb = rows(texts), meta_matrix(metas), rows(pool_texts), meta_matrix(pool_metas)
+    pool = pool_of(model)
+    a, b = np.stack([model.text_row(t) for t in texts]), meta_matrix(metas)
     base = float(np.log(y[fit].mean() / (1 - y[fit].mean())))
-    lent: list[dict[int, int]] = [{}, {}]  # pseudo-labels given to the text view, to the metadata view
-
-    def train(x: np.ndarray, pool: np.ndarray, extra: dict[int, int], ridge: float) -> np.ndarray:
-        at = np.fromiter(extra, np.int64, len(extra))
-        xs, ys = np.vstack([x[fit], pool[at]]), np.concatenate([y[fit], np.fromiter(extra.values(), float, len(extra))])
-        return logistic(xs, ys, np.concatenate([np.ones(int(fit.sum())), np.full(len(at), 0.5)]), ridge)
-
-    for r in range(rounds + 1):
-        ta, tb = train(a, pa_, lent[0], 0.05), train(b, pb, lent[1], 2.0)
-        if r == rounds or not len(pool_texts):
-            break
-        for source, target, view, coef, x in ((0, 1, pa_, ta, a), (1, 0, pb, tb, b)):
-            s, c = _platt(x[out] @ coef, y[out])
-            p = 1 / (1 + np.exp(-np.clip(s * (view @ coef) + c, -30, 30)))
-            for label, order in ((1, np.argsort(-p, kind="stable")), (0, np.argsort(p, kind="stable"))):
-                part = y[fit].mean() if label else 1 - y[fit].mean()
-                for i in order[: int(len(p) * share * part) + 1]:
-                    if (p[i] if label else 1 - p[i]) >= sure:
-                        lent[target].setdefault(int(i), label)
+    own, one = np.array([(y[fit] == k).sum() for k in (0, 1)]), np.ones(int(fit.sum()))
+    ta, tb = logistic(a[fit], y[fit], one, 0.05), logistic(b[fit], y[fit], one, 2.0)
+    by_text: list[Lender] = []
+    by_meta: list[Lender] = []
+    for _ in range(rounds):
+        by_text.append((ta, *_platt(a[out] @ ta, y[out])))
+        by_meta.append((tb, *_platt(b[out] @ tb, y[out])))
+        lent = pool.lend(by_text, by_meta, sure)
+        count = lambda k: np.array([sum(r[3] for r in lent if r[k] == v) for v in (0, 1)])
+        for_meta, for_text = (np.minimum(0.5, own / np.maximum(count(k), 1)) for k in (1, 2))
+        rows = [r for r in lent if r[1] >= 0]
+        if rows:
+            yy, n = np.array([r[1] for r in rows]), np.array([r[3] for r in rows])
+            tb = logistic(np.vstack([b[fit], meta_matrix([r[0] for r in rows])]), np.concatenate([y[fit], yy]), np.concatenate([one, n * for_meta[yy]]), 2.0)
+        if any(r[2] >= 0 for r in lent):
+            ta = logistic(a[fit], y[fit], one, 0.05, more=pool.text_sums(by_meta, sure, for_text), start=ta)
     model.text, model.meta, model.prior = ta, tb, base
     model.scale = (_platt(a[out] @ ta, y[out]), _platt(b[out] @ tb, y[out]))
     return model
 
 
-def fit_model(docs: DataFrame, labels: DataFrame, fit_rows: int = 6000, pool_rows: int = 2000, longest: int = 1 << 20, id_col: str = "doc_id", text_col: str = "text") -> CoModel:
-    """Fit on at most ``fit_rows`` labelled and ``pool_rows`` unlabelled documents of up to ``longest`` characters."""
-    marks = labels.where("quality is not null").groupBy(F.col(id_col).alias("id")).agg(F.min("quality").alias("quality"), F.max(F.coalesce("toxic", F.lit(0))).alias("toxic"))
-    cols = [F.col(id_col).cast("long").alias("id"), *[F.col(c) if c in docs.columns else F.lit(None).cast("string").alias(c) for c in ("lang", "source")], (F.col("n_chars") if "n_chars" in docs.columns else F.char_length(text_col)).cast("long").alias("n_chars")]
-    ids = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id")).distinct()
-    order = F.xxhash64("id")
-    # the samples are chosen by id alone, so only their texts are fetched
-    chosen = ids.join(marks, "id").orderBy(order, "id").limit(fit_rows).toArrow().to_pydict()
-    spare = ids.join(marks, "id", "left_anti").orderBy(order, "id").limit(pool_rows).toArrow().to_pydict()["id"]
-    wanted = docs.sparkSession.createDataFrame([(i,) for i in [*chosen["id"], *spare]] or [(None,)], "id long")
-    got = docs.select(*cols, F.coalesce(text_col, F.lit("")).alias("text")).join(F.broadcast(wanted), "id").where(F.char_length("text") <= longest).dropDuplicates(["id"]).toArrow().to_pydict()
+def fit_model(docs: DataFrame, labels: DataFrame, fit_rows: int = 6000, longest: int = 1 << 20, id_col: str = "doc_id", text_col: str = "text") -> CoModel:
+    """Fit on at most ``fit_rows`` labelled documents of up to ``longest`` characters and on all unlabelled ones."""
+    marks = labels.where("quality is not null").groupBy(F.col(id_col).cast("long").alias("id")).agg(F.min("quality").alias("quality"), F.max(F.coalesce("toxic", F.lit(0))).alias("toxic"))
+    cols = [F.col(id_col).cast("long").alias("id"), *[(F.col(c) if c in docs.columns else F.lit(None)).cast("string").alias(c) for c in ("lang", "source")], (F.col("n_chars") if "n_chars" in docs.columns else F.char_length(text_col)).cast("long").alias("n_chars")]
+    plain = docs.select(*cols, F.coalesce(text_col, F.lit("")).alias("text"))
+    ids = plain.where("id is not null").select("id").distinct()
+    # the sample is chosen by id alone, so only its texts are fetched
+    chosen = ids.join(marks, "id").orderBy(F.xxhash64("id"), "id").limit(fit_rows).toArrow().to_pydict()
+    wanted = docs.sparkSession.createDataFrame([(i,) for i in chosen["id"]] or [(None,)], "id long")
+    got = plain.join(F.broadcast(wanted), "id").where(F.char_length("text") <= longest).dropDuplicates(["id"]).toArrow().to_pydict()
     at = {i: k for k, i in enumerate(got["id"])}
     texts, metas = got["text"], [meta_keys(*x) for x in zip(got["lang"], got["source"], got["n_chars"], strict=True)]
     own = [(k, q, t) for i, q, t in zip(chosen["id"], chosen["quality"], chosen["toxic"], strict=True) if (k := at.get(i)) is not None]
-    free = [at[i] for i in spare if i in at]
     y = np.array([float(q == 1 and t == 0) for _, q, t in own])
-    return co_train([texts[k] for k, *_ in own], [metas[k] for k, *_ in own], y, np.array([t for *_, t in own]), [texts[k] for k in free], [metas[k] for k in free])
+    return co_train([texts[k] for k, *_ in own], [metas[k] for k, *_ in own], y, np.array([t for *_, t in own]), lambda model: Pool(plain, marks, model))
 
 
 def score(docs: DataFrame, model: CoModel, text_col: str = "text") -> DataFrame:

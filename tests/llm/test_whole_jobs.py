@@ -1,6 +1,8 @@
 """Cases in which the training-data operators once did less than the whole job."""
 
-from delimscan.llm import html_text
+import numpy as np
+from delimscan.llm import cotrain, html_text
+from pyspark.sql import functions as F
 
 
 def _texts(spark, rows):
@@ -26,3 +28,19 @@ def test_near_copies_keep_their_text(spark):
     whole = "The whole story, paragraph one\n\nThe whole story, paragraph two"
     got = _texts(spark, [(i, "http://a.example/", page.format(i, "")) for i in range(12)] + [(20 + i, "http://b.example/", page.format(i, f"<p>seen {i}</p>")) for i in range(12)])
     assert all(got[i] == whole and got[20 + i] == f"{whole}\n\nseen {i}" for i in range(12))
+
+
+def test_every_unlabelled_document_takes_part(spark):
+    sf = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    docs = docs.unionByName(docs.withColumn("doc_id", F.col("doc_id") + 10**6)).unionByName(docs.withColumn("doc_id", F.col("doc_id") + 2 * 10**6)).unionByName(docs.withColumn("doc_id", F.col("doc_id") + 3 * 10**6))
+    plain = docs.select(F.col("doc_id").alias("id"), "lang", "source", "n_chars", "text")
+    pool = cotrain.Pool(plain, labels.select(F.col("doc_id").alias("id")), cotrain.CoModel())
+    free = docs.join(labels, "doc_id", "left_anti").count()
+    assert pool.table.count() == free > 2000
+    always = [(np.zeros(cotrain.META_BINS + 1), 1.0, 9.0)]
+    text = [(np.zeros(cotrain.SHAPES + 2), 1.0, 9.0)]
+    assert sum(r[3] for r in pool.lend(text, always, 0.98) if r[1] == r[2] == 1) == free
+    x = np.array([r.x for r in pool.table.select("x").collect()])
+    g, h = pool.text_sums(always, 0.98, np.array([0.5, 0.25]))(np.zeros(x.shape[1]))
+    assert np.allclose(g, 0.125 * x.sum(0)) and np.allclose(h, 0.0625 * x.T @ x)
