@@ -28,13 +28,19 @@ def path_of(url: Column) -> Column:
     return F.regexp_extract(url, r"^[a-zA-Z][a-zA-Z0-9+.-]*://[^/?#]*([^?#]*)", 1)
 
 
-def patterns_of(url: Column, depth: int = 3) -> Column:
+def depth_of(entries: DataFrame) -> int:
+    """Folders in the deepest path of any entry."""
+    parts = F.filter(F.split("pattern", "/"), lambda p: p != "")
+    return entries.where("pattern like 'p:%'").agg(F.max(F.size(parts) - 1).alias("n")).first()["n"] or 0
+
+
+def patterns_of(url: Column, depth: int) -> Column:
     """Every pattern that matches an address: its host and parent domains, and host + path prefixes down to ``depth`` folders."""
     host = host_of(url)
     labels = F.split(host, r"\.")
     domains = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.concat(F.lit("d:"), F.array_join(F.slice(labels, i, F.size(labels)), ".")))
-    parts = F.slice(F.filter(F.split(path_of(url), "/"), lambda p: p != ""), 1, depth)
-    paths = F.transform(F.sequence(F.lit(1), F.size(parts)), lambda i: F.concat(F.lit("p:"), host, F.lit("/"), F.array_join(F.slice(parts, 1, i), "/")))
+    parts = F.slice(F.filter(F.split(path_of(url), "/"), lambda p: p != ""), 1, max(depth, 0))
+    paths = F.transform(F.sequence(F.lit(1), F.greatest(F.size(parts), F.lit(1))), lambda i: F.concat(F.lit("p:"), host, F.lit("/"), F.array_join(F.slice(parts, 1, i), "/")))
     return F.when(host.isNotNull(), F.array_distinct(F.concat(domains, F.when(F.size(parts) > 0, paths).otherwise(F.array().cast("array<string>")))))
 
 
@@ -47,7 +53,7 @@ def intervals(entries: DataFrame) -> DataFrame:
     return turns.withColumn("until", F.lead("at").over(own)).where("on").select("list", "pattern", F.col("at").alias("since"), "until")
 
 
-def judge(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_col: str = "url", time_col: str = "fetched", salts: int = 32, depth: int = 3) -> DataFrame:
+def judge(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_col: str = "url", time_col: str = "fetched", salts: int = 32) -> DataFrame:
     """Every capture with the lists that were against it: ``(id_col, url_col, time_col, lists, blocked)``.
 
     A pattern's intervals are copied to ``salts`` salts and captures are dealt among these, so that a host with a third
@@ -55,7 +61,7 @@ def judge(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_
     """
     rows = durable(captures.select(F.monotonically_increasing_id().alias("row"), F.col(id_col), F.col(url_col), F.col(time_col)))
     salt = F.pmod(F.xxhash64("row"), F.lit(salts)).cast("int")
-    asks = rows.where(F.col(time_col).isNotNull()).select("row", F.col(time_col).alias("at"), salt.alias("salt"), F.explode(patterns_of(F.col(url_col), depth)).alias("pattern"))
+    asks = rows.where(F.col(time_col).isNotNull()).select("row", F.col(time_col).alias("at"), salt.alias("salt"), F.explode(patterns_of(F.col(url_col), depth_of(entries))).alias("pattern"))
     turns = intervals(entries)
     # every list turns at its own times, so a pattern's state is the set of its lists after each turn
     steps = turns.select("pattern", "list", F.col("since").alias("at"), F.lit(1).alias("way")).unionByName(turns.where("until is not null").select("pattern", "list", F.col("until").alias("at"), F.lit(-1).alias("way")))

@@ -1,7 +1,7 @@
 """Cases in which the training-data operators once did less than the whole job."""
 
 import numpy as np
-from delimscan.llm import cotrain, html_text
+from delimscan.llm import cotrain, html_text, url_lists
 from pyspark.sql import functions as F
 
 
@@ -30,6 +30,14 @@ def test_near_copies_keep_their_text(spark):
     assert all(got[i] == whole and got[20 + i] == f"{whole}\n\nseen {i}" for i in range(12))
 
 
+def test_deep_path_entries_match(spark):
+    at = F.expr("timestamp_ntz '2024-01-01 00:00:00'")
+    caps = spark.createDataFrame([(0, "http://a.example/a/b/c/d/e?x"), (1, "http://a.example/a/b/c/x"), (2, "http://a.example/"), (3, "http://b.example/1/2/3/4/5/6")], "page_id long, url string").withColumn("fetched", at)
+    hist = spark.createDataFrame([("deep", "p:a.example/a/b/c/d", "add"), ("deep", "p:b.example/1/2/3/4/5/6", "add")], "list string, pattern string, action string").withColumn("at", at)
+    assert {r.page_id: r.blocked for r in url_lists.judge(caps, hist).collect()} == {0: True, 1: False, 2: False, 3: True}
+    assert not url_lists.judge(caps, hist.limit(0)).where("blocked").count()
+
+
 def test_every_unlabelled_document_takes_part(spark):
     sf = "/root/testdata/sf0.01"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
