@@ -81,7 +81,8 @@ class ChunkEncoder(ChunkMemory):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
+        self.tok.encode_special_tokens = True  # a special token's string in a text is ordinary text, as the vocabulary files' description asks
+        self.largest = max(self.tok.get_vocab(with_added_tokens=True).values())
         self.mark = self.tok.encode(" " + MARK, add_special_tokens=False).ids  # ends with an id that only this character has
 
     def cut(self, raw: np.ndarray, off: np.ndarray) -> np.ndarray:

@@ -15,18 +15,40 @@ SLICE_BYTES = 4 << 20  # text bytes that one numpy pass holds, so worker memory
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``, or one of our own where it is unset (tests, local mode)."""
+    """This application's folder below ``spark.checkpoint.dir``, which all executors share.
+
+    Where that is unset, local mode gets a folder of its own; on a cluster it is an error, since executors would each
+    write to a disk of their own.
+    """
     base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
-    return base or os.path.join(os.environ.get("TMPDIR", "/tmp"), "delimscan-shared")
+    if not base:
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        base = os.path.join(os.environ.get("TMPDIR", "/tmp"), "delimscan-shared")
+    return f"{base.rstrip('/')}/delimscan-{spark.sparkContext.applicationId}"
+
+
+def sweep(spark: SparkSession) -> bool:
+    """Delete what this application wrote to the shared folder; every frame that still reads from it is lost."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(shared_dir(spark))
+    return path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def durable(df: DataFrame, codec: str = "zstd") -> DataFrame:
     """Write ``df`` once to the shared folder and read it back: lineage ends there and lost executors cost nothing."""
-    path = f"{shared_dir(df.sparkSession).rstrip('/')}/{uuid.uuid4().hex}.parquet"
+    path = f"{shared_dir(df.sparkSession)}/{uuid.uuid4().hex}.parquet"
     df.write.option("compression", codec).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def fresh(name: str, taken: list[str]) -> str:
+    """``name``, with underscores behind it until no column in ``taken`` has it in any case."""
+    used = {c.lower() for c in taken}
+    while name.lower() in used:
+        name += "_"
+    return name
+
+
 def let(value: Column, body) -> Column:
     """``body(v)`` with ``value`` evaluated once: a lambda variable is bound, an inlined expression is not."""
     return F.element_at(F.transform(F.array(value), body), 1)

@@ -1,8 +1,9 @@
 """Token-id files: flat unsigned integers plus 64-bit document offsets, memory-mapped when they are read.
 
 One file set a Spark partition of the documents ranged by id: ``shard-00007.ids`` (little-endian unsigned 16- or
-32-bit ids, by vocabulary size), ``.off`` (n + 1 unsigned 64-bit offsets, in ids, from the file's first) and ``.doc``
-(n signed 64-bit document ids).  A partition's base is the prefix sum of the lengths before it.
+32-bit ids, whichever the vocabulary and the end id need), ``.off`` (n + 1 unsigned 64-bit offsets, in ids, from the
+file's first) and ``.doc`` (n signed 64-bit document ids).  A partition's base is the prefix sum of the lengths before
+it.  The manifest names the width of the ids; an id that does not fit the width raises an error.
 
 Defined results: a null text is empty, so its document holds the end id alone; a null id sorts first and is stored as
 the smallest 64-bit integer; documents of equal id are ordered by the hash of their text, then the text; an empty
@@ -43,8 +44,21 @@ def _map(uri: str, dtype: str) -> np.ndarray:
         return np.frombuffer(f.read_buffer(), dtype)
 
 
-def write_token_files(docs: DataFrame, folder: str, tokenizer: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", width: int = 2) -> DataFrame:
-    """Encode and write; returns the manifest ``(part, documents, ids, base)``, one row a file set, ``base`` = ids before it."""
+def id_width(tokenizer: str, end_id: int) -> int:
+    """Bytes an id takes: 2 if every id of the vocabulary and the end id fit 16 bits, else 4."""
+    return 2 if max(encoder(tokenizer).largest, end_id) < 1 << 16 else 4
+
+
+def packed(ids: np.ndarray, width: int) -> bytes:
+    """Ids as little-endian unsigned numbers of ``width`` bytes."""
+    if len(ids) and int(ids.max()) >> (8 * width):
+        raise ValueError(f"id {int(ids.max())} does not fit {8 * width} bits")
+    return ids.astype(f"<u{width}").tobytes()
+
+
+def write_token_files(docs: DataFrame, folder: str, tokenizer: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", width: int | None = None) -> DataFrame:
+    """Encode and write; returns the manifest ``(part, documents, ids, width, base)``, one row a file set, ``base`` = ids before it."""
+    width = width or id_width(tokenizer, end_id)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -60,28 +74,28 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer: str, end_id: int,
             ids, at = enc.encode(raw, off)
             ids = np.insert(ids, at[1:], end_id)
             ends = at[1:] + np.arange(1, len(at))
-            sinks["ids"].write(ids.astype(f"<u{width}").tobytes())
+            sinks["ids"].write(packed(ids, width))
             sinks["off"].write((total + ends).astype("<u8").tobytes())
             sinks["doc"].write(rows.column(0).fill_null(NO_ID).to_numpy(zero_copy_only=False).astype("<i8").tobytes())
             total, n = total + len(ids), n + rows.num_rows
         for x, sink in sinks.items():
             sink.close()
             store.move(f"{names[x]}.{attempt}", names[x])  # a retried task replaces its own files whole
-        yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([n], pa.int64()), pa.array([total], pa.int64())], ["part", "documents", "ids"])
+        yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([n], pa.int64()), pa.array([total], pa.int64()), pa.array([width], pa.int32())], ["part", "documents", "ids", "width"])
 
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
     ranged = rows.withColumn("h", F.xxhash64("text")).repartitionByRange("id", "h").sortWithinPartitions("id", "h", "text").drop("h")
-    written = durable(ranged.mapInArrow(run, "part int, documents long, ids long"))
+    written = durable(ranged.mapInArrow(run, "part int, documents long, ids long, width int"))
     before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # one row a file, not a document
     return durable(written.withColumn("base", F.coalesce(F.sum("ids").over(before), F.lit(0).cast("long"))))
 
 
-def read_token_files(manifest: DataFrame, folder: str, width: int = 2) -> DataFrame:
+def read_token_files(manifest: DataFrame, folder: str) -> DataFrame:
     """``(doc_id, start, n_tokens, ids_crc32)`` from the files; ``start`` counts the ids of all documents before."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part, n, base in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+            for part, n, base, width in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
                 stem = f"{folder.rstrip('/')}/shard-{part:05d}"
                 ids, off, doc = _map(f"{stem}.ids", f"<u{width}"), _map(f"{stem}.off", "<u8"), _map(f"{stem}.doc", "<i8")
                 if len(doc) != n or len(off) != n + 1 or len(ids) != int(off[-1]):
@@ -94,9 +108,10 @@ def read_token_files(manifest: DataFrame, folder: str, width: int = 2) -> DataFr
                     d = doc[lo:hi].astype(np.int64)
                     yield pa.RecordBatch.from_arrays([pa.array(d, mask=d == NO_ID), pa.array(base + o[:-1]), pa.array(np.diff(o)), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    spread = manifest.where("documents > 0").select("part", "documents", "base").repartition(F.col("part"))
+    sets = manifest.where("documents > 0").select("part", "documents", "base", "width")
+    spread = sets.repartitionByRange(max(1, sets.count()), "part")  # a file set a task; with a number, so adaptive execution does not merge the few rows
     return spread.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def new_folder(spark: SparkSession) -> str:
-    return f"{shared_dir(spark).rstrip('/')}/tokens-{uuid.uuid4().hex}"
+    return f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}"
