@@ -10,12 +10,17 @@ rep AS (SELECT r, sum(least(5, coalesce(nxt - i, 5)))::BIGINT AS n_repeat_words
         FROM (SELECT r, i, lead(i) OVER (PARTITION BY r ORDER BY i) AS nxt FROM twin) GROUP BY r),
 m AS (SELECT w.doc_id, len(ws)::BIGINT AS n_words, length(array_to_string(ws, ''))::BIGINT AS word_chars,
              (length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')))::BIGINT AS n_symbols,
-             (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines, coalesce(rep.n_repeat_words, 0) AS n_repeat_words
+             (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines, coalesce(rep.n_repeat_words, 0) AS n_repeat_words, len(ls) AS n_lines,
+             len(list_filter(ls, lambda x: regexp_matches(x, '^[\x20\x09-\x0D]*[-*+•‣◦][\x20\x09]'))) AS n_bullet_lines,
+             len(list_filter(ls, lambda x: regexp_matches(x, '(?:\.\.\.|…)[\x20\x09-\x0D]*\z'))) AS n_cut_lines,
+             len(list_filter(ws, lambda x: regexp_matches(x, '\p{L}'))) AS n_letter_words
       FROM (SELECT *, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS ls FROM w) w
       LEFT JOIN rep USING (r)),
 b AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM m)
-SELECT *, NOT base_failed AND NOT (100 * n_symbols > 20 * n_words) AND NOT (n_dup_lines > 5 AND 10 * n_dup_lines > n_words)
-          AND NOT (word_chars < 2 * n_words OR word_chars > 100 * n_words) AS kept
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+       NOT base_failed AND NOT (100 * n_symbols > 20 * n_words) AND NOT (n_dup_lines > 5 AND 10 * n_dup_lines > n_words)
+       AND NOT (word_chars < 2 * n_words OR word_chars > 100 * n_words)
+       AND NOT (10 * n_bullet_lines > 9 * n_lines) AND NOT (10 * n_cut_lines > 3 * n_lines) AND NOT (10 * n_letter_words < 6 * n_words) AS kept
 FROM b""",
     "op10_url_lists": r"""
 WITH c AS (SELECT row_number() OVER () AS r, page_id, url, TIMESTAMP '2024-01-01' + to_days((page_id % 366)::INT) + to_hours((page_id % 24)::INT) AS fetched,
