@@ -60,14 +60,14 @@ def with_shards(docs: DataFrame, tree: Tree, grown: Tree | None = None, id_col:
     key = F.coalesce(F.col("id").cast("string"), F.lit(""))
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     rows = docs.select(F.col(id_col).cast("long").alias("id"), (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"))
-    rows = rows.withColumn("shard", place(key, tree)).withColumn("grown_shard", place(key, grown) if grown else F.lit(None).cast("int"))
-    rows = durable(rows)
-    runs = max(64, rows.count() // run_rows)
+    rows = rows.withColumn("shard", place(key, tree).cast("int")).withColumn("grown_shard", (place(key, grown) if grown else F.lit(None)).cast("int"))
+    runs = max(64, docs.count() // run_rows)
     # rows that repeat an id are told apart by their text, so a hot id does not make a hot run
     rows = rows.withColumn("run", F.pmod(F.xxhash64("id", "size", "text_crc32"), F.lit(runs)))
     order = Window.partitionBy("shard", "run").orderBy("id", "size", "text_crc32")
-    before = Window.partitionBy("shard").orderBy("run").rowsBetween(Window.unboundedPreceding, -1)
-    base = rows.groupBy("shard", "run").count().withColumn("base", F.coalesce(F.sum("count").over(before), F.lit(0)))
-    own = rows.withColumn("at", F.row_number().over(order) - 1)
+    # written behind the one exchange, so the files are as few as its partitions and not as the input's
+    own = durable(rows.withColumn("at", F.row_number().over(order).cast("long") - 1))
+    before = Window.partitionBy("shard").orderBy("run").rowsBetween(Window.unboundedPreceding, -1)  # a row a run
+    base = own.groupBy("shard", "run").agg((F.max("at") + 1).alias("n")).withColumn("base", F.coalesce(F.sum("n").over(before), F.lit(0)))
     return own.join(base.select("shard", "run", "base"), ["shard", "run"]).select(
-        F.col("id").alias(id_col), "size", "text_crc32", F.lit("key").alias("law"), F.col("shard").cast("int").alias("shard"), (F.col("base") + F.col("at")).cast("long").alias("slot"), F.col("grown_shard").cast("int").alias("grown_shard"))
+        F.col("id").alias(id_col), "size", "text_crc32", F.lit("key").alias("law"), "shard", (F.col("base") + F.col("at")).cast("long").alias("slot"), "grown_shard")
