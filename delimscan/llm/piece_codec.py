@@ -1,20 +1,26 @@
 """SentencePiece encoding and decoding in batched numpy.
 
 Distinct words are laid out by length, and words of equal length advance together.  Hashes of all their substrings
-probe the sorted hashes of the pieces, which gives the lattice of a whole batch at once.  A unigram model is solved on
-it by Viterbi: vectorised maxima over the pieces that end at a position store backpointers.  A BPE model asks for
-merges in order of score, which no sum of scores over a path yields; there the vectorised maxima are taken over the
-adjacent pairs of the same lattice, one merge of every word a step.
+probe the sorted hashes of the pieces, which gives the lattice of a whole batch at once.  It is solved by Viterbi:
+vectorised maxima over the pieces that end at a position store backpointers.
+
+A path's score is the sum of its pieces' scores in a unigram model.  A BPE model asks for merges in order of score,
+which no such sum yields; there a path scores by its seams.  Merges on either side of a final seam never see each
+other, so a sequence of pieces is the model's result exactly if every two neighbours are: if merging their joint text
+stops at just these two.  A step from one piece to the next scores 0 if that holds and minus infinity if not, and the
+maximum over the pieces that end at a position finds the only one there is.  Whether two pieces hold is read off their
+merge trees: going back in time along both edges of the seam, no merge across it may have come first.
 
 Defined results: null and empty texts have no ids and decode to an empty text; a character without a piece becomes
-its byte pieces, or the unknown piece where the model has none; texts of any length are encoded whole.
+its byte pieces, or the unknown piece where the model has none; texts and words of any length are encoded whole, the
+lattice being held for a window of a word at a time; repeated rows are encoded alike; an empty table gives no row.
+Other columns do not matter.  A model's own text normaliser beyond spaces is not applied.
 """
 
 from __future__ import annotations
 
-import heapq
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -26,8 +32,9 @@ from .common import ragged_take, slices
 
 BLANK = "▁"  # stands for a space in pieces
 BASE = np.uint64(0x9E3779B97F4A7C15)  # odd multiplier of the substring hashes
-LONG = 192  # longer words merge through a heap
+LONG = 192  # longer words advance one by one
 CELLS = 1 << 22  # lattice cells a batch holds at most
+SEAMS = 1 << 21  # places of the memory of seams
 _CODECS: dict[str, PieceCodec] = {}
 
 
@@ -59,6 +66,8 @@ class PieceCodec(ChunkMemory):
         self.face_len = np.array([len(f) for f in faces])
         self.face_at = np.cumsum(self.face_len) - self.face_len
         self.floor = float(self.scores[own].min()) - 10.0  # score of an unknown character in a unigram model
+        if kind == "bpe":
+            self._plant()
 
     @classmethod
     def load(cls, path: str) -> PieceCodec:
@@ -104,35 +113,53 @@ class PieceCodec(ChunkMemory):
                     out[row[same], start[same], length - 1] = self.piece_of[at[same]]
         return out
 
-    def _viterbi(self, points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Begins of the best pieces, ``(word, begin)`` pairs in order."""
-        n, size = points.shape
-        lattice = self.lattice(points)
-        best = np.full((n, size + 1), -np.inf)
-        best[:, 0] = 0
-        back = np.zeros((n, size + 1), np.int32)
-        for end in range(1, size + 1):
-            lengths = np.arange(1, min(self.longest, end) + 1)
-            piece = lattice[:, end - lengths, lengths - 1]
-            score = np.where(piece >= 0, self.scores[piece], -np.inf)
-            score[:, 0] = np.where(piece[:, 0] >= 0, score[:, 0], self.floor)
-            total = best[:, end - lengths] + score
-            pick = np.argmax(total, axis=1)
-            best[:, end] = total[np.arange(n), pick]
-            back[:, end] = lengths[pick]
-        begins = np.zeros((n, size), bool)
-        at, live = np.full(n, size), np.arange(n)
-        while len(live):
-            at[live] -= back[live, at[live]]
-            begins[live, at[live]] = True
-            live = live[at[live] > 0]
-        return np.nonzero(begins)
+    def _plant(self) -> None:
+        """Merge trees of the pieces: what each is last merged from, and in what order they come."""
+        n = len(self.pieces)
+        self.length = np.zeros(n + 1, np.int64)  # the last place stands for a character without a piece
+        self.length[-1] = 1
+        self.rank = np.full(n + 1, -1, np.int64)  # characters are there from the start
+        self.head, self.tail = np.full(n + 1, -1, np.int64), np.full(n + 1, -1, np.int64)
+        self.whole = np.zeros(n + 1, bool)  # pieces that merging their own text gives
+        self.whole[-1] = True
+        sizes = np.array([len(self.pieces[i]) for i in self.piece_of])
+        _, order = np.unique(-self.scores, return_inverse=True)  # pieces of one score share a rank, and the leftmost merges first
+        self.length[self.piece_of] = sizes
+        for size in np.unique(sizes):
+            own = np.flatnonzero(sizes == size)
+            ids = self.piece_of[own]
+            if size == 1:
+                self.whole[ids] = True
+                continue
+            self.rank[ids] = order[ids]
+            for lo in range(0, len(own), max(1, CELLS // int(size * size))):
+                at = own[lo : lo + max(1, CELLS // int(size * size))]
+                points = self.points[at, :size]
+                begins, cut = self._merge(points)
+                done = begins.sum(axis=1) == 1
+                self.whole[self.piece_of[at[done]]] = True
+                for k in np.flatnonzero(done):
+                    word, c = self.pieces[self.piece_of[at[k]]], cut[k]
+                    self.head[self.piece_of[at[k]]] = self.index.get(word[:c], -1)
+                    self.tail[self.piece_of[at[k]]] = self.index.get(word[c:], -1)
+        parts = np.stack([self.head[:-1], self.tail[:-1]])
+        # trees that do not tell the order of merges: parts ranked behind their whole, or among merges of one rank
+        self.late, self.tied = np.zeros(n + 1, bool), np.zeros(n + 1, bool)
+        self.late[:-1] = self.whole[:-1] & (self.rank[parts] > self.rank[:-1]).any(axis=0)
+        self.tied[:-1] = self.whole[:-1] & (self.rank[:-1] >= 0) & (self.rank[parts] == self.rank[:-1]).any(axis=0)
+        for size in np.unique(sizes):
+            ids = self.piece_of[sizes == size]
+            for mark in (self.late, self.tied):
+                mark[ids] |= mark[self.head[ids]] | mark[self.tail[ids]]
+        self.seam_key = np.full(SEAMS, -1, np.int64)
+        self.seam_ok = np.zeros(SEAMS, bool)
+        self.seam_of: dict[tuple[int, int], bool] = {}
 
     def _merge(self, points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Begins of the pieces left when the best adjacent pair of every word has merged until none can."""
+        """``(begins of the pieces left, place of the last merge)``, the best pair of each word merging a step; used for the pieces themselves."""
         n, size = points.shape
         lattice = self.lattice(points)
-        begins = np.ones((n, size), bool)
+        begins, cut = np.ones((n, size), bool), np.zeros(n, np.int64)
         live, edge = np.arange(n), np.tile(np.arange(size + 1), (n, 1))
         while len(live) and edge.shape[1] > 2:
             length = edge[:, 2:] - edge[:, :-2]
@@ -144,61 +171,164 @@ class PieceCodec(ChunkMemory):
             live, edge, pick = live[going], edge[going], pick[going]
             if not len(live):
                 break
-            begins[live, edge[np.arange(len(live)), pick + 1]] = False
+            cut[live] = edge[np.arange(len(live)), pick + 1]
+            begins[live, cut[live]] = False
             column = np.arange(edge.shape[1] - 1)
             edge = np.take_along_axis(edge, column[None, :] + (column[None, :] > pick[:, None]), axis=1)
-        return np.nonzero(begins)
-
-    def _merge_long(self, word: str) -> list[int]:
-        """Begins of the pieces of one long word, by a heap of adjacent pairs."""
-        n = len(word)
-        nxt, prev = list(range(1, n + 1)), list(range(-1, n))
-        heap: list[tuple[float, int, int]] = []
-
-        def offer(a: int) -> None:
-            b = nxt[a]
-            if b < n and nxt[b] - a <= self.longest and (p := self.index.get(word[a : nxt[b]])) is not None:
-                heapq.heappush(heap, (-self.scores[p], a, nxt[b]))
-
-        for a in range(n):
-            offer(a)
-        alive = [True] * n
-        while heap:
-            _, a, end = heapq.heappop(heap)
-            if not alive[a] or nxt[a] >= n or nxt[nxt[a]] != end:
-                continue
-            b = nxt[a]
-            alive[b], nxt[a] = False, end
-            if end < n:
-                prev[end] = a
-            offer(a)
-            if prev[a] >= 0:
-                offer(prev[a])
-        return [i for i in range(n) if alive[i]]
-
-    def _pieces(self, points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        return self._viterbi(points) if self.kind == "unigram" else self._merge(points)
+        return begins, cut
+
+    def _seams(self, a: np.ndarray, b: np.ndarray, across: Callable[[np.ndarray, np.ndarray, np.ndarray], np.ndarray]) -> np.ndarray:
+        """Whether pieces ``a`` and ``b`` stay apart; ``across(which, x, y)`` gives the pieces that cover their last ``x`` and first ``y`` characters."""
+        ok = np.ones(len(a), bool)
+        hard = self.late[a] | self.late[b] | (self.tied[a] & self.tied[b])
+        for i in np.flatnonzero(hard):  # few: merged as they stand
+            text = self.pieces[a[i]] + self.pieces[b[i]]
+            begins, _ = self._merge(np.array([[ord(c) for c in text]], np.uint32))
+            ok[i] = np.flatnonzero(begins[0]).tolist() == [0, len(self.pieces[a[i]])]
+        live = np.flatnonzero(~hard)
+        x, y = a[live], b[live]
+        limit = np.full(len(live), np.iinfo(np.int64).max)  # merges from here on had not come yet
+        while len(live):
+            joint = across(live, self.length[x], self.length[y])
+            first = (joint >= 0) & (self.rank[joint] < limit)
+            ok[live[first]] = False
+            rx, ry = self.rank[x], self.rank[y]
+            going = ~first & ((rx >= 0) | (ry >= 0))
+            live, x, y, rx, ry = live[going], x[going], y[going], rx[going], ry[going]
+            late = rx > ry  # the later of the two merges is undone; of equal ones the right one came later
+            limit = np.where(late, rx, ry + 1)
+            x, y = np.where(late, self.tail[x], x), np.where(late, y, self.head[y])
+        return ok
+
+    def _known_seams(self, a: np.ndarray, b: np.ndarray, across: Callable) -> np.ndarray:
+        key = a * (len(self.pieces) + 1) + b
+        with np.errstate(over="ignore"):
+            slot = ((key.astype(np.uint64) * BASE) >> np.uint64(43)).astype(np.int64) % SEAMS
+        ok = self.seam_ok[slot]
+        fresh = np.flatnonzero(self.seam_key[slot] != key)
+        if len(fresh):
+            ok[fresh] = self._seams(a[fresh], b[fresh], lambda which, x, y: across(fresh[which], x, y))
+            # of keys that share a slot the last stays, with its own answer
+            self.seam_key[slot[fresh]] = key[fresh]
+            mine = self.seam_key[slot[fresh]] == key[fresh]
+            self.seam_ok[slot[fresh[mine]]] = ok[fresh[mine]]
+        return ok
+
+    def _viterbi(self, points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Begins of the best pieces, ``(word, begin)`` pairs in order."""
+        return self._solve(points)[:2]
+
+    def _solve(self, points: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """``(word, begin, piece)`` of the best pieces, in order; -1 for a character without a piece."""
+        n, size = points.shape
+        bpe, every = self.kind == "bpe", np.arange(n)
+        back = np.zeros((n, size + 1), np.int32)
+        best = np.zeros((n, size + 1)) if not bpe else None
+        last = np.full((n, size + 1), -1, np.int32)  # the piece that ends at a position
+        window = max(4 * self.longest, CELLS // max(1, n * self.longest))
+        for lo in range(0, size, window):
+            base = max(0, lo - 2 * self.longest)
+            lattice = self.lattice(points[:, base : lo + window])
+            for end in range(lo + 1, min(size, lo + window) + 1):
+                lengths = np.arange(1, min(self.longest, end) + 1)
+                piece = lattice[:, end - lengths - base, np.minimum(lengths, lattice.shape[2]) - 1]
+                if bpe:
+                    piece = np.where((piece >= 0) & self.whole[piece], piece, -1)
+                    row, k = np.nonzero(piece >= 0)
+                    a, b, start = last[row, end - lengths[k]].astype(np.int64), piece[row, k].astype(np.int64), end - lengths[k]
+
+                    def across(which, x, y, row=row, start=start, lattice=lattice, base=base):
+                        span = x + y
+                        fits = span <= lattice.shape[2]
+                        return np.where(fits, lattice[row[which], start[which] - x - base, np.where(fits, span, 1) - 1], -1)
+
+                    holds = start == 0
+                    inner = np.flatnonzero(~holds & (back[row, start] > 0))
+                    holds[inner] = self._known_seams(a[inner], b[inner], lambda which, x, y, i=inner: across(i[which], x, y))
+                    score = np.zeros(piece.shape, np.int8)
+                    score[:, 0] = 1  # a character without a piece; no other piece reaches over it
+                    score[:, 0][piece[:, 0] >= 0] = 0
+                    score[row[holds], k[holds]] = 2
+                    pick = np.argmax(score, axis=1)
+                    back[:, end] = np.where(score[every, pick] > 0, lengths[pick], 0)  # 0: no result ends here
+                else:
+                    score = np.where(piece >= 0, self.scores[piece], -np.inf)
+                    score[:, 0] = np.where(piece[:, 0] >= 0, score[:, 0], self.floor)
+                    total = best[:, end - lengths] + score
+                    pick = np.argmax(total, axis=1)
+                    best[:, end] = total[every, pick]
+                    back[:, end] = lengths[pick]
+                last[:, end] = piece[every, pick]
+        begins, own = np.zeros((n, size), bool), np.zeros((n, size), np.int32)
+        at, live = np.full(n, size), every
+        while len(live):
+            piece = last[live, at[live]]
+            at[live] -= back[live, at[live]]
+            begins[live, at[live]], own[live, at[live]] = True, piece
+            live = live[at[live] > 0]
+        row, begin = np.nonzero(begins)
+        return row, begin, own[row, begin]
+
+    def _viterbi_long(self, word: str) -> list[int]:
+        """The same for one long word of a BPE model, position by position."""
+        n, find = len(word), self.index.get
+        last, back = [-1] * (n + 1), [0] * (n + 1)
+        for end in range(1, n + 1):
+            for start in range(end - 1, max(-1, end - self.longest - 1), -1):
+                p = find(word[start:end], -1)
+                if p < 0 and start < end - 1 or p >= 0 and not self.whole[p]:
+                    continue
+                if start == 0 or p < 0 or last[start] < 0:  # no piece reaches over a character without one
+                    held = True
+                else:
+                    held = self.seam_of.get((last[start], p))
+                    if held is None:
+                        seen = word[:end]
+                        held = bool(self._seams(np.array([last[start]]), np.array([p]), lambda _, x, y: np.array([find(seen[start - int(i) : start + int(j)], -1) for i, j in zip(x, y, strict=True)]))[0])
+                        if len(self.seam_of) > SEAMS:
+                            self.seam_of.clear()
+                        self.seam_of[last[start], p] = held
+                if held and (start == 0 or back[start]):
+                    last[end], back[end] = p, end - start
+                    break
+        begins, at = [], n
+        while at:
+            at -= back[at]
+            begins.append(at)
+        return begins[::-1]
 
     def encode_chunks(self, chunks: list[str]) -> tuple[list[str], np.ndarray, np.ndarray]:
         words = [c.replace(" ", BLANK) for c in chunks]
         size = np.fromiter(map(len, words), np.int64, len(words))
-        out: list[list[int] | np.ndarray] = [[]] * len(words)
-        find = self.index.get
+        names: list[str] = []
+        parts, counts = [np.zeros(0, np.uint32)], [np.zeros(0, np.int64)]
+
+        def one(i: int, begins: list[int]) -> None:
+            ids = self._ids(words[i], begins, self.index.get)
+            names.append(chunks[i])
+            parts.append(np.array(ids, np.uint32))
+            counts.append(np.array([len(ids)]))
+
         for length in np.unique(size):
             at = np.flatnonzero(size == length)
             if length > LONG and self.kind == "bpe":
                 for i in at:
-                    out[i] = self._ids(words[i], self._merge_long(words[i]), find)
+                    one(i, self._viterbi_long(words[i]))
                 continue
             step = max(1, CELLS // int(length * min(length, self.longest)))
             for lo in range(0, len(at), step):
                 own = at[lo : lo + step]
                 points = np.frombuffer("".join([words[i] for i in own]).encode("utf-32-le", "surrogatepass"), np.uint32).reshape(len(own), length)
-                row, begin = self._pieces(points)
-                for k, begins in enumerate(np.split(begin, np.searchsorted(row, np.arange(1, len(own))))):
-                    out[own[k]] = self._ids(words[own[k]], begins.tolist(), find)
-        n = np.fromiter(map(len, out), np.int64, len(out))
-        return chunks, np.fromiter((i for x in out for i in x), np.uint32, int(n.sum())), n
+                row, begin, piece = self._solve(points)
+                odd = np.zeros(len(own), bool)  # words with a character that has no piece
+                odd[row[piece < 0]] = True
+                plain = ~odd[row]
+                parts.append(piece[plain].astype(np.uint32))
+                counts.append(np.bincount(row[plain], minlength=len(own))[~odd])
+                names += [chunks[own[k]] for k in np.flatnonzero(~odd)]
+                for k in np.flatnonzero(odd):
+                    one(own[k], begin[row == k].tolist())
+        return names, np.concatenate(parts), np.concatenate(counts).astype(np.int64)
 
     def _ids(self, word: str, begins: list[int], find) -> list[int]:
         ids: list[int] = []
