@@ -7,11 +7,14 @@ shared prior counted once, to score every document.
 
 Labelled documents are sampled, ``fit_rows`` of them by the hash of their id.  Unlabelled documents all take part: each
 round scores every one, and every confident one enters the other view's fit through sums of gradients and curvatures
-by partition (text view) or counts of equal metadata (metadata view).  Scoring covers all documents, whole texts.
+(text view) or counts of equal metadata (metadata view).  Texts stay on the executors: what comes to the driver are
+the features of the sample, sums, and words that pass the lexicon's bars.  Scoring covers all documents, whole texts.
 
 Defined results: a null text is empty and scored like any; null metadata is a value of its own; labels that are null
-or of unknown documents are ignored; a document with contradicting labels counts as bad; without labels of both kinds
-every document gets score 1 and is kept; repeated rows are scored alike.
+or of unknown documents are ignored; a document with contradicting labels counts as bad; a labelled id with several
+texts is represented by one of them (least hash); without labels of both kinds every document gets score 1 and is
+kept; repeated rows are scored alike; a column of the input that is already called like a result stays as it is, and
+the result's name gets an underscore.
 """
 
 from __future__ import annotations
@@ -25,11 +28,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable
+from .common import durable, fresh
 
 SHAPES = 14
 TRIM = ".,;:!?\"'()[]|*#$%&<>"
 META_BINS = 1 << 8
+RESULTS = ("p_text", "p_meta", "score", "keep")
 
 
 def shape_features(text: str, words: list[str]) -> np.ndarray:
@@ -132,20 +136,25 @@ def meta_matrix(metas: list[list[int]]) -> np.ndarray:
     return out
 
 
-def lexicon_of(texts: list[str], bad: np.ndarray, least: int = 6, lift: float = 25.0, prefixes: tuple[int, ...] = (4, 5, 6)) -> dict[str, float]:
-    """Words, and beginnings of words, of bad texts: with at least ``least`` voices there, ``lift`` times the rate among good texts."""
-    sides: list[dict[str, set[int]]] = [{}, {}]
-    voices: list[set[int]] = [set(), set()]
-    for t, b in sorted(zip(texts, bad, strict=True), key=lambda x: not x[1]):  # bad ones first
-        words = t.split()
-        mark = _signature(words)
-        voices[int(b)].add(mark)
-        for s in _stems(words, prefixes):
-            if b or s in sides[1]:
-                sides[int(b)].setdefault(s, set()).add(mark)
-    n_bad, n_good = max(1, len(voices[1])), max(1, len(voices[0]))
-    rate = {s: (len(v) / n_bad) / ((len(sides[0].get(s, ())) + 0.5) / n_good) for s, v in sides[1].items() if len(v) >= least}
-    return {s: float(np.log(r)) for s, r in rate.items() if r >= lift}
+def lexicon_of(sample: DataFrame, least: int = 6, lift: float = 25.0, prefixes: tuple[int, ...] = (4, 5, 6)) -> dict[str, float]:
+    """Words, and beginnings of words, of the bad texts of ``sample(text, bad)``: with at least ``least`` voices there, ``lift`` times the rate among good texts."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for text, bad in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                words = (text or "").split()
+                stems = ["", *_stems(words, prefixes)]  # '' counts the voices themselves
+                yield pa.RecordBatch.from_arrays([pa.array(stems), pa.array([bad] * len(stems)), pa.array([_signature(words)] * len(stems), pa.int64())], ["stem", "bad", "voice"])
+
+    # a voice heard on both sides is a bad one
+    heard = sample.select("text", "bad").mapInArrow(run, "stem string, bad boolean, voice long").groupBy("stem", "voice").agg(F.max("bad").alias("bad"))
+    count = heard.groupBy("stem").agg(F.count_if("bad").alias("b"), F.count_if(~F.col("bad")).alias("g"))
+    total = count.where("stem = ''").first()
+    if total is None:
+        return {}
+    rate = (F.col("b") / max(1, total["b"])) / ((F.col("g") + 0.5) / max(1, total["g"]))
+    found = count.where("stem <> ''").where(F.col("b") >= least).withColumn("rate", rate).where(F.col("rate") >= lift).collect()
+    return {r["stem"]: float(np.log(r["rate"])) for r in found}
 
 
 def _platt(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
@@ -172,17 +181,7 @@ class Pool:
 
     def __init__(self, docs: DataFrame, marks: DataFrame, model: CoModel):
         """``docs(id, lang, source, n_chars, text)``; ``marks(id)`` are the labelled ones."""
-        held = docs.sparkSession.sparkContext.broadcast(model)
-
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                for lo in range(0, batch.num_rows, 512):
-                    b = batch.slice(lo, 512)
-                    rows = [held.value.text_row(t or "").tolist() for t in b.column(4).to_pylist()]
-                    metas = [meta_keys(*m) for m in zip(*(b.column(k).to_pylist() for k in (1, 2, 3)), strict=True)]
-                    yield pa.RecordBatch.from_arrays([b.column(0), pa.array(rows, pa.list_(pa.float64())), pa.array(metas, pa.list_(pa.int32()))], ["id", "x", "keys"])
-
-        slim = docs.select("id", "lang", "source", "n_chars", "text").mapInArrow(run, "id long, x array<double>, keys array<int>")
+        slim = _features(docs, model)
         self.table = durable(slim.join(marks.select("id"), "id", "left_anti").select("x", "keys"))
 
     def lend(self, by_text: list[Lender], by_meta: list[Lender], sure: float) -> list[tuple[list[int], int, int, int]]:
@@ -198,7 +197,7 @@ class Pool:
         return [tuple(r) for r in got.where("for_meta >= 0 or for_text >= 0").collect()]  # a row a combination of language, source and size
 
     def text_sums(self, by_meta: list[Lender], sure: float, weights: np.ndarray) -> Callable:
-        """Gradient and curvature of the text view's pseudo-labelled rows, a small row from each partition."""
+        """Gradient and curvature of the text view's pseudo-labelled rows, summed over partitions in Spark."""
 
         def more(coef: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
             def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -211,29 +210,32 @@ class Pool:
                         y = y[y >= 0]
                         dg, dh = newton_sums(x, y, weights[y], coef)
                         g, h = g + dg, h + dh
-                yield pa.RecordBatch.from_arrays([pa.array([g.tolist()]), pa.array([h.ravel().tolist()])], ["g", "h"])
+                flat = np.concatenate([g, h.ravel()])
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat)), pa.int32()), pa.array(flat)], ["at", "value"])
 
-            got = self.table.mapInArrow(run, "g array<double>, h array<double>").collect()
-            return sum(np.array(r.g) for r in got), sum(np.array(r.h) for r in got).reshape(len(coef), -1)
+            got = self.table.mapInArrow(run, "at int, value double").groupBy("at").agg(F.sum("value").alias("value")).collect()
+            flat = np.zeros(len(coef) * (len(coef) + 1))
+            for r in got:
+                flat[r["at"]] = r["value"]
+            return flat[: len(coef)], flat[len(coef) :].reshape(len(coef), -1)
 
         return more
 
 
-def co_train(texts: list[str], metas: list[list[int]], y: np.ndarray, toxic: np.ndarray, pool_of: Callable[[CoModel], Pool], rounds: int = 3, sure: float = 0.98, held: float = 0.3) -> CoModel:
-    """``y``: 1 is good; ``toxic`` marks the bad documents that are bad by their words.
+def held_out(n: int, held: float = 0.3) -> np.ndarray:
+    """Which of ``n`` sampled documents are kept back for calibration."""
+    return np.arange(n) % 10 < round(10 * held)
+
+
+def co_train(model: CoModel, a: np.ndarray, metas: list[list[int]], y: np.ndarray, out: np.ndarray, pool: Pool, rounds: int = 3, sure: float = 0.98) -> CoModel:
+    """Fit both views of ``model`` on features ``a`` and metadata, ``y`` being 1 for good; rows where ``out`` calibrate.
 
     Pseudo-labels weigh half a label each, and together no more than the labels of their kind.
     """
-    model = CoModel()
-    if not len(y) or y.min() == y.max():
-        return model
-    fit = np.arange(len(y)) % 10 >= round(10 * held)
-    out = ~fit
+    fit = ~out
     if len(set(y[fit].tolist())) < 2 or not out.any():  # too few labels to hold any out
         fit = out = np.ones(len(y), bool)
-    model.lexicon = lexicon_of([t for t, f in zip(texts, fit, strict=True) if f], toxic[fit].astype(bool))
-    pool = pool_of(model)
-    a, b = np.stack([model.text_row(t) for t in texts]), meta_matrix(metas)
+    b = meta_matrix(metas)
     base = float(np.log(y[fit].mean() / (1 - y[fit].mean())))
     own, one = np.array([(y[fit] == k).sum() for k in (0, 1)]), np.ones(int(fit.sum()))
     ta, tb = logistic(a[fit], y[fit], one, 0.05), logistic(b[fit], y[fit], one, 2.0)
@@ -256,21 +258,43 @@ def co_train(texts: list[str], metas: list[list[int]], y: np.ndarray, toxic: np.
     return model
 
 
-def fit_model(docs: DataFrame, labels: DataFrame, fit_rows: int = 6000, longest: int = 1 << 20, id_col: str = "doc_id", text_col: str = "text") -> CoModel:
-    """Fit on at most ``fit_rows`` labelled documents of up to ``longest`` characters and on all unlabelled ones."""
+def _features(rows: DataFrame, model: CoModel) -> DataFrame:
+    """``(id, x, keys)`` of ``rows(id, lang, source, n_chars, text)``: features of both views."""
+    held = rows.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 512):
+                b = batch.slice(lo, 512)
+                x = [held.value.text_row(t or "").tolist() for t in b.column(4).to_pylist()]
+                metas = [meta_keys(*m) for m in zip(*(b.column(k).to_pylist() for k in (1, 2, 3)), strict=True)]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x, pa.list_(pa.float64())), pa.array(metas, pa.list_(pa.int32()))], ["id", "x", "keys"])
+
+    return rows.select("id", "lang", "source", "n_chars", "text").mapInArrow(run, "id long, x array<double>, keys array<int>")
+
+
+def fit_model(docs: DataFrame, labels: DataFrame, fit_rows: int = 6000, id_col: str = "doc_id", text_col: str = "text") -> CoModel:
+    """Fit on at most ``fit_rows`` labelled documents and on all unlabelled ones."""
     marks = labels.where("quality is not null").groupBy(F.col(id_col).cast("long").alias("id")).agg(F.min("quality").alias("quality"), F.max(F.coalesce("toxic", F.lit(0))).alias("toxic"))
     cols = [F.col(id_col).cast("long").alias("id"), *[(F.col(c) if c in docs.columns else F.lit(None)).cast("string").alias(c) for c in ("lang", "source")], (F.col("n_chars") if "n_chars" in docs.columns else F.char_length(text_col)).cast("long").alias("n_chars")]
-    plain = docs.select(*cols, F.coalesce(text_col, F.lit("")).alias("text"))
+    plain = docs.select(*cols, F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     ids = plain.where("id is not null").select("id").distinct()
     # the sample is chosen by id alone, so only its texts are fetched
     chosen = ids.join(marks, "id").orderBy(F.xxhash64("id"), "id").limit(fit_rows).toArrow().to_pydict()
-    wanted = docs.sparkSession.createDataFrame([(i,) for i in chosen["id"]] or [(None,)], "id long")
-    got = plain.join(F.broadcast(wanted), "id").where(F.char_length("text") <= longest).dropDuplicates(["id"]).toArrow().to_pydict()
-    at = {i: k for k, i in enumerate(got["id"])}
-    texts, metas = got["text"], [meta_keys(*x) for x in zip(got["lang"], got["source"], got["n_chars"], strict=True)]
-    own = [(k, q, t) for i, q, t in zip(chosen["id"], chosen["quality"], chosen["toxic"], strict=True) if (k := at.get(i)) is not None]
-    y = np.array([float(q == 1 and t == 0) for _, q, t in own])
-    return co_train([texts[k] for k, *_ in own], [metas[k] for k, *_ in own], y, np.array([t for *_, t in own]), lambda model: Pool(plain, marks, model))
+    y = np.array([float(q == 1 and t == 0) for q, t in zip(chosen["quality"], chosen["toxic"], strict=True)])
+    model = CoModel()
+    if not len(y) or y.min() == y.max():
+        return model
+    out = held_out(len(y))
+    at = docs.sparkSession.createDataFrame([(i, k, bool(t)) for k, (i, t) in enumerate(zip(chosen["id"], chosen["toxic"], strict=True))], "id long, at int, bad boolean")
+    rows = plain.join(F.broadcast(at), "id")
+    own = F.min_by(F.struct("lang", "source", "n_chars", "text", "bad"), F.struct(F.xxhash64("text"), F.xxhash64("lang", "source", "n_chars")))
+    sample = durable(rows.groupBy("id", "at").agg(own.alias("r")).select("id", "at", "r.*"))
+    few = sample.where(~F.col("at").isin([int(k) for k in np.flatnonzero(out)])) if len(set(y[~out].tolist())) == 2 else sample
+    model.lexicon = lexicon_of(few)
+    got = sorted(_features(sample.withColumn("id", F.col("at").cast("long")), model).collect(), key=lambda r: r["id"])  # two short lists a sampled document
+    a, metas = np.array([r["x"] for r in got]), [list(r["keys"]) for r in got]
+    return co_train(model, a, metas, y, out, Pool(plain, marks, model))
 
 
 def score(docs: DataFrame, model: CoModel, text_col: str = "text") -> DataFrame:
@@ -291,7 +315,13 @@ def score(docs: DataFrame, model: CoModel, text_col: str = "text") -> DataFrame:
                 metas = [meta_keys(*x) for x in zip(*(rows.column(len(names) + k).to_pylist() for k in (1, 2, 3)), strict=True)]
                 a, b, both = held.value.scores(texts, metas)
                 cols = [*rows.columns[: len(names)], pa.array(a), pa.array(b), pa.array(both), pa.array(both >= held.value.cut)]
-                yield pa.RecordBatch.from_arrays(cols, [*names, "p_text", "p_meta", "score", "keep"])
+                yield pa.RecordBatch.from_arrays(cols, [*names, *RESULTS])
 
     schema = plain.schema.add("p_text", "double").add("p_meta", "double").add("score", "double").add("keep", "boolean")
-    return src.mapInArrow(run, schema).toDF(*docs.columns, "p_text", "p_meta", "score", "keep")
+    return src.mapInArrow(run, schema).toDF(*docs.columns, *[fresh(c, docs.columns) for c in RESULTS])
+
+
+def kept(docs: DataFrame, model: CoModel, text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that the classifier keeps, with its columns."""
+    scored = score(docs, model, text_col)
+    return scored.where(F.col(scored.columns[-1])).select(*scored.columns[: len(docs.columns)])

@@ -1,45 +1,66 @@
 """SimHash near-duplicates through an inverted index over byte positions with count filtering.
 
-Two 64-bit fingerprints that differ in at most three bits differ in at most three of their eight bytes, so they share
-at least five positional bytes.  A posting list per single byte would pair everything within a list; the tally is
-therefore kept in the index key: every fingerprint is posted under each of the 56 choices of five positions with the
-five bytes found there, and two fingerprints meet in a posting exactly if their tally of shared positional bytes
-reaches the guaranteed minimum.  Meetings are verified by popcount inside the posting, and only a spanning forest of
-the verified links leaves it.
+Two 64-bit fingerprints that differ in at most three bits share at least five of their eight positional bytes.  Every
+fingerprint is posted under four of its bytes at a time, for the position sets of a Steiner system: position sets whose
+numbers cancel under exclusive or.  There are 14 of them, and any five positions hold one, so fingerprints that share
+five bytes meet in a posting.  There, shared positional bytes are tallied pair by pair; pairs that reach the guaranteed
+minimum are verified by popcount, and only a spanning forest of the verified links leaves the posting.
 
-A posting holds distinct fingerprints that agree in 40 bits, so never more than 2**24 of them whatever the corpus;
-crowded postings are settled on the cube of the bits that vary there, without pairs.
+A crowded posting is split by each further position (a link shares a fifth byte), so what one task holds of it are
+distinct fingerprints that agree in 40 bits: at most 2**24 whatever the corpus.  If even such a part is crowded, it is
+settled on the cube of the bits that vary there, without pairs.
+
+The stage of a pipeline (:func:`keep_one`) also wants copies that were edited further: texts whose sets of five-word
+shingles have a Jaccard similarity of ``least`` or more.  These are sought with a second fingerprint of 128 bits over
+word pairs (of the usual sizes the one that moves least under an edit), in the same index of four out of 16 positions,
+140 sets, of which any seven positions hold one.  Candidates are verified exactly on the whole texts' shingles.
 
 Defined results: null or empty text has fingerprint 0 and links like any other; rows with a null ``doc_id`` keep
 their fingerprint and group, whose ``component_id`` is the smallest non-null id in it (null if there is none);
-repeated rows are returned as often as they occur; columns beyond id and text do not matter.
+repeated rows are returned as often as they occur; columns beyond id and text do not matter; an empty table gives no
+row.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SPACE, durable, slices, word_spans, xxh64_spans
+from .common import SPACE, durable, fresh, slices, word_spans, xxh64_spans
 from .components import connected_components
 
 BITS, BYTES, RADIUS = 64, 8, 3
 KEEP = BYTES - RADIUS  # positional bytes that a link shares at least
-CROWD = 16384  # members from which a posting is settled on its cube
+CROWD = 16384  # members from which a posting is split, and a part of it settled on its cube
+WIDE_BYTES, WIDE_RADIUS, WIDE_SHINGLE = 16, 20, 2
+PIECE = 1 << 20  # rows of one posting that a task holds at once
+PARTNERS = 4  # next members of a posting, in order of fingerprint, that a member is put to beside the posting's centre
 
 
-def fingerprints_of(raw: np.ndarray, off: np.ndarray, size: int = 3, seed: int = 42) -> np.ndarray:
-    """SimHash (uint64) of each text of a concatenation, over shingles of ``size`` words, repeats included."""
+def position_sets(positions: int) -> list[tuple[int, ...]]:
+    """Sets of four positions that cancel under exclusive or (``positions`` a power of two)."""
+    return [c for c in combinations(range(positions), 4) if not c[0] ^ c[1] ^ c[2] ^ c[3]]
+
+
+def lowered(raw: np.ndarray) -> np.ndarray:
     low = raw.copy()
     low[(low >= 65) & (low <= 90)] += 32
+    return low
+
+
+def shingle_hashes(raw: np.ndarray, off: np.ndarray, size: int, seed: int = 42) -> tuple[np.ndarray, np.ndarray]:
+    """``(hashes, count of each text)`` of the shingles of ``size`` words, lower case, joined by one blank; a text with fewer words is one shingle."""
+    low = lowered(raw)
     starts, ends, first = word_spans(low, off)
+    words = np.diff(first)
+    count = np.where(words > 0, np.maximum(words - size + 1, 1), 0)
     if not len(starts):
-        return np.zeros(len(off) - 1, np.uint64)
+        return np.zeros(0, np.uint64), count
     keep = np.zeros(len(low) + 1, bool)
     keep[:-1] = ~SPACE[low]
     gaps = ends[:-1][ends[:-1] < starts[1:]]  # one blank after each word that a gap follows
@@ -48,23 +69,39 @@ def fingerprints_of(raw: np.ndarray, off: np.ndarray, size: int = 3, seed: int =
     low[gaps] = 32
     where = np.cumsum(keep) - 1
     packed = low[keep]
-    words = np.diff(first)
-    count = np.where(words > 0, np.maximum(words - size + 1, 1), 0)
     doc = np.repeat(np.arange(len(words)), count)
     head = first[:-1][doc] + (np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count))
     tail = np.minimum(head + size - 1, first[1:][doc] - 1)
     at = where[starts[head]]
-    h = xxh64_spans(packed, at, where[ends[tail] - 1] + 1 - at, seed)
+    return xxh64_spans(packed, at, where[ends[tail] - 1] + 1 - at, seed), count
+
+
+def majority(hashes: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """Fingerprint (uint64) of each text: the bits set in over half of its hashes."""
     live = np.flatnonzero(count)
-    out = np.zeros(len(words), np.uint64)
-    bits = np.unpackbits(h.view(np.uint8).reshape(-1, BYTES), axis=1, bitorder="little")
-    edge = np.concatenate([[0], np.cumsum(count[live])]).tolist()
-    ones = np.stack([bits[a:b].sum(axis=0, dtype=np.int64) for a, b in zip(edge[:-1], edge[1:], strict=True)])
-    over = (2 * ones > count[live][:, None]).astype(np.uint8)
-    out[live] = np.packbits(over, axis=1, bitorder="little").view(np.uint64)[:, 0]
+    out = np.zeros(len(count), np.uint64)
+    if len(live):
+        bits = np.unpackbits(hashes.view(np.uint8).reshape(-1, BYTES), axis=1, bitorder="little")
+        edge = np.concatenate([[0], np.cumsum(count[live])]).tolist()
+        ones = np.stack([bits[a:b].sum(axis=0, dtype=np.int64) for a, b in zip(edge[:-1], edge[1:], strict=True)])
+        over = (2 * ones > count[live][:, None]).astype(np.uint8)
+        out[live] = np.packbits(over, axis=1, bitorder="little").view(np.uint64)[:, 0]
     return out
 
 
+def fingerprints_of(raw: np.ndarray, off: np.ndarray, size: int = 3, seed: int = 42) -> np.ndarray:
+    """SimHash (uint64) of each text of a concatenation, over shingles of ``size`` words, repeats included."""
+    return majority(*shingle_hashes(raw, off, size, seed))
+
+
+def remixed(h: np.ndarray) -> np.ndarray:
+    """Another 64 bits from a 64-bit hash (multiply and shift)."""
+    with np.errstate(over="ignore"):
+        h = (h ^ (h >> np.uint64(31))) * np.uint64(0x7FB5D329728EA185)
+        h = (h ^ (h >> np.uint64(27))) * np.uint64(0x81DADEF4BC2DD44D)
+    return h ^ (h >> np.uint64(33))
+
+
 def with_fingerprint(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 3) -> DataFrame:
     """``(id, fp)`` of every row, whole texts, no shuffle."""
 
@@ -75,12 +112,46 @@ def with_fingerprint(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "id long, fp long")
 
 
+def _mask(positions: tuple[int, ...]) -> int:
+    """A signed word with all bits set at those of ``positions`` that are below 8."""
+    m = sum(0xFF << (8 * p) for p in positions if 0 <= p < BYTES)
+    return m - (1 << 64) if m >> 63 else m
+
+
+def _pick(masks: list[int], i: Column) -> Column:
+    return F.get(F.array(*[F.lit(m).cast("long") for m in masks]), i)
+
+
 def postings(fps: DataFrame, fp: str = "fp") -> DataFrame:
-    """``(combo, key, fp)``: each fingerprint under every choice of ``KEEP`` positions."""
-    masks = [sum(0xFF << (8 * p) for p in c) for c in combinations(range(BYTES), KEEP)]
-    signed = [m - (1 << 64) if m >> 63 else m for m in masks]
-    entry = F.explode(F.array(*[F.struct(F.lit(i).cast("byte").alias("combo"), F.col(fp).bitwiseAND(F.lit(m)).alias("key")) for i, m in enumerate(signed)]))
-    return fps.select(fp, entry.alias("p")).select("p.combo", "p.key", fp)
+    """``(combo, key, fp)``: each fingerprint under every set of four positions, ``key`` being its bytes there."""
+    masks = [_mask(c) for c in position_sets(BYTES)]
+    each = fps.select(F.col(fp).alias("fp"), F.explode(F.sequence(F.lit(0), F.lit(len(masks) - 1))).alias("combo"))
+    return each.select("combo", F.col("fp").bitwiseAND(_pick(masks, F.col("combo"))).alias("key"), "fp")
+
+
+def wide_postings(fps: DataFrame) -> DataFrame:
+    """``(combo, key, fp, fp2)`` of 128-bit fingerprints, ``key`` a hash of the four bytes (equal hashes are only candidates)."""
+    sets = position_sets(WIDE_BYTES)
+    each = fps.select("fp", "fp2", F.explode(F.sequence(F.lit(0), F.lit(len(sets) - 1))).alias("combo"))
+    low, high = ([_mask(tuple(p - shift for p in c)) for c in sets] for shift in (0, BYTES))
+    key = F.xxhash64(F.col("fp").bitwiseAND(_pick(low, F.col("combo"))), F.col("fp2").bitwiseAND(_pick(high, F.col("combo"))))
+    return each.select("combo", key.alias("key"), "fp", "fp2")
+
+
+def split_crowds(posts: DataFrame, crowd: int | None = None) -> DataFrame:
+    """Postings of more than ``crowd`` members under each further position as well, five bytes to a key, in place of their own."""
+    crowd = crowd or CROWD
+    hot = durable(posts.groupBy("combo", "key").count().where(F.col("count") > crowd).select("combo", "key", F.lit(True).alias("hot")))
+    if not hot.limit(1).count():
+        return posts
+    sets = position_sets(BYTES)
+    finer = [_mask((*c, p)) for c in sets for p in range(BYTES) if p not in c]
+    more = len(finer) // len(sets)
+    turns = F.when(F.col("hot"), F.sequence(F.lit(0), F.lit(more - 1))).otherwise(F.array(F.lit(-1)))
+    each = posts.join(hot, ["combo", "key"], "left").select("combo", "key", "fp", F.explode(turns).alias("j"))
+    place = F.col("combo") * more + F.col("j")
+    part = F.col("j") >= 0
+    return each.select(F.when(part, len(sets) + place).otherwise(F.col("combo")).cast("int").alias("combo"), F.when(part, F.col("fp").bitwiseAND(_pick(finer, place))).otherwise(F.col("key")).alias("key"), "fp")
 
 
 def _roots(parent: np.ndarray) -> np.ndarray:
@@ -125,14 +196,24 @@ def _cube_roots(fp: np.ndarray) -> np.ndarray:
         label = new
 
 
+def shared_bytes(far: np.ndarray) -> np.ndarray:
+    """Tally of positional bytes that two fingerprints share, from their exclusive or."""
+    return (far.view(np.uint8).reshape(len(far), -1) == 0).sum(axis=1)
+
+
+def _runs(combo: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """``(begin, size)`` of the postings of a table sorted by ``(combo, key)``."""
+    new = np.ones(len(key), bool)
+    new[1:] = (combo[1:] != combo[:-1]) | (key[1:] != key[:-1])
+    begin = np.flatnonzero(new)
+    return begin, np.diff(np.append(begin, len(key)))
+
+
 def link_runs(combo: np.ndarray, key: np.ndarray, fp: np.ndarray) -> np.ndarray:
     """Root index of each entry of a posting table sorted by ``(combo, key)``."""
     n = len(fp)
     parent = np.arange(n)
-    new = np.ones(n, bool)
-    new[1:] = (combo[1:] != combo[:-1]) | (key[1:] != key[:-1])
-    begin = np.flatnonzero(new)
-    size = np.diff(np.append(begin, n))
+    begin, size = _runs(combo, key)
     for b, m in zip(begin[size > CROWD], size[size > CROWD], strict=True):
         parent[b : b + m] = b + _cube_roots(fp[b : b + m])
     fine = (size > 1) & (size <= CROWD)
@@ -141,28 +222,51 @@ def link_runs(combo: np.ndarray, key: np.ndarray, fp: np.ndarray) -> np.ndarray:
     step = 1
     while len(live):
         far = fp[live] ^ fp[live + step]
-        near = live[np.bitwise_count(far) <= RADIUS]
+        likely = shared_bytes(far) >= KEEP
+        near = live[likely][np.bitwise_count(far[likely]) <= RADIUS]
         parent = _unite(parent, near, near + step)
         step += 1
         live = live[remaining[live] >= step]
     return parent
 
 
-def links(fps: DataFrame, fp: str = "fp") -> DataFrame:
-    """Spanning links ``(u, v)`` of distinct fingerprints within ``RADIUS`` bits."""
+def wide_runs(combo: np.ndarray, key: np.ndarray, fp: np.ndarray, fp2: np.ndarray, radius: int = WIDE_RADIUS) -> tuple[np.ndarray, np.ndarray]:
+    """Candidate pairs (indices) of a table sorted by ``(combo, key, fp, fp2)``: within ``radius`` bits of 128.
+
+    A member is put to the next ``PARTNERS`` of its posting and to the posting's centre, the member nearest to the
+    bitwise majority, so pairs grow with the members and not with their square.
+    """
+    begin, size = _runs(combo, key)
+    n = len(fp)
+    remaining = np.repeat(size, size) - (np.arange(n) - np.repeat(begin, size)) - 1
+    left, right = [], []
+    for step in range(1, PARTNERS + 1):
+        at = np.flatnonzero(remaining >= step)
+        left.append(at)
+        right.append(at + step)
+    for b, m in zip(begin[size > PARTNERS + 1], size[size > PARTNERS + 1], strict=True):
+        own = np.stack([fp[b : b + m], fp2[b : b + m]], axis=1)
+        bits = np.unpackbits(own.view(np.uint8).reshape(m, -1), axis=1)
+        centre = np.packbits(2 * bits.sum(axis=0, dtype=np.int64) > m).view(np.uint64)
+        mid = b + int(np.argmin(np.bitwise_count(own ^ centre).sum(axis=1)))
+        rest = np.delete(np.arange(b, b + m), mid - b)
+        left.append(np.minimum(rest, mid))
+        right.append(np.maximum(rest, mid))
+    a, c = np.concatenate(left), np.concatenate(right)
+    near = np.bitwise_count(fp[a] ^ fp[c]).astype(np.int64) + np.bitwise_count(fp2[a] ^ fp2[c]) <= radius
+    return a[near], c[near]
+
+
+def _by_posting(out: Callable[[list[np.ndarray]], Iterator[pa.RecordBatch]], width: int, most: int | None = None) -> Callable:
+    """A function of batches sorted by ``(combo, key)`` that gives ``out`` whole postings, many at a time.
+
+    With ``most``, a posting of more rows comes in pieces that overlap by ``PARTNERS`` rows.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] | None = None
-
-        def out(cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
-            value = cols[2].view(np.uint64)
-            root = link_runs(cols[0], cols[1], value)
-            own = np.flatnonzero(root != np.arange(len(root)))
-            if len(own):
-                yield pa.RecordBatch.from_arrays([pa.array(cols[2][own]), pa.array(cols[2][root[own]])], ["u", "v"])
-
         for batch in batches:
-            cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(3)]
+            cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(width)]
             if not len(cols[0]):
                 continue
             if held is not None:
@@ -172,11 +276,26 @@ def links(fps: DataFrame, fp: str = "fp") -> DataFrame:
             if cut:
                 yield from out([c[:cut] for c in cols])
             held = [c[cut:] for c in cols]
+            if most and len(held[0]) > most:
+                yield from out(held)
+                held = [c[-PARTNERS:] for c in held]
         if held is not None and len(held[0]):
             yield from out(held)
 
-    table = postings(fps.select(fp).where(F.col(fp).isNotNull()).distinct(), fp)
-    return table.repartition("combo", "key").sortWithinPartitions("combo", "key").mapInArrow(run, "u long, v long")
+    return run
+
+
+def links(fps: DataFrame, fp: str = "fp") -> DataFrame:
+    """Spanning links ``(u, v)`` of distinct fingerprints within ``RADIUS`` bits."""
+
+    def out(cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        root = link_runs(cols[0], cols[1], cols[2].view(np.uint64))
+        own = np.flatnonzero(root != np.arange(len(root)))
+        if len(own):
+            yield pa.RecordBatch.from_arrays([pa.array(cols[2][own]), pa.array(cols[2][root[own]])], ["u", "v"])
+
+    table = split_crowds(postings(fps.select(fp).where(F.col(fp).isNotNull()).distinct(), fp))
+    return table.repartition("combo", "key").sortWithinPartitions("combo", "key").mapInArrow(_by_posting(out, 3), "u long, v long")
 
 
 def _grouped(prints: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -195,16 +314,119 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return prints.join(of, "fp").select(F.col("id").alias(id_col), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", F.col("root").alias("group_root"))
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 3) -> DataFrame:
-    """``docs`` with one row of each near-duplicate group: the one of smallest id.
+# --- one document of each group ---------------------------------------------------------------------------------------
 
-    Of rows that repeat that id one stays (shortest text, then smallest hash).  Rows without an id cannot be told
-    apart and all stay.
-    """
-    from pyspark.sql import Window
 
-    _, groups = _grouped(with_fingerprint(docs, id_col, text_col, size))
-    named = groups.where("component_id is not null").select(F.col("component_id").alias("__id"))
-    first = Window.partitionBy(id_col).orderBy(F.length(text_col), F.xxhash64(text_col))
-    kept = docs.join(named, docs[id_col] == named["__id"], "left_semi").withColumn("__n", F.row_number().over(first)).where("__n = 1").drop("__n")
-    return kept.unionByName(docs.where(F.col(id_col).isNull()))
+def _keyed(docs: DataFrame, text_col: str, *more) -> DataFrame:
+    """``(file, row, text, more)``: a key of each row that another scan of the same files gives again."""
+    return docs.select(F.xxhash64("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("row"), F.col(text_col).cast("string").alias("text"), *more)
+
+
+def _stored(docs: DataFrame) -> DataFrame:
+    """``docs`` as a plain scan of Parquet files, written only if it is none yet."""
+    plan = docs._jdf.queryExecution().analyzed()
+    return docs if plan.getClass().getSimpleName() == "LogicalRelation" and "parquet" in plan.toString().lower() else durable(docs)
+
+
+def _all_prints(docs: DataFrame, id_col: str, text_col: str, size: int) -> DataFrame:
+    """``(file, row, id, chars, fp, w, w2)``: the narrow fingerprint and both halves of the wide one."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows, raw, off in slices(batches, "text"):
+            h, count = shingle_hashes(raw, off, WIDE_SHINGLE)
+            prints = [fingerprints_of(raw, off, size), majority(h, count), majority(remixed(h), count)]
+            yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), rows.column(3), pa.array(np.diff(off)), *[pa.array(x.view(np.int64)) for x in prints]], ["file", "row", "id", "size", "fp", "w", "w2"])
+
+    return _keyed(docs, text_col, F.col(id_col).cast("long").alias("id")).mapInArrow(run, "file long, row long, id long, size long, fp long, w long, w2 long")
+
+
+def _wide_candidates(kinds: DataFrame) -> DataFrame:
+    """Pairs ``(u, v)`` of ``no`` from ``kinds(no, root, w, w2)`` in different narrow groups, within ``WIDE_RADIUS`` bits."""
+    prints = durable(kinds.groupBy("w", "w2", "root").agg(F.min("no").alias("no")))
+    posts = wide_postings(prints.select(F.col("w").alias("fp"), F.col("w2").alias("fp2")).distinct())
+
+    def out(cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        fp, fp2 = cols[2].view(np.uint64), cols[3].view(np.uint64)
+        a, b = wide_runs(cols[0], cols[1], fp, fp2)
+        if len(a):
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (cols[2][a], cols[3][a], cols[2][b], cols[3][b])], ["a", "a2", "b", "b2"])
+
+    # by range, so a posting with a third of all texts is dealt among tasks; its cuts fall elsewhere in each of its fellows, which link the parts
+    order = ["combo", "key", "fp", "fp2"]
+    near = posts.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(_by_posting(out, 4, PIECE), "a long, a2 long, b long, b2 long").distinct()
+    # texts of equal wide fingerprints in different narrow groups are candidates too: each with the first of them
+    first = Window.partitionBy("w", "w2").orderBy("no").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    same = prints.withColumn("first", F.first("no").over(first)).where("first <> no").select(F.col("first").alias("u"), F.col("no").alias("v"))
+    one = prints.groupBy("w", "w2").agg(F.min(F.struct("no", "root")).alias("x")).select("w", "w2", "x.no", "x.root")
+    u = near.join(one.select(F.col("w").alias("a"), F.col("w2").alias("a2"), F.col("no").alias("u"), F.col("root").alias("ur")), ["a", "a2"])
+    both = u.join(one.select(F.col("w").alias("b"), F.col("w2").alias("b2"), F.col("no").alias("v"), F.col("root").alias("vr")), ["b", "b2"]).where("ur <> vr").select("u", "v")
+    return both.unionByName(same)
+
+
+def _similar(docs: DataFrame, text_col: str, pairs: DataFrame, keys: DataFrame, least: float, shingle: int) -> DataFrame:
+    """The ``pairs(u, v)`` whose texts' sets of shingles have a Jaccard similarity of ``least`` or more; ``keys(no, file, row)``."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows, raw, off in slices(batches, "text"):
+            h, count = shingle_hashes(raw, off, shingle)
+            order = np.lexsort((h, np.repeat(np.arange(len(count)), count)))
+            h, doc = h[order], np.repeat(np.arange(len(count)), count)
+            once = np.ones(len(h), bool)
+            once[1:] = (h[1:] != h[:-1]) | (doc[1:] != doc[:-1])
+            at = np.concatenate([[0], np.cumsum(np.bincount(doc[once], minlength=len(count)))])
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.LargeListArray.from_arrays(pa.array(at), pa.array(h[once].view(np.int64))).cast(pa.list_(pa.int64()))], ["no", "set"])
+
+    asked = durable(pairs.select(F.explode(F.array("u", "v")).alias("no")).distinct().join(keys, "no"))
+    text = _keyed(docs, text_col)
+    few = asked.count() <= 1_000_000  # about 24 MB to each executor; above that the join shuffles
+    sets = durable(text.join(F.broadcast(asked) if few else asked, ["file", "row"]).select("no", "text").mapInArrow(run, "no long, set array<long>"))
+    left = pairs.join(sets.select(F.col("no").alias("u"), F.col("set").alias("x")), "u")
+    both = left.join(sets.select(F.col("no").alias("v"), F.col("set").alias("y")), "v")
+    common = F.size(F.array_intersect("x", "y"))
+    return both.where(common >= F.lit(least) * (F.size("x") + F.size("y") - common)).select("u", "v")
+
+
+def survivors(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 3, least: float | None = 0.8, shingle: int = 5) -> DataFrame:
+    """``(file, row)`` of one row of each group of ``docs``, a plain scan of Parquet files.
+
+    Texts are linked within three bits of their narrow fingerprints, or by a similarity of ``least`` found through the
+    wide ones (not where ``least`` is null).  The row of smallest id stays (rows without an id only where a group has no other), of equal ids the one
+    of the shortest text.
+    """
+    prints = durable(_all_prints(docs, id_col, text_col, size))
+    order = F.struct(F.col("id").isNull().alias("lost"), "id", "size", "file", "row")
+    # a row a kind of text: rows that share all fingerprints are one group
+    kinds = prints.groupBy("fp", "w", "w2").agg(F.min(order).alias("best"))
+    roots = connected_components(links(prints))
+    placed = durable(kinds.join(roots, kinds.fp == roots.node, "left").select("w", "w2", "best", F.coalesce("root", "fp").alias("root"), F.xxhash64("best.file", "best.row").alias("no")))
+    if least is not None:
+        pairs = durable(_wide_candidates(placed.select("no", "root", "w", "w2")))
+        real = _similar(docs, text_col, pairs, placed.select("no", "best.file", "best.row"), least, shingle)
+        at = placed.select("no", "root")
+        edges = real.join(at.select(F.col("no").alias("u"), F.col("root").alias("a")), "u").join(at.select(F.col("no").alias("v"), F.col("root").alias("b")), "v")
+        joined = connected_components(edges, "a", "b").withColumnRenamed("root", "top")
+        placed = placed.join(joined, placed.root == joined.node, "left").select("best", F.coalesce("top", "root").alias("root"))
+    return placed.groupBy("root").agg(F.min("best").alias("best")).select("best.file", "best.row")
+
+
+CHUNK = 1 << 16  # rows of a file that one bitmap holds
+BITMAP_BYTES = 64 << 20  # bitmaps of survivors are broadcast up to this size, half a billion rows of input
+
+
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 3, least: float | None = 0.8, shingle: int = 5, bitmap_bytes: int = BITMAP_BYTES) -> DataFrame:
+    """``docs`` with one row of each near-duplicate group (:func:`survivors`), null and repeated ids included.
+
+    Survivors go to the scan as bitmaps of row numbers, a bit a row, so texts are not shuffled; where all bitmaps
+    exceed ``bitmap_bytes`` the join shuffles.
+    """
+    docs = _stored(docs)
+    chosen = survivors(docs, id_col, text_col, size, least, shingle)
+    chunk, word = F.floor(F.col("row") / CHUNK), F.floor(F.col("row") % CHUNK / 64).cast("int")
+    words = chosen.groupBy("file", chunk.alias("chunk"), word.alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(row % 64 as int))")).alias("bits"))
+    maps = durable(words.groupBy("file", "chunk").agg(F.map_from_entries(F.collect_list(F.struct("word", "bits"))).alias("m")).select(F.col("file").alias("f"), "chunk", F.transform(F.sequence(F.lit(0), F.lit(CHUNK // 64 - 1)), lambda i: F.coalesce(F.col("m")[i], F.lit(0).cast("long"))).alias("bits")))
+    names = [fresh(x, docs.columns) for x in ("__f", "__r")]
+    f, r = map(F.col, names)
+    rows = docs.select("*", F.xxhash64("_metadata.file_path").alias(names[0]), F.col("_metadata.row_index").alias(names[1]))
+    side = F.broadcast(maps) if maps.count() * CHUNK // 8 <= bitmap_bytes else maps
+    hit = F.element_at(side["bits"], (F.floor(r % CHUNK / 64) + 1).cast("int"))
+    return rows.join(side, (f == side["f"]) & (F.floor(r / CHUNK) == side["chunk"]), "inner").where(F.getbit(hit, (r % 64).cast("int")) == 1).select(*[rows[c] for c in docs.columns])
