@@ -12,13 +12,16 @@ left out by tag, role or class, however rare they are.
 
 Defined results: null or empty html gives an empty text of length 0; a null url belongs to the host ''; pages that
 repeat exactly count as one page towards recurrence, and each gives its text; unclosed, stray and misnested tags are
-repaired much as browsers do; an empty table gives no row; columns beyond id, url and html do not matter.
+repaired much as browsers do, and a tag that the page does not finish is left out with what follows; pages of any
+length or depth take time in proportion to it; an empty table gives no row; other columns do not matter, whatever
+their names.
 """
 
 from __future__ import annotations
 
 import html
 import re
+from collections import Counter
 from collections.abc import Iterator
 from urllib.parse import urlsplit
 
@@ -29,8 +32,10 @@ from pyspark.sql import functions as F
 
 from .common import durable
 
-TAG = re.compile(r"<(?:!--(.*?)(?:--!?>|\Z)|(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|[!?/][^>]*>?)", re.S)
-ATTR = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>\"']+)))?")
+# possessive throughout, so a page takes time in proportion to its length; a quote opens a value only behind "="
+COMMENT = re.compile(r"<!--(?:-?>|.*?(?:--!?>|\Z))", re.S)
+TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*+)((?:[^>=]++|=\s*+(?:\"[^\"]*+\"|'[^']*+'|[^\s\"'>][^\s>]*+)?+)*+)>")
+ATTR = re.compile(r"([^\s=/>]++)(?:\s*+=\s*+(?:\"([^\"]*+)\"|'([^']*+)'|([^\s>\"'][^\s>]*+)))?+")
 # Element names of the HTML standard, by the part they play here.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title noscript iframe template xmp noembed noframes".split())
@@ -47,37 +52,41 @@ SPACE = re.compile(r"\s+")
 
 
 class _Node:
-    __slots__ = ("drop", "hash", "main", "tag", "uid")
+    __slots__ = ("drop", "first", "hash", "main", "tag")
 
-    def __init__(self, tag: str, label: str, drop: bool, main: bool, uid: int):
-        self.tag, self.drop, self.main, self.uid = tag, drop, main, uid
+    def __init__(self, tag: str, label: str, drop: bool, main: bool, first: int):
+        self.tag, self.drop, self.main, self.first = tag, drop, main, first
         self.hash = xxhash.xxh64(label)
 
 
-def _boilerplate(tag: str, attrs: str, parents: list[_Node]) -> tuple[bool, bool, str]:
+def _boilerplate(tag: str, attrs: str, in_main: bool) -> tuple[bool, bool, str]:
     """``(drop, main, label)`` of an element."""
     got = {}
-    if attrs.strip():
+    if attrs and not attrs.isspace():
         for m in ATTR.finditer(attrs):
             got.setdefault(m[1].lower(), html.unescape(m[2] or m[3] or m[4] or ""))
     role = got.get("role", "").strip().lower()
     marks = f"{got.get('class', '')} {got.get('id', '')}".strip()
     main = tag in MAIN or role == "main"
     drop = tag in DROP or role in ROLES or "hidden" in got or got.get("aria-hidden") == "true" or (tag not in ("html", "body") and not main and bool(marks) and bool(WORDS.search(marks)))
-    if tag == "header" and not any(p.main for p in parents):
+    if tag == "header" and not in_main:
         drop = True
-    if tag == "article" and any(p.main for p in parents) and marks and WORDS.search(marks):
+    if tag == "article" and in_main and marks and WORDS.search(marks):
         drop = True  # reader comments are often articles inside the article
     return drop, main, f"{tag}\x00{role}\x00{marks}"
 
 
-def blocks_of(page: str) -> tuple[list[tuple[str, list[int], bool]], list[int]]:
-    """``(blocks, nodes)``: each block's text, the hashes of the subtrees around it, and whether its markup rules it out."""
+Tree = tuple[int, int, int]  # hash of a subtree, its first block, the block behind its last
+
+
+def blocks_of(page: str) -> tuple[list[tuple[str, bool]], list[Tree]]:
+    """``(blocks, subtrees)``: each block's text and whether its markup rules it out, and the subtrees with blocks in them."""
     stack: list[_Node] = []
-    blocks: list[list] = []  # text, path of uids, ruled out
-    done: dict[int, int] = {}
+    blocks: list[tuple[str, bool]] = []
+    trees: list[Tree] = []
+    opened: Counter[str] = Counter()  # open elements by tag, so what is not open is not looked for
     text: list[str] = []
-    uid, pos, n = 0, 0, len(page)
+    drops, mains, pos, n = 0, 0, 0, len(page)
     low = None
 
     def flush() -> None:
@@ -85,16 +94,21 @@ def blocks_of(page: str) -> tuple[list[tuple[str, list[int], bool]], list[int]]:
             joined = SPACE.sub(" ", "".join(text)).strip()
             text.clear()
             if joined:
-                blocks.append([joined, [p.uid for p in stack if p.tag not in ("html", "body")], any(p.drop for p in stack)])
+                blocks.append((joined, drops > 0))
 
     def close(k: int) -> None:
         """End every element from depth k on."""
+        nonlocal drops, mains
         while len(stack) > k:
             node = stack[-1]
             if node.tag in BLOCK:
                 flush()
             stack.pop()
-            done[node.uid] = value = node.hash.intdigest()
+            opened[node.tag] -= 1
+            drops, mains = drops - node.drop, mains - node.main
+            value = node.hash.intdigest()
+            if node.first < len(blocks) and node.tag not in ("html", "body"):
+                trees.append((value - (1 << 64) if value >> 63 else value, node.first, len(blocks)))
             if stack:
                 stack[-1].hash.update(value.to_bytes(8, "little"))
 
@@ -106,58 +120,68 @@ def blocks_of(page: str) -> tuple[list[tuple[str, list[int], bool]], list[int]]:
                 stack[-1].hash.update(SPACE.sub(" ", words).strip().encode("utf-8", "surrogatepass"))
 
     def find(names: set[str], stop: frozenset[str] | set[str]) -> int:
-        for i in range(len(stack) - 1, -1, -1):
-            if stack[i].tag in names:
-                return i
-            if stack[i].tag in stop:
-                break
+        if any(opened[x] for x in names):
+            for i in range(len(stack) - 1, -1, -1):
+                if stack[i].tag in names:
+                    return i
+                if stack[i].tag in stop:
+                    break
         return -1
 
     while pos < n:
-        m = TAG.search(page, pos)
-        if m is None:
+        at = page.find("<", pos)
+        if at < 0:
             add(page[pos:])
             break
-        add(page[pos : m.start()])
-        pos = m.end()
-        name = m[3]
-        if name is None:
+        after = page[at + 1 : at + 3]
+        if not after or not (after[0] in "!?" or after[0].isascii() and after[0].isalpha() or after[0] == "/" and len(after) > 1):
+            add(page[pos : at + 1])  # a sign, not a tag
+            pos = at + 1
             continue
-        tag = name.lower()
-        if m[2]:
+        add(page[pos:at])
+        m = TAG.match(page, at)
+        if m is None:
+            if page.startswith("<!--", at):
+                pos = COMMENT.match(page, at).end()
+            else:  # a declaration, or a tag that the page does not finish
+                end = page.find(">", at)
+                pos = n if end < 0 or after[0].isalpha() else end + 1
+            continue
+        pos = m.end()
+        tag = m[2].lower()
+        if m[1]:
             if tag == "br":
                 text.append(" ")
-            elif (at := find({tag}, frozenset() if tag in BLOCK else SCOPE)) >= 0:
-                close(at)
+            elif (k := find({tag}, frozenset() if tag in BLOCK else SCOPE)) >= 0:
+                close(k)
             continue
         if tag == "br":
             text.append(" ")
             continue
-        if tag in CLOSES_P and (at := find({"p"}, SCOPE)) >= 0:
-            close(at)
-        if tag in IMPLIED and (at := find(*IMPLIED[tag])) >= 0:
-            close(at)
+        if tag in CLOSES_P and (k := find({"p"}, SCOPE)) >= 0:
+            close(k)
+        if tag in IMPLIED and (k := find(*IMPLIED[tag])) >= 0:
+            close(k)
         if tag in BLOCK:
             flush()
         if tag in VOID:
             continue
-        drop, main, label = _boilerplate(tag, m[4], stack)
-        uid += 1
-        stack.append(_Node(tag, label, drop, main, uid))
+        drop, main, label = _boilerplate(tag, m[3], mains > 0)
+        stack.append(_Node(tag, label, drop, main, len(blocks)))
+        opened[tag] += 1
+        drops, mains = drops + drop, mains + main
         if tag in RAW:
             if low is None:
-                low = page.lower()
+                low = page.lower() if len(page.lower()) == n else re.sub("[A-Z]", lambda c: c[0].lower(), page)
             end = low.find(f"</{tag}", pos)
             pos = n if end < 0 else end
-            if m[4].rstrip().endswith("/") and tag not in ("script", "style", "title", "textarea"):
+            if m[3].rstrip().endswith("/") and tag not in ("script", "style", "title", "textarea"):
                 pos = m.end()
             if pos > m.end():
                 stack[-1].hash.update(page[m.end() : pos].encode("utf-8", "surrogatepass"))
     flush()
     close(0)
-    signed = lambda h: h - (1 << 64) if h >> 63 else h
-    out = [(t, [signed(done[u]) for u in path], ruled) for t, path, ruled in blocks]
-    return out, sorted({h for _, path, _ in out for h in path})
+    return blocks, trees
 
 
 def host_of(url: str | None) -> str:
@@ -168,8 +192,9 @@ def host_of(url: str | None) -> str:
 
 
 def parse_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """``(uid, page_id, url, host, content, nodes, blocks)``; ``content`` identifies pages of equal text, ``uid`` rows."""
-    block = pa.list_(pa.struct([("text", pa.string()), ("path", pa.list_(pa.int64())), ("ruled", pa.bool_())]))
+    """``(uid, page_id, url, host, content, trees, blocks)``; ``content`` identifies pages of equal text, ``uid`` rows."""
+    block = pa.list_(pa.struct([("text", pa.string()), ("ruled", pa.bool_())]))
+    tree = pa.list_(pa.struct([("node", pa.int64()), ("first", pa.int32()), ("stop", pa.int32())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -182,45 +207,47 @@ def parse_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
                 cols = [
                     pa.array(range(uid, uid + rows.num_rows), pa.int64()), rows.column(0), rows.column(1),
                     pa.array([host_of(u) for u in rows.column(1).to_pylist()], pa.string()),
-                    pa.array([int.from_bytes(xxhash.xxh64_digest("\n".join(t for t, _, ruled in b if not ruled).encode("utf-8", "surrogatepass")), "little", signed=True) for b, _ in got], pa.int64()),
-                    pa.array([x for _, x in got], pa.list_(pa.int64())),
-                    pa.array([[{"text": t, "path": p, "ruled": r} for t, p, r in b] for b, _ in got], block),
+                    pa.array([int.from_bytes(xxhash.xxh64_digest("\n".join(t for t, ruled in b if not ruled).encode("utf-8", "surrogatepass")), "little", signed=True) for b, _ in got], pa.int64()),
+                    pa.array([[{"node": h, "first": i, "stop": j} for h, i, j in x] for _, x in got], tree),
+                    pa.array([[{"text": t, "ruled": r} for t, r in b] for b, _ in got], block),
                 ]
                 uid += rows.num_rows
-                yield pa.RecordBatch.from_arrays(cols, ["uid", "page_id", "url", "host", "content", "nodes", "blocks"])
+                yield pa.RecordBatch.from_arrays(cols, ["uid", "page_id", "url", "host", "content", "trees", "blocks"])
 
     src = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"))
-    return src.mapInArrow(run, "uid long, page_id long, url string, host string, content long, nodes array<long>, blocks array<struct<text: string, path: array<long>, ruled: boolean>>")
+    return src.mapInArrow(run, "uid long, page_id long, url string, host string, content long, trees array<struct<node: long, first: int, stop: int>>, blocks array<struct<text: string, ruled: boolean>>")
 
 
 def site_templates(parsed: DataFrame, share: float = 0.5, least: int = 3) -> DataFrame:
-    """``(host, node)`` of subtrees on at least ``share`` of the different pages of a host, and on ``least`` of them."""
-    once = parsed.select("host", "content", F.explode("nodes").alias("node")).distinct()
+    """``(host, node, n)`` of subtrees on at least ``share`` of the different pages of a host, and on ``least`` of them; ``n`` such pages."""
+    once = parsed.select("host", "content", F.explode("trees.node").alias("node")).distinct()
     held = once.groupBy("host", "node").agg(F.count("*").alias("n")).where(F.col("n") >= least)
     pages = parsed.select("host", "content").distinct().groupBy("host").agg(F.count("*").alias("pages"))
-    return held.join(pages, "host").where(F.col("n") >= share * F.col("pages")).select("host", "node")
+    return held.join(pages, "host").where(F.col("n") >= share * F.col("pages")).select("host", "node", "n")
 
 
-def judged(pages: DataFrame, share: float = 0.5, least: int = 3, broadcast_rows: int = 100_000, salts: int = 32, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """Parsed pages with ``gone``, the recurring subtrees of each (null if none)."""
+def judged(pages: DataFrame, share: float = 0.5, least: int = 3, broadcast_rows: int = 100_000, heavy_pages: int = 65_536, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+    """Parsed pages with ``gone``, the blocks ``(first, stop)`` of the recurring subtrees of each (null if none)."""
     parsed = durable(parse_pages(pages, id_col, url_col, html_col))
     found = durable(site_templates(parsed, share, least))
-    nodes = parsed.select("uid", "host", F.explode("nodes").alias("node"))
+    nodes = parsed.select("uid", "host", F.explode("trees").alias("t")).select("uid", "host", "t.node", "t.first", "t.stop")
+    names = found.select("host", "node")
     if found.count() <= broadcast_rows:
-        near = nodes.join(F.broadcast(found), ["host", "node"], "left_semi")
-    else:  # a template of a hot host is on many pages, so these are dealt among copies of it
-        copies = found.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-        near = nodes.withColumn("salt", F.pmod(F.xxhash64("uid"), F.lit(salts)).cast("int")).join(copies, ["host", "node", "salt"], "left_semi")
-    hits = durable(near.groupBy("uid").agg(F.collect_set("node").alias("gone")))
-    side = F.broadcast(hits) if hits.count() <= broadcast_rows else hits  # above that size the join shuffles
+        near = nodes.join(F.broadcast(names), ["host", "node"], "left_semi")
+    else:  # templates on very many pages are few, one at most for so many subtrees, and met without a shuffle; the rest have no hot key
+        heavy, light = (F.broadcast(found.where(F.col("n") > heavy_pages).select("host", "node")), found.where(F.col("n") <= heavy_pages).select("host", "node"))
+        near = nodes.join(heavy, ["host", "node"], "left_semi").unionByName(nodes.join(heavy, ["host", "node"], "left_anti").join(light, ["host", "node"], "left_semi"))
+    hits = durable(near.groupBy("uid").agg(F.collect_set(F.struct("first", "stop")).alias("gone")))
+    spans = hits.agg(F.sum(F.size("gone"))).first()[0] or 0  # eight bytes each
+    side = F.broadcast(hits) if spans <= broadcast_rows else hits  # above that size the join shuffles
     return parsed.join(side, "uid", "left")
 
 
 def extract_text(pages: DataFrame, share: float = 0.5, least: int = 3, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """``(page_id, url, text, n_chars)`` of every page."""
-    gone = F.coalesce("gone", F.array().cast("array<long>"))
-    open_ = F.filter("blocks", lambda b: ~b["ruled"])
-    live = F.filter(open_, lambda b: ~F.arrays_overlap(b["path"], gone))
+    placed = F.transform("blocks", lambda b, i: F.struct(b["text"].alias("text"), b["ruled"].alias("ruled"), i.alias("at")))
+    open_ = F.filter(placed, lambda b: ~b["ruled"])
+    live = F.filter(open_, lambda b: ~F.exists("gone", lambda g: (g["first"] <= b["at"]) & (b["at"] < g["stop"])))
     size = lambda c: F.aggregate(c, F.lit(0), lambda n, b: n + F.char_length(b["text"]))
     kept = F.when(F.col("gone").isNull() | (4 * size(live) <= size(open_)), open_).otherwise(live)
     text = F.coalesce(F.array_join(F.transform(kept, lambda b: b["text"]), "\n\n"), F.lit(""))
