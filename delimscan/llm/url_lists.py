@@ -6,7 +6,9 @@ the entries active when it was fetched, by an as-of join on each pattern that co
 
 Defined results: a capture with a null or malformed address, or without a time, matches nothing and passes; an entry
 with a null pattern, time or action is ignored; repeated equal actions change nothing; of entries of one pattern at
-the same time the removal wins; an entry counts from its very second on; repeated captures are judged alike.
+the same time the removal wins; an entry counts from its very second on; repeated captures are judged alike, a row
+each; an empty table of captures gives no row, one of entries blocks nothing; other columns of the captures, whatever
+their names, do not matter.
 """
 
 from __future__ import annotations
@@ -16,6 +18,8 @@ from pyspark.sql import functions as F
 
 from .common import durable
 
+MANY = 256  # lists judged in one call; each is a running sum of the window
+
 
 def host_of(url: Column) -> Column:
     """Lower-case host without user, port and trailing dot; null if the address has none."""
@@ -53,27 +57,39 @@ def intervals(entries: DataFrame) -> DataFrame:
     return turns.withColumn("until", F.lead("at").over(own)).where("on").select("list", "pattern", F.col("at").alias("since"), "until")
 
 
-def judge(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_col: str = "url", time_col: str = "fetched", salts: int = 32) -> DataFrame:
+WINDOW_ROWS = 1 << 18  # captures that one window of a pattern takes
+
+
+def judge(captures: DataFrame, entries: DataFrame, id_col: str = "page_id", url_col: str = "url", time_col: str = "fetched", window_rows: int = WINDOW_ROWS) -> DataFrame:
     """Every capture with the lists that were against it: ``(id_col, url_col, time_col, lists, blocked)``.
 
-    A pattern's intervals are copied to ``salts`` salts and captures are dealt among these, so that a host with a third
-    of all captures is spread; an interval is found by the last start at or before the fetch, in one sorted pass.
+    Captures are counted by pattern first.  A pattern with more than ``window_rows`` of them is dealt among as many
+    salts as that takes, its intervals copied to each, so a host with a third of all captures is spread however large
+    it is; such patterns are few, at most one for every ``window_rows`` matches.  In a window an interval is found by
+    the last start at or before the fetch, in one sorted pass.
     """
-    rows = durable(captures.select(F.monotonically_increasing_id().alias("row"), F.col(id_col), F.col(url_col), F.col(time_col)))
-    salt = F.pmod(F.xxhash64("row"), F.lit(salts)).cast("int")
-    asks = rows.where(F.col(time_col).isNotNull()).select("row", F.col(time_col).alias("at"), salt.alias("salt"), F.explode(patterns_of(F.col(url_col), depth_of(entries))).alias("pattern"))
+    rows = durable(captures.select(F.monotonically_increasing_id().alias("row"), F.col(id_col).alias("id"), F.col(url_col).alias("url"), F.col(time_col).alias("at")))
     turns = intervals(entries)
     # every list turns at its own times, so a pattern's state is the set of its lists after each turn
     steps = turns.select("pattern", "list", F.col("since").alias("at"), F.lit(1).alias("way")).unionByName(turns.where("until is not null").select("pattern", "list", F.col("until").alias("at"), F.lit(-1).alias("way")))
-    steps = steps.groupBy("pattern", "list", "at").agg(F.sum("way").alias("way")).where("way <> 0")
-    side = steps.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1)))).select("pattern", "salt", "at", F.lit(None).cast("long").alias("row"), "list", "way")
-    asks = asks.join(side.select("pattern", "salt").distinct(), ["pattern", "salt"], "left_semi")
+    steps = durable(steps.groupBy("pattern", "list", "at").agg(F.sum("way").alias("way")).where("way <> 0"))
+    known = steps.select("pattern").distinct()
+    asks = rows.where("at is not null").select("row", "at", F.explode(patterns_of(F.col("url"), depth_of(entries))).alias("pattern"))
+    # counted with partial sums before the shuffle, so a hot pattern is a row a task there
+    heavy = durable(asks.groupBy("pattern").count().where(F.col("count") > window_rows).join(known, "pattern", "left_semi").select("pattern", F.ceil(F.col("count") / window_rows).cast("int").alias("salts")))
+    few = F.broadcast(heavy)
+    salt = F.coalesce(F.pmod(F.xxhash64("row"), F.col("salts")), F.lit(0)).cast("int")
+    copies = F.explode(F.sequence(F.lit(0), F.coalesce("salts", F.lit(1)) - 1))
+    side = steps.join(few, "pattern", "left").select("pattern", copies.alias("salt"), "at", F.lit(None).cast("long").alias("row"), "list", "way")
+    asks = asks.join(few, "pattern", "left").select("pattern", salt.alias("salt"), "at", "row").join(side.select("pattern", "salt").distinct(), ["pattern", "salt"], "left_semi")
     both = side.unionByName(asks.select("pattern", "salt", "at", "row", F.lit(None).cast("string").alias("list"), F.lit(0).alias("way")))
-    lists = [r["list"] for r in entries.select("list").where("list is not null").distinct().orderBy("list").collect()]  # names of lists, a handful by contract
     upto = Window.partitionBy("pattern", "salt").orderBy("at").rangeBetween(Window.unboundedPreceding, 0)
+    lists = [r["list"] for r in entries.select("list").where("list is not null").distinct().orderBy("list").limit(MANY + 1).collect()]  # names of lists
+    if len(lists) > MANY:
+        raise ValueError(f"more than {MANY} lists; judge them in groups")
     for i, name in enumerate(lists):
         both = both.withColumn(f"on{i}", F.sum(F.when(F.col("list") == name, F.col("way")).otherwise(0)).over(upto))
     active = F.array_compact(F.array(*[F.when(F.col(f"on{i}") > 0, F.lit(name)) for i, name in enumerate(lists)])) if lists else F.array().cast("array<string>")
     hits = both.where("row is not null").select("row", F.explode(active).alias("list")).groupBy("row").agg(F.sort_array(F.collect_set("list")).alias("lists"))
-    out = rows.join(hits, "row", "left").select(id_col, url_col, time_col, F.coalesce("lists", F.array().cast("array<string>")).alias("lists"))
+    out = rows.join(hits, "row", "left").select(F.col("id").alias(id_col), F.col("url").alias(url_col), F.col("at").alias(time_col), F.coalesce("lists", F.array().cast("array<string>")).alias("lists"))
     return out.withColumn("blocked", F.size("lists") > 0)
