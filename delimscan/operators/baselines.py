@@ -12,7 +12,7 @@ from pyspark.sql import types as T
 
 from ..functions.dialect import PLAIN, QUOTED, Dfa, compile_dialect
 from ..plans.reader import EXTRA, FILE, RECORD_NO, Options, _records, aligned_ranges, seed_table, summary_table
-from ..sources.files import durable, list_files, read_range, splits, spread
+from ..sources.files import _store, durable, list_files, read_range, splits, spread
 from . import convert
 from .kernel import classify, summarize
 from .tagging import tag_runs
@@ -160,10 +160,7 @@ def spark_csv(spark: SparkSession, path: str, schema: T.StructType, multiline: b
     return raw.select(*[convert.typed(F.col(f.name), f.dataType).alias(f.name) for f in schema.fields])
 
 
-def single_node(spark: SparkSession, path: str, schema: T.StructType) -> DataFrame:
-    """One task with a vectorised in-memory CSV reader."""
-    names = schema.fieldNames()
-
+def _arrow_csv(names: list[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyarrow import csv
 
@@ -173,11 +170,43 @@ def single_node(spark: SparkSession, path: str, schema: T.StructType) -> DataFra
                 table = csv.read_csv(pa.BufferReader(read_range(file, 0, size).tobytes()), csv.ReadOptions(column_names=names, block_size=1 << 24), csv.ParseOptions(newlines_in_values=True), opts)
                 yield from table.to_batches()
 
-    files = list_files(spark, path).where("size > 0").select("file", "size").coalesce(1)
-    raw = files.mapInArrow(run, T.StructType([T.StructField(n, T.StringType()) for n in names]))
+    return run
+
+
+def _strings(files: DataFrame, run, schema: T.StructType) -> DataFrame:
+    raw = files.mapInArrow(run, T.StructType([T.StructField(n, T.StringType()) for n in schema.fieldNames()]))
     return raw.select(*[convert.typed(F.col(f.name), f.dataType).alias(f.name) for f in schema.fields])
 
 
+def single_node(spark: SparkSession, path: str, schema: T.StructType) -> DataFrame:
+    """One task with a vectorised in-memory CSV reader."""
+    return _strings(list_files(spark, path).where("size > 0").select("file", "size").coalesce(1), _arrow_csv(schema.fieldNames()), schema)
+
+
+def coarse_split(spark: SparkSession, path: str, schema: T.StructType) -> DataFrame:
+    """The same reader with a file a task: parallel by files only, so a large file, or one with a dominating record, holds up all."""
+    files = list_files(spark, path).where("size > 0").select("file", "size")
+    return _strings(files.repartitionByRange(max(1, files.count()), "file"), _arrow_csv(schema.fieldNames()), schema)
+
+
+def column_store_load(spark: SparkSession, path: str, schema: T.StructType) -> DataFrame:
+    """Bulk load of every file into a temporary table of a columnar database (duckdb, where it is installed), then read back."""
+    names = schema.fieldNames()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import duckdb
+
+        for b in batches:
+            for file in b.column(0).to_pylist():
+                store, name = _store(file)
+                kinds = "{" + ", ".join(f"'{n}': 'VARCHAR'" for n in names) + "}"
+                with duckdb.connect() as con:
+                    con.execute(f"CREATE TEMP TABLE t AS SELECT * FROM read_csv('{name}', header = false, delim = ',', quote = '\"', escape = '\"', columns = {kinds}, nullstr = '', allow_quoted_nulls = false, max_line_size = 134217728, new_line = '\\n')")
+                    yield from con.execute("SELECT * FROM t").to_arrow_table().to_batches(1 << 16)
+
+    return _strings(list_files(spark, path).where("size > 0").select("file", "size").coalesce(1), run, schema)
+
+
 def one_task_per_field(spark: SparkSession, path: str, schema: T.StructType, dialect="rfc4180", split_bytes: int = 1 << 20) -> DataFrame:
     """Every field travels alone to one worker, then records are put together again: two shuffles of all bytes."""
     dfa = compile_dialect(dialect)

@@ -269,14 +269,17 @@ def _(spark, sf_dir):
     return parsed(spark, sf_dir, "text9", fan=3, driver_splits=0).report.groupBy().agg(F.sum("records").alias("records"), F.min("min_columns").alias("min_columns"), F.max("max_columns").alias("max_columns"), F.bool_and("ok").alias("ok"))
 
 
-@query("scan_tree_equals_fold", "SELECT true AS equal")
+@query("scan_tree_equals_fold", f"""{_walk(NATION)}, n AS (SELECT i, s, e, coalesce(sum((e = 2)::INT) OVER (ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS r FROM kind),
+c AS (SELECT *, coalesce(sum((e = 1)::INT) OVER (PARTITION BY r ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS f FROM n)
+SELECT way, (i // 23)::BIGINT AS split, s AS start_state, r AS first_record, f AS first_column FROM c, (VALUES ('tree'), ('fold')) w(way) WHERE i % 23 = 0""")
 def _(spark, sf_dir):
-    """Seeds from the distributed scan of conditional summaries equal the fold on the driver, over many small splits."""
+    """Seeds of many small splits, from the distributed scan of conditional summaries and from the fold on the driver."""
     from .reader import seeds_of
 
-    ranges = splits(list_files(spark, fixture(spark, sf_dir, "conversations")), 997)
-    a, b = (seeds_of(ranges, RFC, fan=5, driver_splits=n)[0] for n in (0, 10**6))
-    return spark.createDataFrame([(a.count() == b.count() and a.exceptAll(b).count() == 0,)], "equal boolean")
+    path = one_file(spark, sf_dir, "nation_plain", lambda s, d: bytes(text_of(s, d, "nation").first()["data"]))
+    ranges = splits(list_files(spark, path), 23)
+    a, b = (seeds_of(ranges, RFC, fan=5, driver_splits=n)[0].select(F.lit(w).alias("way"), "split", "start_state", "first_record", "first_column") for w, n in (("tree", 0), ("fold", 10**6)))
+    return a.unionByName(b)
 
 
 @query("symbol_tags_region", """WITH f AS (SELECT r_regionkey AS r, 0 AS c, r_regionkey::VARCHAR AS t FROM region UNION ALL SELECT r_regionkey, 1, r_name FROM region)
@@ -329,19 +332,12 @@ def _(spark, sf_dir):
 _INDEX = f"WITH {_LI} SELECT column_no, r AS record_no, coalesce(sum(len) OVER (PARTITION BY column_no ORDER BY r ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS off, len FROM f"
 for _mode in tagging.MODES:
 
-    @query(f"field_index_{_mode}", f"WITH i AS ({_INDEX}) SELECT * FROM i WHERE column_no IN (1, 5, 8)")
+    @query(f"field_index_{_mode}", _INDEX)
     def _(spark, sf_dir, _mode=_mode):
-        runs = _one_stream(_li_runs(spark, sf_dir)).where("column_no in (1, 5, 8)")
-        return tagging.field_index(tagging.column_buffers(runs, _mode), _mode).select("column_no", "record_no", "off", "len")
-
-
-for _mode in tagging.MODES:
-
-    @query(f"field_index_whole_{_mode}", _INDEX)
-    def _(spark, sf_dir, _mode=_mode):
-        """All columns; the SQL of ``field_index_*`` keeps three."""
         return tagging.field_index(tagging.column_buffers(_one_stream(_li_runs(spark, sf_dir)), _mode), _mode).select("column_no", "record_no", "off", "len")
 
+    Q[f"field_index_whole_{_mode}"], SQL[f"field_index_whole_{_mode}"] = Q[f"field_index_{_mode}"], _INDEX  # its name while the plain one kept three columns
+
 
 @query("field_index_run_lengths", "WITH f AS (SELECT r_regionkey::BIGINT AS record_no, 1 AS column_no, strlen(r_name)::BIGINT AS len FROM region) SELECT column_no, record_no, coalesce(sum(len) OVER (ORDER BY record_no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS off, len FROM f")
 def _(spark, sf_dir):
@@ -356,45 +352,28 @@ def _(spark, sf_dir):
     return tagging.column_buffers(runs).select("column_no", F.decode("css", "UTF-8").alias("css"))
 
 
-_ITEMS = "SELECT l_orderkey, l_linenumber, (l_partkey % 16)::BIGINT AS column_no, row_number() OVER (ORDER BY {k}) - 1 AS pos0 FROM lineitem WHERE l_orderkey < 2000".format(k=", ".join(LI))
-
-
-@query("radix_pass_stable", f"WITH i AS ({_ITEMS}) SELECT pos0::BIGINT AS pos0, column_no, (row_number() OVER (ORDER BY column_no & 3, pos0) - 1)::BIGINT AS pos FROM i")
-def _(spark, sf_dir):
-    return columnar.radix_pass(_items(spark, sf_dir), "column_no", "pos", 0, 2).select("pos0", "column_no", "pos")
+_ITEMS = "SELECT (l_partkey % 16)::BIGINT AS column_no, row_number() OVER (ORDER BY {k}) - 1 AS pos0 FROM lineitem".format(k=", ".join(LI))
 
 
 def _items(spark, sf_dir):
-    from pyspark.sql import Window
-
-    li = table(spark, sf_dir, "lineitem").where("l_orderkey < 2000")
-    n = (F.row_number().over(Window.orderBy(*LI)) - 1).cast("long")  # a small trace input
-    return li.select((F.col("l_partkey") % 16).cast("long").alias("column_no"), n.alias("pos0")).withColumn("pos", F.col("pos0"))
-
-
-@query("radix_partition_all_passes", f"WITH i AS ({_ITEMS}) SELECT pos0::BIGINT AS pos0, column_no, (row_number() OVER (ORDER BY column_no, pos0) - 1)::BIGINT AS pos FROM i")
-def _(spark, sf_dir):
-    return columnar.partition_by_column(_items(spark, sf_dir), bits=2, key_bits=4).select("pos0", "column_no", "pos")
-
-
-_WHOLE = "SELECT (l_partkey % 16)::BIGINT AS column_no, row_number() OVER (ORDER BY {k}) - 1 AS pos0 FROM lineitem".format(k=", ".join(LI))
-
-
-def _whole_items(spark, sf_dir):
-    """Every record of lineitem at the number that the parse gave it; the SQL of the two queries above keeps an id subset."""
+    """Every record of lineitem at the number that the parse gave it."""
     part = _one_stream(_li_runs(spark, sf_dir).where("column_no = 1"))
     key = (F.decode("text", "UTF-8").cast("long") % 16).alias("column_no")
     return durable(part.select(key, F.col("record_no").alias("pos0"), F.col("record_no").alias("pos")), "items")
 
 
-@query("radix_pass_stable_whole", f"WITH i AS ({_WHOLE}) SELECT pos0::BIGINT AS pos0, column_no, (row_number() OVER (ORDER BY column_no & 3, pos0) - 1)::BIGINT AS pos FROM i")
+@query("radix_pass_stable", f"WITH i AS ({_ITEMS}) SELECT pos0::BIGINT AS pos0, column_no, (row_number() OVER (ORDER BY column_no & 3, pos0) - 1)::BIGINT AS pos FROM i")
 def _(spark, sf_dir):
-    return columnar.radix_pass(_whole_items(spark, sf_dir), "column_no", "pos", 0, 2).select("pos0", "column_no", "pos")
+    return columnar.radix_pass(_items(spark, sf_dir), "column_no", "pos", 0, 2).select("pos0", "column_no", "pos")
 
 
-@query("radix_partition_all_passes_whole", f"WITH i AS ({_WHOLE}) SELECT pos0::BIGINT AS pos0, column_no, (row_number() OVER (ORDER BY column_no, pos0) - 1)::BIGINT AS pos FROM i")
+@query("radix_partition_all_passes", f"WITH i AS ({_ITEMS}) SELECT pos0::BIGINT AS pos0, column_no, (row_number() OVER (ORDER BY column_no, pos0) - 1)::BIGINT AS pos FROM i")
 def _(spark, sf_dir):
-    return columnar.partition_by_column(_whole_items(spark, sf_dir), bits=2, key_bits=4).select("pos0", "column_no", "pos")
+    return columnar.partition_by_column(_items(spark, sf_dir), bits=2, key_bits=4).select("pos0", "column_no", "pos")
+
+
+for _n in ("radix_pass_stable", "radix_partition_all_passes"):  # their names while the plain ones kept a range of keys
+    Q[f"{_n}_whole"], SQL[f"{_n}_whole"] = Q[_n], SQL[_n]
 
 
 # --- conversion tiers, skew, capabilities ----------------------------------------------------------------------------
@@ -650,23 +629,40 @@ def _(spark, sf_dir):
     return baselines.structural_bitmap(spark, path, split_size(spark, path)).agg(F.sum("records").alias("records"), F.sum("delimiters").alias("delimiters"))
 
 
-@query("baseline_chained", "SELECT true AS equal")
+@query("baseline_chained", f"{_walk(NATION)} SELECT (i // 90)::BIGINT AS split, s AS start_state FROM kind WHERE i % 90 = 0")
 def _(spark, sf_dir):
-    path = fixture(spark, sf_dir, "benchmark")
-    n = split_size(spark, path)
-    a = baselines.chained(spark, path, split_bytes=n)
-    b = _seeded(spark, path, n).select("file", "split", "start_state")
-    return spark.createDataFrame([(a.exceptAll(b).count() + b.exceptAll(a).count() == 0,)], "equal boolean")
+    path = one_file(spark, sf_dir, "nation_plain", lambda s, d: bytes(text_of(s, d, "nation").first()["data"]))
+    return baselines.chained(spark, path, split_bytes=90).select("split", "start_state")
 
 
-@query("parity_fails_on_comments", "SELECT true AS parity_differs")
+@query("parity_fails_on_comments", """WITH t AS (SELECT repeat('# it"s' || chr(10), 3) || repeat('1,"a,b"' || chr(10), 20) AS t), c AS (SELECT i, substr(t, i + 1, 1) AS c FROM t, unnest(range(length(t))) AS u(i)),
+p AS (SELECT i, coalesce(sum((c = '"')::INT) OVER w, 0) % 2 AS inside, coalesce(sum((c = '"' AND i >= 21)::INT) OVER w, 0) % 2 AS really FROM c WINDOW w AS (ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING))
+SELECT (i // 16)::BIGINT AS chunk, inside::INT AS inside, really::INT AS really, inside <> really AS misled FROM p WHERE i % 16 = 0""")
 def _(spark, sf_dir):
     """Comments that hold a quote mislead the parity baseline; the automaton is not misled."""
     data = b'# it"s\n' * 3 + b'1,"a,b"\n' * 20
     dfa = compile_dialect("csv_comment")
     chunks = chunking.split(spark.createDataFrame([("f", bytearray(data))], "file string, data binary"), 16).withColumn("chunk", F.col("chunk").cast("long"))
-    right = context.start_states(durable(context.transition_vectors(chunks, dfa)), dfa, "file", "chunk").select("chunk", (F.col("start_state") == 1).cast("int").alias("right"))
-    return baselines.quote_parity(chunks).join(right, "chunk").agg(F.bool_or(F.col("inside") != F.col("right")).alias("parity_differs"))
+    right = context.start_states(durable(context.transition_vectors(chunks, dfa)), dfa, "file", "chunk").select("chunk", (F.col("start_state") == 1).cast("int").alias("really"))
+    return baselines.quote_parity(chunks).join(right, "chunk").select("chunk", "inside", "really", (F.col("inside") != F.col("really")).alias("misled"))
+
+
+_baseline("coarse_split", lambda s, p, t, n: baselines.coarse_split(s, p, t))
+_baseline("column_store_load", lambda s, p, t, n: baselines.column_store_load(s, p, t))
+
+
+@query("skip_records_set", "SELECT doc_id, lang FROM (SELECT doc_id, lang, row_number() OVER (ORDER BY doc_id) - 1 AS r FROM documents) WHERE r NOT IN (0, 3, 4, 77, 150)")
+def _(spark, sf_dir):
+    path = one_file(spark, sf_dir, "documents_one", lambda s, d: ("\n".join(r["value"] for r in lines(table(s, d, "documents").orderBy("doc_id"), quote=True).collect()) + "\n").encode())
+    return read_delimited(spark, path, schema=table(spark, sf_dir, "documents").schema, columns=["doc_id", "lang"], skip_records=(0, 3, 4, 77, 150), split_bytes=split_size(spark, path)).df.select("doc_id", "lang")
+
+
+for _mode in (*tagging.MODES, "auto"):
+
+    @query(f"parse_tagging_{_mode}", "SELECT * FROM documents")
+    def _(spark, sf_dir, _mode=_mode):
+        """The reader with fields found through column buffers in one of the tagging modes."""
+        return parsed(spark, sf_dir, "documents", tagging=_mode).df.select(*table(spark, sf_dir, "documents").columns)
 
 
 # --- streams and measures --------------------------------------------------------------------------------------------------

@@ -7,8 +7,9 @@ at records, so raw bytes are never shuffled, whatever records cross split edges.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator, Sequence
 from dataclasses import dataclass, field, replace
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -19,8 +20,9 @@ from pyspark.sql import types as T
 from ..functions.dialect import Dfa, Dialect, compile_dialect
 from ..operators import convert
 from ..operators.kernel import BLOCK, FIELDS, LANE, SUMMARY_DDL, Parsed, Summary, columns_of, decode, parse_block, summarize
+from ..operators.layout import by_buffers
 from ..operators.scan import Monoid, exclusive_scan, sum_monoid
-from ..sources.files import SPLIT_BYTES, durable, fresh_path, list_files, read_range, splits, spread
+from ..sources.files import PARTS, SPLIT_BYTES, durable, each, fresh_path, list_files, local_splits, read_range, splits, spread
 
 EXTRA, RECORD_NO, FILE = "_extra", "_record_no", "_file"
 
@@ -31,7 +33,8 @@ class Options:
     schema: T.StructType | str | None = None
     columns: list[str] | None = None
     skip_rows: int = 0
-    skip_records: int = 0
+    skip_records: int | Sequence[int] | DataFrame = 0  # a number skips that many first records, numbers or a frame skip those
+    tagging: str | None = None  # "record_tags", "inline", "vector" or "auto": how fields find their column; by default straight from their spans
     on_ragged: str = "keep"  # or "reject", "fail"
     on_error: str = "report"  # or "fail"
     defaults: dict[str, object] = field(default_factory=dict)
@@ -45,17 +48,27 @@ class Options:
     driver_splits: int = 4096
 
 
-@dataclass
 class ParseResult:
-    df: DataFrame
-    rejects: DataFrame
-    report: DataFrame
-    seeds: DataFrame
+    """``df`` and ``rejects``; ``seeds`` and ``report`` are planned when they are first asked for."""
 
+    def __init__(self, df: DataFrame, rejects: DataFrame, seeds: Callable[[], DataFrame], dfa: Dfa):
+        self.df, self.rejects, self._seeds, self._dfa = df, rejects, seeds, dfa
+
+    @cached_property
+    def seeds(self) -> DataFrame:
+        return self._seeds()
+
+    @cached_property
+    def report(self) -> DataFrame:
+        return format_report(self.seeds, self._dfa)
 
-def summary_table(ranges: DataFrame, dfa: Dfa, lane: int = LANE) -> DataFrame:
-    """Pass one: ``(file, split, off, len, per_state)``, one row a split."""
 
+SPLIT_KIND = pa.schema([("file", pa.string()), ("split", pa.int64()), ("off", pa.int64()), ("len", pa.int64())])
+RANGE_KIND = pa.schema([("file", pa.string()), ("begin", pa.int64()), ("stop", pa.int64()), ("record", pa.int64()), ("final", pa.bool_())])
+SUMMARY_KIND = f"file string, split long, off long, len long, per_state array<{SUMMARY_DDL}>"
+
+
+def _summarizer(dfa: Dfa, lane: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for file, split, off, size in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
@@ -67,7 +80,12 @@ def summary_table(ranges: DataFrame, dfa: Dfa, lane: int = LANE) -> DataFrame:
                 kind = pa.list_(pa.struct([(f, pa.int32() if f == "end" else pa.bool_() if f == "is_abs" else pa.int64()) for f in FIELDS]))
                 yield pa.RecordBatch.from_arrays([pa.array([file]), pa.array([split], pa.int64()), pa.array([off], pa.int64()), pa.array([size], pa.int64()), pa.array(rows, kind)], ["file", "split", "off", "len", "per_state"])
 
-    return ranges.select("file", "split", "off", "len").mapInArrow(run, f"file string, split long, off long, len long, per_state array<{SUMMARY_DDL}>")
+    return run
+
+
+def summary_table(ranges: DataFrame, dfa: Dfa, lane: int = LANE) -> DataFrame:
+    """Pass one: ``(file, split, off, len, per_state)``, one row a split."""
+    return ranges.select("file", "split", "off", "len").mapInArrow(_summarizer(dfa, lane), SUMMARY_KIND)
 
 
 def _join_summaries(x, y):
@@ -97,30 +115,42 @@ SEED_DDL = f"file string, split bigint, off bigint, len bigint, start_state int,
 DRIVER_SPLITS = 4096  # up to so many summaries (about 1 kB each) are folded on the driver, more by the scan tree
 
 
-def seeds_of(ranges: DataFrame, dfa: Dfa, lane: int = LANE, fan: int = 1024, driver_splits: int = DRIVER_SPLITS) -> tuple[DataFrame, DataFrame]:
-    """Pass one and the scan: seeds, and record-aligned ranges.  The number of splits comes from the listing, so the way is chosen by a checked size."""
-    spark = ranges.sparkSession
-    known = ranges.limit(driver_splits + 1).collect() if driver_splits else []  # names and numbers of ranges, no contents
-    if not driver_splits or len(known) > driver_splits:
-        seeds = durable(seed_table(summary_table(spread(ranges), dfa, lane), dfa, fan), "seeds")
-        return seeds, spread(aligned_ranges(seeds))
+def _fold(spark: SparkSession, known: list[tuple], dfa: Dfa, lane: int) -> tuple[list[tuple], list[tuple]]:
+    """Seeds and record-aligned ranges of splits that the driver knows, from one job that sends back a summary a split."""
     own = lambda r: Summary(*[r[f] for f in FIELDS])
     flat = lambda s: tuple(getattr(s, f) for f in FIELDS)
     rows, last, total = [], None, Summary(dfa.start)
     cut: list[list] = []
-    few = spark.createDataFrame(known, ranges.schema)  # already dealt evenly over the session's tasks
-    for r in sorted(summary_table(few, dfa, lane).collect(), key=lambda r: (r["file"], r["split"])):
+    found = each(spark, known, _summarizer(dfa, lane), SPLIT_KIND, SUMMARY_KIND).collect()
+    for r in sorted(found, key=lambda r: (r["file"], r["split"])):
         if r["file"] != last:
             last, total = r["file"], Summary(dfa.start)
-            cut.append([r["file"], r["split"], 0, 0, 0, True])
+            cut.append([r["file"], 0, 0, 0, True])
         mine = own(r["per_state"][total.end])
         rows.append((r["file"], r["split"], r["off"], r["len"], total.end, total.recs, total.col, flat(total), flat(mine)))
         if r["split"] and mine.recs:
-            cut[-1][3], cut[-1][5] = r["off"] + mine.first_end, False
-            cut.append([r["file"], r["split"], r["off"] + mine.first_end, 0, total.recs + 1, True])
-        cut[-1][3] = r["off"] + r["len"]
+            cut[-1][2], cut[-1][4] = r["off"] + mine.first_end, False
+            cut.append([r["file"], r["off"] + mine.first_end, 0, total.recs + 1, True])
+        cut[-1][2] = r["off"] + r["len"]
         total = total.then(mine)
-    aligned = spark.createDataFrame([tuple(c) for c in cut if c[3] > c[2]], "file string, split bigint, begin bigint, stop bigint, record bigint, final boolean")
+    return rows, [tuple(c) for c in cut if c[2] > c[1]]
+
+
+def _known(spark: SparkSession, ranges: DataFrame, most: int) -> list[tuple] | None:
+    rows = ranges.select("file", "split", "off", "len").limit(most + 1).collect() if most else []  # names and numbers of ranges, no contents
+    return [tuple(r) for r in rows] if most and len(rows) <= most else None
+
+
+def seeds_of(ranges: DataFrame, dfa: Dfa, lane: int = LANE, fan: int = 1024, driver_splits: int = DRIVER_SPLITS) -> tuple[DataFrame, DataFrame]:
+    """Pass one and the scan: seeds, and record-aligned ranges.  The number of splits comes from the listing, so the way is chosen by a checked size."""
+    spark = ranges.sparkSession
+    known = _known(spark, ranges, driver_splits)
+    if known is None:
+        seeds = durable(seed_table(summary_table(spread(ranges), dfa, lane), dfa, fan), "seeds")
+        return seeds, spread(aligned_ranges(seeds))
+    rows, cut = _fold(spark, known, dfa, lane)
+    at = {c[:2]: k for k, c in enumerate(cut)}
+    aligned = spark.createDataFrame([(c[0], at[c[:2]], *c[1:]) for c in cut], "file string, split bigint, begin bigint, stop bigint, record bigint, final boolean")
     return spark.createDataFrame(rows, SEED_DDL).coalesce(1), aligned
 
 
@@ -165,12 +195,14 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     dfa = compile_dialect(o.dialect)
     if o.skip_rows:
         path = skip_rows(spark, path, o.skip_rows, o.split_bytes)
-    seeds, ranges = seeds_of(splits(list_files(spark, path), o.split_bytes), dfa, o.lane_bytes, o.fan, o.driver_splits)
-    report = format_report(seeds, dfa)
-    if o.on_error == "fail" and (bad := report.where("not ok").first()):
-        raise ValueError(f"{bad['file']}: invalid at byte {bad['first_bad_byte']}, record {bad['first_bad_record']}, ends in {bad['end_state']}")
+    ranges, seeds = _plan(spark, path, dfa, o)
     trailing = isinstance(o.dialect, (str, Dialect)) and (o.dialect if isinstance(o.dialect, Dialect) else _named(o.dialect)).trailing_delimiter
     schema = T._parse_datatype_string(o.schema) if isinstance(o.schema, str) else o.schema
+    if o.on_error == "fail" or schema is None:
+        seeds = (lambda made: lambda: made)(seeds())
+        report = format_report(seeds(), dfa)
+        if o.on_error == "fail" and (bad := report.where("not ok").first()):
+            raise ValueError(f"{bad['file']}: invalid at byte {bad['first_bad_byte']}, record {bad['first_bad_record']}, ends in {bad['end_state']}")
     if schema is None:
         width = (report.agg(F.max("max_columns")).first()[0] or 0) - trailing
         names = [f"c{i}" for i in range(int(width))]
@@ -179,9 +211,8 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     wanted = o.columns or names
     text = _records(spark, ranges, dfa, names, wanted, o, len(names) + trailing)
     if schema is None:
-        schema = _inferred(ranges, dfa, names, wanted, o)
-    if o.skip_records:
-        text = text.where(F.col(RECORD_NO) >= o.skip_records)
+        schema = _inferred(spark, ranges, dfa, names, wanted, o)
+    text = _skipped(text, o.skip_records)
     ragged = F.col("_width") != len(names) + int(trailing)
     if o.on_ragged == "fail" and text.where(ragged).limit(1).count():
         raise ValueError("a record has another number of columns")
@@ -189,7 +220,43 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     rejects = bad.select(FILE, RECORD_NO, F.lit("columns").alias("reason"), F.col("_width").alias("columns_seen"))
     good = text.where(~ragged) if o.on_ragged == "reject" else text
     typed = convert.cast_fields(good, T.StructType([schema[c] for c in wanted]), o.null_values, o.defaults)
-    return ParseResult(typed.select(FILE, RECORD_NO, *wanted, EXTRA), rejects.unionByName(convert.cast_errors(good, T.StructType([schema[c] for c in wanted]), o.null_values)), report, seeds)
+    return ParseResult(typed.select(FILE, RECORD_NO, *wanted, EXTRA), rejects.unionByName(convert.cast_errors(good, T.StructType([schema[c] for c in wanted]), o.null_values)), seeds, dfa)
+
+
+def _plan(spark: SparkSession, path: str | list[str], dfa: Dfa, o: Options) -> tuple[DataFrame | list[tuple], Callable[[], DataFrame]]:
+    """Record-aligned ranges (a list where the driver knows them), and how to get the seeds.
+
+    A file of one split begins in the start state and needs no first pass; then only ``seeds`` would make one.
+    """
+    known = local_splits(spark, path, o.split_bytes, o.driver_splits) if o.driver_splits else None
+    if known is None:
+        ranges = splits(list_files(spark, path), o.split_bytes)
+        seeds, aligned = seeds_of(ranges, dfa, o.lane_bytes, o.fan, o.driver_splits)
+        return aligned, lambda: seeds
+    cut = {r[0] for r in known if r[1]}
+    made: list[tuple] = []
+    single = [(f, 0, n, 0, True) for f, _, _, n in known if f not in cut]
+    if cut:
+        rows, aligned = _fold(spark, [r for r in known if r[0] in cut], dfa, o.lane_bytes)
+        made += rows
+    else:
+        aligned = []
+
+    def seeds() -> DataFrame:
+        rest = [r for r in known if r[0] not in cut]
+        more = _fold(spark, rest, dfa, o.lane_bytes)[0] if rest else []
+        return spark.createDataFrame(made + more, SEED_DDL).coalesce(1)
+
+    return single + aligned, seeds
+
+
+def _skipped(text: DataFrame, skip: int | Sequence[int] | DataFrame) -> DataFrame:
+    """Without the first ``skip`` records, those numbered in it, or those in a frame of ``_record_no`` (and ``_file``)."""
+    if isinstance(skip, DataFrame):
+        return text.join(skip, [c for c in (FILE, RECORD_NO) if c in skip.columns], "left_anti")  # broadcast or not as its size says
+    if isinstance(skip, int):
+        return text.where(F.col(RECORD_NO) >= skip) if skip else text
+    return text.where(~F.col(RECORD_NO).isin([int(n) for n in skip])) if len(skip) else text
 
 
 def _named(name: str) -> Dialect:
@@ -198,10 +265,17 @@ def _named(name: str) -> Dialect:
     return DIALECTS[name]
 
 
-def _records(spark: SparkSession, ranges: DataFrame, dfa: Dfa, names: list[str], wanted: list[str], o: Options, width: int) -> DataFrame:
+def _over(spark: SparkSession, ranges: DataFrame | list[tuple], run: Callable, out: str | T.StructType) -> DataFrame:
+    """``run`` over record-aligned ranges, a range a task where the driver knows them."""
+    if isinstance(ranges, list):
+        return each(spark, ranges, run, RANGE_KIND, out)
+    return ranges.select(*RANGE_KIND.names).mapInArrow(run, out)
+
+
+def _records(spark: SparkSession, ranges: DataFrame | list[tuple], dfa: Dfa, names: list[str], wanted: list[str], o: Options, width: int) -> DataFrame:
     """Pass two: wide string columns of every record."""
     at = [names.index(c) for c in wanted]
-    lane, empty_null = o.lane_bytes, o.empty_null
+    lane, empty_null, tagging = o.lane_bytes, o.empty_null, o.tagging
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -209,7 +283,7 @@ def _records(spark: SparkSession, ranges: DataFrame, dfa: Dfa, names: list[str],
                 for p in parse_range(file, begin, stop, final, dfa, lane):
                     begins = np.concatenate([[0], p.ends[:-1]])
                     seen = p.ends - begins
-                    cols = [decode(c) for c in columns_of(p, at, empty_null)]
+                    cols = [decode(c) for c in (by_buffers(p, at, tagging, empty_null) if tagging else columns_of(p, at, empty_null))]
                     extra = pa.nulls(p.records, pa.list_(pa.string()))
                     if (seen > width).any():
                         fields = decode(pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(p.offsets) - 1, [None, pa.py_buffer(p.offsets.astype(np.int64)), pa.py_buffer(np.ascontiguousarray(p.text))]))
@@ -220,21 +294,21 @@ def _records(spark: SparkSession, ranges: DataFrame, dfa: Dfa, names: list[str],
                     record += p.records
 
     schema = T.StructType([T.StructField(FILE, T.StringType()), T.StructField(RECORD_NO, T.LongType()), T.StructField("_width", T.IntegerType()), T.StructField(EXTRA, T.ArrayType(T.StringType())), *[T.StructField(c, T.StringType()) for c in wanted]])
-    return ranges.select("file", "begin", "stop", "record", "final").mapInArrow(run, schema)
+    return _over(spark, ranges, run, schema)
 
 
-def _inferred(ranges: DataFrame, dfa: Dfa, names: list[str], wanted: list[str], o: Options) -> T.StructType:
+def _inferred(spark: SparkSession, ranges: DataFrame | list[tuple], dfa: Dfa, names: list[str], wanted: list[str], o: Options) -> T.StructType:
     """Types from a pass that sends back three numbers a column and block, never text."""
     at, lane, empty_null = [names.index(c) for c in wanted], o.lane_bytes, o.empty_null
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for file, begin, stop, final in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
+            for file, begin, stop, _, final in zip(*(b.column(i).to_pylist() for i in range(5)), strict=True):
                 for p in parse_range(file, begin, stop, final, dfa, lane):
                     stats = [convert.rank_stats(decode(c)) for c in columns_of(p, at, empty_null)]
                     yield pa.RecordBatch.from_arrays([pa.array(range(len(at)), pa.int32()), *[pa.array([s[k] for s in stats], pa.int32()) for k in range(3)]], ["c", "top", "lo", "hi"])
 
-    found = ranges.select("file", "begin", "stop", "final").mapInArrow(run, "c int, top int, lo int, hi int").groupBy("c").agg(F.max("top").alias("top"), F.min(F.when(F.col("lo") >= 0, F.col("lo"))).alias("lo"), F.max("hi").alias("hi"))
+    found = _over(spark, ranges, run, "c int, top int, lo int, hi int").groupBy("c").agg(F.max("top").alias("top"), F.min(F.when(F.col("lo") >= 0, F.col("lo"))).alias("lo"), F.max("hi").alias("hi"))
     kinds = {r["c"]: convert.type_of(r["top"], r["lo"], r["hi"]) for r in found.collect()}  # a row a column
     return T.StructType([T.StructField(c, T._parse_datatype_string(kinds.get(i, "string"))) for i, c in enumerate(wanted)])
 
@@ -293,28 +367,24 @@ def skip_rows(spark: SparkSession, path: str | list[str], rows: int, split_bytes
 
 
 def _concatenated(spark: SparkSession, folder: str) -> str:
-    """Files made of the parts of each subfolder, in order (parts of one file are one stream)."""
+    """A list of parts for each subfolder, in order, to be read as one file; names and sizes only, no bytes are copied."""
     out = fresh_path(spark, "streams")
     parts = list_files(spark, folder).select("file", "size", F.regexp_extract("file", r"/(f\d+)/s\d+$", 1).alias("f"))
-    groups = parts.groupBy("f").agg(F.array_sort(F.collect_list("file")).alias("files"))  # names only
+    groups = parts.groupBy("f").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("file", "size"))), lambda x: F.concat(x["file"], F.lit("\t"), x["size"].cast("string"))), "\n").alias("parts"))
 
-    def join(batches):
+    def write(batches):
         from ..sources.files import _store
 
         for b in batches:
-            for f, files in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+            for f, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 store, root = _store(out)
                 store.create_dir(root, recursive=True)
                 with store.open_output_stream(f"{root}/{f}") as sink:
-                    for x in files:
-                        src, name = _store(x)
-                        with src.open_input_stream(name) as s:
-                            while chunk := s.read(8 << 20):
-                                sink.write(chunk)
+                    sink.write(text.encode())
                 yield pa.RecordBatch.from_arrays([pa.array([f])], ["f"])
 
-    groups.mapInArrow(join, "f string").collect()  # one name a file
-    return out
+    groups.mapInArrow(write, "f string").agg(F.count("*")).first()
+    return PARTS + out
 
 
 def to_utf8(spark: SparkSession, path: str | list[str], encoding: str, split_bytes: int = SPLIT_BYTES) -> str:
