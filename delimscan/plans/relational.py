@@ -61,7 +61,8 @@ rel("r_join_range", """WITH f AS (SELECT user_id, min(ts) AS t0 FROM {events} e
 SELECT e.user_id, e.event_id FROM {events} e JOIN f ON e.user_id = f.user_id AND e.ts >= f.t0 AND e.ts <= f.t0 + INTERVAL '1' HOUR""")
 rel("r_join_cross", "SELECT r_name, event_type FROM {region} r CROSS JOIN (SELECT DISTINCT event_type FROM {events} e) t")
 rel("r_join_lateral", "SELECT item_id, w FROM {benchmark} b LATERAL VIEW explode(split(text, '[ \\n]+')) v AS w", "SELECT item_id, unnest(string_split_regex(text, '[ \\n]+')) AS w FROM {benchmark} b")
-rel("r_agg_hash", "SELECT l_returnflag, l_linestatus, sum(l_quantity) AS sum_qty, round(sum(l_extendedprice), 2) AS sum_base, round(sum(l_extendedprice * (1 - l_discount)), 2) AS sum_disc, round(avg(l_discount), 6) AS avg_disc, count(*) AS n FROM {num17} x WHERE l_shipdate <= TIMESTAMP '1998-09-02 00:00:00' GROUP BY l_returnflag, l_linestatus")
+_PRICE, _CUT = "CAST(l_extendedprice AS DECIMAL(15,2))", "CAST(l_discount AS DECIMAL(4,2))"  # sums of decimals are the same in any order
+rel("r_agg_hash", f"SELECT l_returnflag, l_linestatus, sum(l_quantity) AS sum_qty, CAST(sum({_PRICE}) AS DOUBLE) AS sum_base, CAST(sum({_PRICE} * (1 - {_CUT})) AS DOUBLE) AS sum_disc, round(CAST(sum({_CUT}) AS DOUBLE) / count(*), 6) AS avg_disc, count(*) AS n FROM {{num17}} x WHERE l_shipdate <= TIMESTAMP '1998-09-02 00:00:00' GROUP BY l_returnflag, l_linestatus")
 rel("r_agg_sort", "SELECT conv_id, concat_ws(',', transform(array_sort(collect_list(struct(turn, role))), x -> x.role)) AS roles, count(*) AS n FROM {conversations} c GROUP BY conv_id", "SELECT conv_id, string_agg(role, ',' ORDER BY turn, role) AS roles, count(*) AS n FROM {conversations} c GROUP BY conv_id")
 rel("r_agg_distinct", "SELECT o_orderpriority, count(DISTINCT o_custkey) AS customers, count(DISTINCT l_suppkey) AS suppliers FROM {num17} n GROUP BY o_orderpriority")
 for _n, _g in (("rollup", "ROLLUP (source, lang)"), ("cube", "CUBE (source, lang)"), ("gsets", "GROUPING SETS ((source), (lang), ())")):
@@ -70,7 +71,18 @@ rel("r_agg_filter", "SELECT user_id, count(*) FILTER (WHERE event_type = 'click'
 Q["r_agg_filter"] = lambda spark, sf_dir: spark.sql("SELECT user_id, count(*) FILTER (WHERE event_type = 'click') AS clicks, round(sum(value) FILTER (WHERE event_type = 'purchase'), 4) AS bought FROM {events} e GROUP BY user_id", events=parsed_frame(spark, sf_dir, "events"))
 rel("r_agg_stats", "SELECT l_returnflag, round(stddev_samp(l_quantity), 6) AS sd, round(corr(l_quantity, l_extendedprice), 6) AS c, percentile(l_extendedprice, 0.5) AS med, min_by(l_orderkey, struct(l_extendedprice, l_orderkey)) AS least, max_by(l_orderkey, struct(l_extendedprice, l_orderkey)) AS most FROM {num17} n GROUP BY l_returnflag",
     "SELECT l_returnflag, round(stddev_samp(l_quantity), 6) AS sd, round(corr(l_quantity, l_extendedprice), 6) AS c, quantile_cont(l_extendedprice, 0.5) AS med, arg_min(l_orderkey, (l_extendedprice, l_orderkey)) AS least, arg_max(l_orderkey, (l_extendedprice, l_orderkey)) AS most FROM {num17} n GROUP BY l_returnflag")
-Q["r_agg_approx"] = lambda spark, sf_dir: parsed_frame(spark, sf_dir, "num17").agg(F.approx_count_distinct("l_partkey").alias("parts"), F.percentile_approx("l_extendedprice", 0.5, 10000).alias("median"))
+
+
+@frames("r_agg_approx", f"SELECT count(DISTINCT l_partkey) AS parts, true AS parts_within, true AS median_within FROM ({NUM17}) n")
+def _(spark, sf_dir):
+    """Approximate aggregates within their bounds: three deviations of 5 % for the count, a rank error of 1 in 1,000 for the median."""
+    n = parsed_frame(spark, sf_dir, "num17")
+    got = n.agg(F.countDistinct("l_partkey").alias("parts"), F.approx_count_distinct("l_partkey").alias("about"), F.percentile_approx("l_extendedprice", 0.5, 10000).alias("median"))
+    low, high = F.count_if(F.col("l_extendedprice") < F.col("median")), F.count_if(F.col("l_extendedprice") <= F.col("median"))
+    rank = n.select("l_extendedprice").crossJoin(F.broadcast(got)).groupBy("parts", "about").agg((low / F.count("*")).alias("low"), (high / F.count("*")).alias("high"))  # one row beside the table
+    return rank.select("parts", (F.abs(F.col("about") - F.col("parts")) <= 0.15 * F.col("parts")).alias("parts_within"), ((F.col("low") <= 0.501) & (F.col("high") >= 0.499)).alias("median_within"))
+
+
 rel("r_win_rank", "SELECT o_orderkey, rank() OVER w AS r, dense_rank() OVER w AS d, row_number() OVER w AS n, ntile(4) OVER w AS q, round(percent_rank() OVER w, 6) AS p FROM {orders} o WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey)")
 rel("r_win_lag", "SELECT event_id, CAST(unix_micros(CAST(ts AS TIMESTAMP)) - unix_micros(CAST(lag(ts) OVER w AS TIMESTAMP)) AS BIGINT) AS gap, lead(event_type) OVER w AS nxt FROM {events} e WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", "SELECT event_id, (epoch_us(ts) - epoch_us(lag(ts) OVER w))::BIGINT AS gap, lead(event_type) OVER w AS nxt FROM {events} e WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
 rel("r_win_frame_rows", "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), 4) AS total, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING), 4) AS smooth FROM {events} e")

@@ -73,11 +73,20 @@ def _(spark, sf_dir):
     return _window(_run(e, "complete"))
 
 
-@stream("stream_late_dropped")
+@stream("stream_late_dropped", f"""WITH e AS (SELECT event_id, ts, value, time_bucket(INTERVAL 1 HOUR, ts) AS s, event_id % 50 = 0 AS late FROM events),
+w AS (SELECT (SELECT max(ts) FROM e WHERE NOT late AND event_id < (SELECT max(event_id) FROM e WHERE NOT late)) - INTERVAL 10 MINUTE AS first, max(ts) - INTERVAL 10 MINUTE AS last FROM e)
+SELECT strftime(s, '%Y-%m-%d %H:%M:%S') AS start, {_STATS} FROM e, w WHERE s + INTERVAL 1 HOUR <= last AND (NOT late OR s + INTERVAL 1 HOUR > first) GROUP BY s""")
 def _(spark, sf_dir):
-    """Windows closed by the watermark, in append mode: what stays open at the end of the input is not emitted."""
-    e = _events(spark, sf_dir, 1).withWatermark("ts", "10 minutes").groupBy(F.window("ts", "1 hour")).agg(*_stats())
-    return _window(_run(e))
+    """Windows closed by the watermark, in append mode: every fiftieth event comes in the third batch, too late for windows that the first has closed.
+
+    Rows count as late by the watermark of the batch before the last, so a second batch, of one event, lies between.
+    """
+    e, root = parsed_frame(spark, sf_dir, "events"), fresh_path(spark, "late")
+    last = e.where("event_id % 50 <> 0").agg(F.max("event_id")).first()[0]
+    for n, part in enumerate((e.where("event_id % 50 <> 0").where(F.col("event_id") != last), e.where(F.col("event_id") == last), e.where("event_id % 50 = 0"))):
+        part.coalesce(1).write.parquet(f"{root}/{n}")  # the file source takes the older file first
+    rows = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(root).withColumn("ts", F.col("ts").cast("timestamp"))
+    return _window(_run(rows.withWatermark("ts", "10 minutes").groupBy(F.window("ts", "1 hour")).agg(*_stats())))
 
 
 @stream("stream_dedup", "SELECT event_id, user_id FROM events")
