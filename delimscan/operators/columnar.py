@@ -49,12 +49,20 @@ def stitch(fragments: DataFrame) -> DataFrame:
 
 
 def number_of_fragments(fragments: DataFrame, key: list[str], seq: str = "seq", text: str = "text") -> DataFrame:
-    """Whole numbers too long for one worker: pairs (digit count, value) joined by v1 * 10 ** len2 + v2, in fragment order."""
-    part = F.struct(F.length(text).alias("n"), F.col(text).cast("decimal(38,0)").alias("v"))
+    """``(key, value, digits, number)`` of whole numbers too long for one worker.
+
+    Pairs (digit count, value) are joined by v1 * 10 ** len2 + v2, in fragment order.  ``value`` is a DECIMAL(38,0), null
+    beyond 38 digits, which no type holds; ``number`` is the value as text without leading zeros, however long (up to
+    the 2 GB of a row), and ``digits`` its length.
+    """
+    part = F.struct(F.length(text).alias("n"), F.col(text).alias("t"))
     members = F.array_sort(F.collect_list(F.struct(F.col(seq).alias("s"), part.alias("p"))))
+    whole = F.array_join(F.transform("m", lambda x: x["p"]["t"]), "")  # the same sum, written in tens
+    number = F.regexp_replace(whole, "^0+(?=.)", "")
     power = lambda n: F.concat(F.lit("1"), F.repeat(F.lit("0"), n)).cast("decimal(38,0)")
-    step = lambda a, x: (a * power(x["p"]["n"]) + x["p"]["v"]).cast("decimal(38,0)")
-    return fragments.groupBy(*key).agg(members.alias("m")).select(*key, F.aggregate("m", F.lit(0).cast("decimal(38,0)"), step).alias("value"))
+    step = lambda a, x: (a * power(x["p"]["n"]) + x["p"]["t"].cast("decimal(38,0)")).cast("decimal(38,0)")
+    value = F.when(F.length("number") <= 38, F.aggregate("m", F.lit(0).cast("decimal(38,0)"), step))
+    return fragments.groupBy(*key).agg(members.alias("m")).withColumn("number", number).select(*key, value.alias("value"), F.length("number").cast("long").alias("digits"), "number")
 
 
 def tier(length: Column, block_bytes: int = 1 << 20, giant_bytes: int = 256 << 20) -> Column:

@@ -17,9 +17,9 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.dialect import Dfa, Dialect, compile_dialect
+from ..functions.dialect import CONTROL, DATA, FIELD, RECORD, Dfa, Dialect, compile_dialect
 from ..operators import convert
-from ..operators.kernel import BLOCK, FIELDS, LANE, SUMMARY_DDL, Parsed, Summary, columns_of, decode, parse_block, summarize
+from ..operators.kernel import BLOCK, FIELDS, LANE, SUMMARY_DDL, Parsed, Summary, classify, columns_of, decode, parse_block, summarize
 from ..operators.layout import by_buffers
 from ..operators.scan import Monoid, exclusive_scan, sum_monoid
 from ..sources.files import PARTS, SPLIT_BYTES, durable, each, fresh_path, list_files, local_splits, read_range, splits, spread
@@ -43,16 +43,17 @@ class Options:
     encoding: str = "utf-8"
     lane_bytes: int = LANE
     split_bytes: int = SPLIT_BYTES
-    giant_bytes: int = 256 << 20
+    giant_bytes: int = 256 << 20  # a record that covers whole splits of so many bytes is parsed by all of their tasks
+    giant_fields: str = "row"  # or "fragments": fields of such a record above that size stay null and go to ``giant``
     fan: int = 1024
     driver_splits: int = 4096
 
 
 class ParseResult:
-    """``df`` and ``rejects``; ``seeds`` and ``report`` are planned when they are first asked for."""
+    """``df`` and ``rejects``; ``giant``, fragments of fields too large for a row (null if there are none); ``seeds`` and ``report`` are planned when they are first asked for."""
 
-    def __init__(self, df: DataFrame, rejects: DataFrame, seeds: Callable[[], DataFrame], dfa: Dfa):
-        self.df, self.rejects, self._seeds, self._dfa = df, rejects, seeds, dfa
+    def __init__(self, df: DataFrame, rejects: DataFrame, seeds: Callable[[], DataFrame], dfa: Dfa, giant: DataFrame | None = None):
+        self.df, self.rejects, self._seeds, self._dfa, self.giant = df, rejects, seeds, dfa, giant
 
     @cached_property
     def seeds(self) -> DataFrame:
@@ -195,7 +196,7 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     dfa = compile_dialect(o.dialect)
     if o.skip_rows:
         path = skip_rows(spark, path, o.skip_rows, o.split_bytes)
-    ranges, seeds = _plan(spark, path, dfa, o)
+    ranges, seeds, spans = _plan(spark, path, dfa, o)
     trailing = isinstance(o.dialect, (str, Dialect)) and (o.dialect if isinstance(o.dialect, Dialect) else _named(o.dialect)).trailing_delimiter
     schema = T._parse_datatype_string(o.schema) if isinstance(o.schema, str) else o.schema
     if o.on_error == "fail" or schema is None:
@@ -209,7 +210,14 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     else:
         names = schema.fieldNames()
     wanted = o.columns or names
+    pieces = None
+    if spans is not None:
+        pieces = durable(fragments_of(seeds(), spans, dfa, o.lane_bytes), "fragments")
+        ranges = _without(ranges, spans)
     text = _records(spark, ranges, dfa, names, wanted, o, len(names) + trailing)
+    if pieces is not None:
+        rows, pieces = _giant_rows(pieces, names, wanted, o)
+        text = text.unionByName(rows)
     if schema is None:
         schema = _inferred(spark, ranges, dfa, names, wanted, o)
     text = _skipped(text, o.skip_records)
@@ -220,34 +228,106 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
     rejects = bad.select(FILE, RECORD_NO, F.lit("columns").alias("reason"), F.col("_width").alias("columns_seen"))
     good = text.where(~ragged) if o.on_ragged == "reject" else text
     typed = convert.cast_fields(good, T.StructType([schema[c] for c in wanted]), o.null_values, o.defaults)
-    return ParseResult(typed.select(FILE, RECORD_NO, *wanted, EXTRA), rejects.unionByName(convert.cast_errors(good, T.StructType([schema[c] for c in wanted]), o.null_values)), seeds, dfa)
+    return ParseResult(typed.select(FILE, RECORD_NO, *wanted, EXTRA), rejects.unionByName(convert.cast_errors(good, T.StructType([schema[c] for c in wanted]), o.null_values)), seeds, dfa, pieces)
 
 
-def _plan(spark: SparkSession, path: str | list[str], dfa: Dfa, o: Options) -> tuple[DataFrame | list[tuple], Callable[[], DataFrame]]:
-    """Record-aligned ranges (a list where the driver knows them), and how to get the seeds.
+def _plan(spark: SparkSession, path: str | list[str], dfa: Dfa, o: Options) -> tuple[DataFrame | list[tuple], Callable[[], DataFrame], DataFrame | None]:
+    """Record-aligned ranges (a list where the driver knows them), how to get the seeds, and giant records (null if none).
 
     A file of one split begins in the start state and needs no first pass; then only ``seeds`` would make one.
     """
     known = local_splits(spark, path, o.split_bytes, o.driver_splits) if o.driver_splits else None
     if known is None:
         ranges = splits(list_files(spark, path), o.split_bytes)
-        seeds, aligned = seeds_of(ranges, dfa, o.lane_bytes, o.fan, o.driver_splits)
-        return aligned, lambda: seeds
+        table, aligned = seeds_of(ranges, dfa, o.lane_bytes, o.fan, o.driver_splits)
+        spans = giant_records(table, o.giant_bytes)
+        return aligned, lambda: table, spans if spans.limit(1).count() else None
     cut = {r[0] for r in known if r[1]}
-    made: list[tuple] = []
     single = [(f, 0, n, 0, True) for f, _, _, n in known if f not in cut]
-    if cut:
-        rows, aligned = _fold(spark, [r for r in known if r[0] in cut], dfa, o.lane_bytes)
-        made += rows
-    else:
-        aligned = []
+    made, aligned = _fold(spark, [r for r in known if r[0] in cut], dfa, o.lane_bytes) if cut else ([], [])
+    covered: dict[tuple[str, int], int] = {}
+    for r in made:
+        if r[8][FIELDS.index("recs")] == 0:
+            covered[r[0], r[5]] = covered.get((r[0], r[5]), 0) + r[3]
 
     def seeds() -> DataFrame:
         rest = [r for r in known if r[0] not in cut]
         more = _fold(spark, rest, dfa, o.lane_bytes)[0] if rest else []
         return spark.createDataFrame(made + more, SEED_DDL).coalesce(1)
 
-    return single + aligned, seeds
+    return single + aligned, seeds, giant_records(seeds(), o.giant_bytes) if max(covered.values(), default=0) >= o.giant_bytes else None
+
+
+# --- giant records ----------------------------------------------------------------------------------------------------
+
+
+def giant_records(seeds: DataFrame, giant_bytes: int) -> DataFrame:
+    """``(file, record, begin)`` of records that cover whole splits of ``giant_bytes`` or more; ``begin`` is their first byte."""
+    inside = seeds.where("own.recs = 0").groupBy("file", F.col("first_record").alias("record")).agg(F.sum("len").alias("n")).where(F.col("n") >= giant_bytes)
+    begins = seeds.where("own.recs > 0").select("file", (F.col("first_record") + F.col("own.recs")).alias("record"), (F.col("off") + F.col("own.last_end")).alias("begin"))
+    return inside.join(begins, ["file", "record"], "left").select("file", "record", F.coalesce("begin", F.lit(0).cast("long")).alias("begin"))
+
+
+def fragments_of(seeds: DataFrame, spans: DataFrame, dfa: Dfa, lane: int = LANE) -> DataFrame:
+    """``(_file, _record_no, column_no, seq, quoted, text)`` of every field of giant records, each split's part by a task of its own.
+
+    A part knows its start state, record and column from the scan, so a field of any length is classified by all tasks
+    that hold a piece of it.
+    """
+    own, rec = F.col("own"), F.col("first_record")
+    ends = own["recs"] > 0
+    head = F.struct(rec.alias("record"), F.col("start_state").alias("state"), F.col("first_column").alias("column"), F.col("off").alias("begin"), F.when(ends, F.col("off") + own["first_end"]).otherwise(F.col("off") + F.col("len")).alias("stop"))
+    tail = F.struct((rec + own["recs"]).alias("record"), F.lit(dfa.start).alias("state"), F.lit(0).cast("long").alias("column"), (F.col("off") + own["last_end"]).alias("begin"), (F.col("off") + F.col("len")).alias("stop"))
+    parts = seeds.select("file", F.explode(F.when(ends, F.array(head, tail)).otherwise(F.array(head))).alias("p")).select("file", "p.*").where("stop > begin")
+    mine = parts.join(F.broadcast(spans.select("file", "record")), ["file", "record"], "left_semi")  # a giant record is many splits, so they are few
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for file, record, state, column, begin, stop in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True):
+                col, s = column, state
+                for lo in range(begin, stop, BLOCK):
+                    raw = read_range(file, lo, min(BLOCK, stop - lo))
+                    classes, s = classify(raw, dfa, s, lane)
+                    marks = np.flatnonzero((classes == FIELD) | (classes == RECORD))
+                    edges = np.concatenate([[0], marks + 1, [len(raw)]])
+                    for i, (x, y) in enumerate(zip(edges[:-1], edges[1:], strict=True)):
+                        if i == len(marks) and (x == y or classes[x - 1 : x].tolist() == [RECORD]):
+                            continue
+                        keep = classes[x:y] == DATA
+                        yield pa.RecordBatch.from_arrays([pa.array([file]), pa.array([record], pa.int64()), pa.array([col + i], pa.int32()), pa.array([lo + int(x)], pa.int64()), pa.array([bool((classes[x:y] == CONTROL).any())]), pa.array([raw[x:y][keep].tobytes()], pa.binary())], [FILE, RECORD_NO, "column_no", "seq", "quoted", "text"])
+                    col += int((classes == FIELD).sum())
+
+    return spread(mine.withColumn("split", F.col("begin"))).select("file", "record", "state", "column", "begin", "stop").mapInArrow(run, f"{FILE} string, {RECORD_NO} long, column_no int, seq long, quoted boolean, text binary")
+
+
+def _without(ranges: DataFrame | list[tuple], spans: DataFrame) -> DataFrame | list[tuple]:
+    """Ranges that end where a giant record begins: it is the last of its range, as no record begins in the splits that it covers."""
+    if isinstance(ranges, list):
+        at = [(r["file"], r["begin"]) for r in spans.collect()]  # giant records, each of many splits
+        cut = lambda r: next((x for f, x in at if f == r[0] and r[1] <= x < r[2]), None)
+        out = [(r[0], r[1], x, r[3], False) if (x := cut(r)) is not None else r for r in ranges]
+        return [r for r in out if r[2] > r[1]]
+    giant = F.broadcast(spans.select(F.col("file").alias("_f"), F.col("begin").alias("_b")))
+    hit = (F.col("file") == F.col("_f")) & (F.col("begin") <= F.col("_b")) & (F.col("_b") < F.col("stop"))
+    return ranges.join(giant, hit, "left").withColumn("final", F.col("final") & F.col("_b").isNull()).withColumn("stop", F.coalesce("_b", "stop")).drop("_f", "_b").where("stop > begin")
+
+
+def _giant_rows(pieces: DataFrame, names: list[str], wanted: list[str], o: Options) -> tuple[DataFrame, DataFrame | None]:
+    """Rows of giant records from their fragments, and the fragments of fields that stay out of them."""
+    sizes = pieces.groupBy(FILE, RECORD_NO, "column_no").agg(F.sum(F.octet_length("text")).alias("n"), F.max("quoted").alias("quoted"))
+    large = sizes.where(F.col("n") > o.giant_bytes).select(FILE, RECORD_NO, "column_no") if o.giant_fields == "fragments" else None
+    key = [FILE, RECORD_NO, "column_no"]
+    whole = pieces if large is None else pieces.join(large, key, "left_anti")
+    joined = whole.groupBy(*key).agg(F.expr("listagg(text) WITHIN GROUP (ORDER BY seq)").alias("text"))
+    value = F.decode("text", "UTF-8")
+    empty = (F.coalesce("n", F.lit(0)) == 0) & ~F.col("quoted")
+    value = F.when(empty, None).otherwise(F.coalesce(value, F.lit(""))) if o.empty_null else value
+    cells = sizes.join(joined, key, "left").withColumn("value", F.when(F.col("text").isNull() & (F.col("n") > 0), None).otherwise(value))
+    at = [F.max(F.when(F.col("column_no") == names.index(c), F.col("value"))).alias(c) for c in wanted]
+    extra = F.expr(f"transform(array_sort(collect_list(CASE WHEN column_no >= {len(names)} THEN struct(column_no, value) END)), x -> x.value)")
+    rows = cells.groupBy(FILE, RECORD_NO).agg((F.max("column_no") + 1).cast("int").alias("_width"), extra.alias(EXTRA), *at)
+    rows = rows.withColumn(EXTRA, F.when(F.size(EXTRA) > 0, F.col(EXTRA))).select(FILE, RECORD_NO, "_width", EXTRA, *wanted)
+    return rows, None if large is None else pieces.join(large, key, "left_semi")
 
 
 def _skipped(text: DataFrame, skip: int | Sequence[int] | DataFrame) -> DataFrame:
