@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-SLICE_BYTES = 4 << 20  # text bytes that one numpy pass holds, so worker memory does not follow the batch size
+SLICE_BYTES = 1 << 20  # text bytes that one numpy pass holds, so worker memory does not follow the batch size
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -79,6 +79,7 @@ def slices(batches: Iterator[pa.RecordBatch], column: str, limit: int = SLICE_BY
             hi = max(lo + 1, int(np.searchsorted(off, off[lo] + limit, "right")) - 1)
             yield batch.slice(lo, hi - lo), raw[off[lo] : off[hi]], off[lo : hi + 1] - off[lo]
             lo = hi
+    pa.default_memory_pool().release_unused()  # the worker stays for other tasks
 
 
 SPACE = np.zeros(256, bool)

@@ -264,8 +264,8 @@ def _features(rows: DataFrame, model: CoModel) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for lo in range(0, batch.num_rows, 512):
-                b = batch.slice(lo, 512)
+            for lo in range(0, batch.num_rows, 256):
+                b = batch.slice(lo, 256)
                 x = [held.value.text_row(t or "").tolist() for t in b.column(4).to_pylist()]
                 metas = [meta_keys(*m) for m in zip(*(b.column(k).to_pylist() for k in (1, 2, 3)), strict=True)]
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x, pa.list_(pa.float64())), pa.array(metas, pa.list_(pa.int32()))], ["id", "x", "keys"])
@@ -309,8 +309,8 @@ def score(docs: DataFrame, model: CoModel, text_col: str = "text") -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for lo in range(0, batch.num_rows, 512):
-                rows = batch.slice(lo, 512)
+            for lo in range(0, batch.num_rows, 256):
+                rows = batch.slice(lo, 256)
                 texts = [t or "" for t in rows.column(len(names)).to_pylist()]
                 metas = [meta_keys(*x) for x in zip(*(rows.column(len(names) + k).to_pylist() for k in (1, 2, 3)), strict=True)]
                 a, b, both = held.value.scores(texts, metas)

@@ -2,15 +2,17 @@
 
 Vectors are augmented to equal length (so that a large inner product is a small distance), projected by several random
 rotations, shifted, and laid along Hilbert curves.  Each ordering is range-partitioned in Spark; ranks come from
-partition counts, and windows of neighbouring ranks around a query's key, over all curves, are merged and reranked by
-the exact measure.
+partition counts, and windows of neighbouring ranks around a query's key, over all curves, are merged and reranked.
+Copies of vectors that go along the curves are rounded to a byte a component; the best of a query's windows by these
+are scored again, exactly, from the vectors themselves.
 
 The window is fitted: for a bounded sample of queries the true neighbours are found by one exact pass, and the window is
 the rank distance within which ``target`` of them lie on some curve.  It follows the data, not a fixed cap.
 
 Defined results: vectors that are null, zero, of another dimension than most, or hold null or non-finite components
 take no part; equal vectors are one entry of the index and each of their ids is a candidate; ties go to the smaller
-id; repeated ids count once with each distinct vector; an empty table gives no row.
+id; repeated ids count once with each distinct vector, repeated rows once; an empty table gives no row; other columns
+do not matter, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,6 +27,9 @@ from pyspark.sql import functions as F
 from .common import durable
 
 
+LEAST_WINDOW = 64  # ranks to each side of a query that are always looked at
+
+
 def hilbert_keys(cells: np.ndarray, bits: int) -> np.ndarray:
     """Position on the Hilbert curve (uint64) of integer cells (n, dims), ``bits`` a side; dims * bits <= 63."""
     x = cells.astype(np.int64).copy()
@@ -85,6 +90,12 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return flat.reshape(len(column), -1) if len(column) else np.zeros((0, 1))
 
 
+def rounded(m: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Vectors as whole numbers of a byte, and the step of each (float32)."""
+    step = np.abs(m).max(axis=1) / 127
+    return np.rint(m / step[:, None]).astype(np.int8), step.astype(np.float32)
+
+
 def _best(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
     """Positions of the k largest scores and all that tie with the last."""
     if len(scores) <= k:
@@ -99,9 +110,13 @@ def _top(df: DataFrame, by: str, k: int) -> DataFrame:
 
 def search(
     table: DataFrame, is_query: Column, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding",
-    curves: int = 16, dims: int = 8, bits: int = 7, block: int = 4096, target: float = 0.96, fit_rows: int = 4096, fit_queries: int = 128, seed: int = 7,
+    curves: int = 64, dims: int = 8, bits: int = 7, block: int = 4096, target: float = 0.95, fit_rows: int = 4096, fit_queries: int = 128, seed: int = 7, told: dict | None = None,
 ) -> DataFrame:
-    """``(query_id, rank, id_col, score)``: the ``k`` rows of largest inner product found for each row where ``is_query``, its own excepted."""
+    """``(query_id, rank, id_col, score)``: the ``k`` rows of largest inner product found for each row where ``is_query``, its own excepted.
+
+    ``block`` ranks of a curve are held at a time, of which a query is put to those in its window alone.  ``told``, if
+    given, gets ``window`` and ``curves``: a query is put to at most ``curves * (2 * window + 1)`` entries.
+    """
     spark = table.sparkSession
     v = F.col(vec_col)
     good = v.isNotNull() & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0)
@@ -171,27 +186,45 @@ def search(
     truth = durable(_top(entries.select("cid", "v").mapInArrow(exact, "p long, cid long, score double"), "p", k + 1).select("p", "cid"))
     asks = ranks.where("ask").select("curve", F.col("cid").alias("p"), F.col("r").alias("at"))
     far = truth.join(ranks.where("not ask").drop("ask"), "cid").join(asks, ["curve", "p"]).groupBy("p", "cid").agg(F.min(F.abs(F.col("r") - F.col("at"))).alias("far"))
-    window = int(far.agg(F.percentile("far", target)).first()[0]) + 1
+    window = max(LEAST_WINDOW, int(far.agg(F.percentile("far", target)).first()[0]) + 1)
+    if told is not None:
+        told |= {"window": window, "curves": curves}
 
-    spots = ranks.where("not ask").select("curve", F.floor(F.col("r") / block).alias("b"), "cid", F.lit(False).alias("ask"))
+    spots = ranks.where("not ask").select("curve", F.floor(F.col("r") / block).alias("b"), "cid", F.lit(False).alias("ask"), "r")
     reach = F.sequence(F.floor(F.greatest(F.col("r") - window, F.lit(0)) / block), F.floor((F.col("r") + window) / block))
-    visits = ranks.where("ask").select("curve", F.explode(reach).alias("b"), "cid", "ask")
+    visits = ranks.where("ask").select("curve", F.explode(reach).alias("b"), "cid", "ask", "r")
+
+    def short(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                whole, step = rounded(_matrix(batch.column(1)))
+                size = pa.array(np.arange(len(whole) + 1, dtype=np.int32) * whole.shape[1])
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.Array.from_buffers(pa.binary(), len(whole), [None, size.buffers()[1], pa.py_buffer(whole.tobytes())]), pa.array(step)], ["cid", "v", "step"])
 
     def rerank(group: pa.Table) -> pa.Table:
-        ask = group.column("ask").combine_chunks().to_numpy(zero_copy_only=False).astype(bool)
-        m, cid = _matrix(group.column("v")), group.column("cid").to_numpy()
-        ids, out = cid[~ask], []
-        if ask.any() and len(ids):
-            scores = m[ask] @ m[~ask].T
-            for q, s in zip(cid[ask], scores, strict=True):
-                best = _best(s, ids, k + 1)
-                out.append((np.full(len(best), q), ids[best], s[best]))
+        group = group.combine_chunks()
+        ask, r, cid = (group.column(c).to_numpy(zero_copy_only=False) for c in ("ask", "r", "cid"))
+        ask = ask.astype(bool)
+        m = np.frombuffer(b"".join(group.column("v").to_pylist()), np.int8).reshape(len(ask), -1).astype(np.float32) * group.column("step").to_numpy()[:, None]
+        order = np.flatnonzero(~ask)[np.argsort(r[~ask], kind="stable")]
+        place, ids, near = r[order], cid[order], m[order]
+        low, high = np.searchsorted(place, r[ask] - window, "left"), np.searchsorted(place, r[ask] + window, "right")
+        out = []
+        for q, v, a, b in zip(cid[ask], m[ask], low, high, strict=True):
+            scores = near[a:b] @ v
+            best = _best(scores, ids[a:b], 2 * (k + 1))
+            out.append((np.full(len(best), q), ids[a:b][best], scores[best].astype(np.float64)))
         cols = [np.concatenate(x) for x in zip(*out, strict=True)] if out else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
         return pa.table({"query": cols[0], "cid": cols[1], "score": cols[2]})
 
-    sites = spots.unionByName(visits).join(entries.select("cid", "v"), "cid")
+    bytes_ = entries.select("cid", "v").mapInArrow(short, "cid long, v binary, step float")
+    sites = spots.unionByName(visits).join(bytes_, "cid")
     found = sites.groupBy("curve", "b").applyInArrow(rerank, "query long, cid long, score double")
-    best = _top(found.groupBy("query", "cid").agg(F.max("score").alias("score")), "query", k + 1)
+    likely = _top(found.groupBy("query", "cid").agg(F.max("score").alias("score")), "query", 4 * (k + 1)).select("query", "cid")
+    vectors = entries.select("cid", "v")
+    both = likely.join(vectors, "cid").join(vectors.select(F.col("cid").alias("query"), F.col("v").alias("w")), "query")
+    exact_score = F.aggregate(F.zip_with("v", "w", lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x)
+    best = _top(both.select("query", "cid", exact_score.alias("score")), "query", k + 1)
     members = best.join(entries.select("cid", "ids"), "cid").select("query", "score", F.explode("ids").alias("id"))
     nearest = Window.partitionBy("query").orderBy(F.desc("score"), "id")
     members = members.withColumn("n", F.row_number().over(nearest)).where(F.col("n") <= k + 1).drop("n")

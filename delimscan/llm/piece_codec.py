@@ -180,12 +180,13 @@ class PieceCodec(ChunkMemory):
     def _seams(self, a: np.ndarray, b: np.ndarray, across: Callable[[np.ndarray, np.ndarray, np.ndarray], np.ndarray]) -> np.ndarray:
         """Whether pieces ``a`` and ``b`` stay apart; ``across(which, x, y)`` gives the pieces that cover their last ``x`` and first ``y`` characters."""
         ok = np.ones(len(a), bool)
-        hard = self.late[a] | self.late[b] | (self.tied[a] & self.tied[b])
+        known = (a >= 0) & (b >= 0)  # no piece reaches over a character without one
+        hard = known & (self.late[a] | self.late[b] | (self.tied[a] & self.tied[b]))
         for i in np.flatnonzero(hard):  # few: merged as they stand
             text = self.pieces[a[i]] + self.pieces[b[i]]
             begins, _ = self._merge(np.array([[ord(c) for c in text]], np.uint32))
             ok[i] = np.flatnonzero(begins[0]).tolist() == [0, len(self.pieces[a[i]])]
-        live = np.flatnonzero(~hard)
+        live = np.flatnonzero(known & ~hard)
         x, y = a[live], b[live]
         limit = np.full(len(live), np.iinfo(np.int64).max)  # merges from here on had not come yet
         while len(live):
@@ -260,6 +261,8 @@ class PieceCodec(ChunkMemory):
                     back[:, end] = lengths[pick]
                 last[:, end] = piece[every, pick]
         begins, own = np.zeros((n, size), bool), np.zeros((n, size), np.int32)
+        if (back[:, size] == 0).any():
+            raise RuntimeError("a word has no path through its lattice")
         at, live = np.full(n, size), every
         while len(live):
             piece = last[live, at[live]]

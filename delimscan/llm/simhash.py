@@ -376,7 +376,8 @@ def _similar(docs: DataFrame, text_col: str, pairs: DataFrame, keys: DataFrame,
             at = np.concatenate([[0], np.cumsum(np.bincount(doc[once], minlength=len(count)))])
             yield pa.RecordBatch.from_arrays([rows.column(0), pa.LargeListArray.from_arrays(pa.array(at), pa.array(h[once].view(np.int64))).cast(pa.list_(pa.int64()))], ["no", "set"])
 
-    asked = durable(pairs.select(F.explode(F.array("u", "v")).alias("no")).distinct().join(keys, "no"))
+    ends = pairs.select(F.col("u").alias("no")).distinct().unionByName(pairs.select(F.col("v").alias("no")).distinct())
+    asked = durable(ends.distinct().join(keys, "no"))
     text = _keyed(docs, text_col)
     few = asked.count() <= 1_000_000  # about 24 MB to each executor; above that the join shuffles
     sets = durable(text.join(F.broadcast(asked) if few else asked, ["file", "row"]).select("no", "text").mapInArrow(run, "no long, set array<long>"))
