@@ -90,6 +90,33 @@ def force(df: DataFrame) -> float:
     return time.perf_counter() - began
 
 
+EXPORT_BYTES = 1 << 30  # input that may be exported to the driver
+
+
+def sink_seconds(df: DataFrame, sink: str, input_bytes: int) -> tuple[float, int]:
+    """Seconds until all rows are ``held`` by the executors, ``written`` as Parquet, or ``exported`` to the driver as Arrow; and the rows.
+
+    An export is refused above ``EXPORT_BYTES`` of input, as it goes to one process.
+    """
+    from ..sources.files import fresh_path
+
+    began = time.perf_counter()
+    if sink == "held":
+        kept = df.persist()
+        n = kept.count()
+        seconds = time.perf_counter() - began
+        kept.unpersist()
+        return seconds, n
+    if sink == "written":
+        path = fresh_path(df.sparkSession, "sink")
+        df.write.parquet(path)
+        return time.perf_counter() - began, df.sparkSession.read.parquet(path).count()
+    if input_bytes > EXPORT_BYTES:
+        raise ValueError(f"an export of {input_bytes} bytes of input would go to one process")
+    n = df.toArrow().num_rows
+    return time.perf_counter() - began, n
+
+
 def exactness(got: DataFrame, want: DataFrame) -> int:
     """Differing rows, both ways; 0 for an exact parse."""
     got = got.select(*want.columns)

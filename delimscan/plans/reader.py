@@ -216,7 +216,7 @@ def read_delimited(spark: SparkSession, path: str | list[str], options: Options
         ranges = _without(ranges, spans)
     text = _records(spark, ranges, dfa, names, wanted, o, len(names) + trailing)
     if pieces is not None:
-        rows, pieces = _giant_rows(pieces, names, wanted, o)
+        rows, pieces = giant_rows(pieces, names, wanted, o)
         text = text.unionByName(rows)
     if schema is None:
         schema = _inferred(spark, ranges, dfa, names, wanted, o)
@@ -268,6 +268,19 @@ def giant_records(seeds: DataFrame, giant_bytes: int) -> DataFrame:
     return inside.join(begins, ["file", "record"], "left").select("file", "record", F.coalesce("begin", F.lit(0).cast("long")).alias("begin"))
 
 
+def field_runs(raw: np.ndarray, state: int, column: int, dfa: Dfa, lane: int = LANE) -> tuple[list[tuple[int, int, bool, bytes]], int, int]:
+    """``(column, place, quoted, text)`` of the parts of one record's fields in ``raw``, and the state and column behind it."""
+    classes, end = classify(raw, dfa, state, lane)
+    marks = np.flatnonzero((classes == FIELD) | (classes == RECORD))
+    edges = np.concatenate([[0], marks + 1, [len(raw)]])
+    out = []
+    for i, (x, y) in enumerate(zip(edges[:-1], edges[1:], strict=True)):
+        if i < len(marks) or x < y and not (x and classes[x - 1] == RECORD):
+            own = classes[x:y]
+            out.append((column + i, int(x), bool((own == CONTROL).any()), raw[x:y][own == DATA].tobytes()))
+    return out, end, column + int((classes == FIELD).sum())
+
+
 def fragments_of(seeds: DataFrame, spans: DataFrame, dfa: Dfa, lane: int = LANE) -> DataFrame:
     """``(_file, _record_no, column_no, seq, quoted, text)`` of every field of giant records, each split's part by a task of its own.
 
@@ -286,16 +299,9 @@ def fragments_of(seeds: DataFrame, spans: DataFrame, dfa: Dfa, lane: int = LANE)
             for file, record, state, column, begin, stop in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True):
                 col, s = column, state
                 for lo in range(begin, stop, BLOCK):
-                    raw = read_range(file, lo, min(BLOCK, stop - lo))
-                    classes, s = classify(raw, dfa, s, lane)
-                    marks = np.flatnonzero((classes == FIELD) | (classes == RECORD))
-                    edges = np.concatenate([[0], marks + 1, [len(raw)]])
-                    for i, (x, y) in enumerate(zip(edges[:-1], edges[1:], strict=True)):
-                        if i == len(marks) and (x == y or classes[x - 1 : x].tolist() == [RECORD]):
-                            continue
-                        keep = classes[x:y] == DATA
-                        yield pa.RecordBatch.from_arrays([pa.array([file]), pa.array([record], pa.int64()), pa.array([col + i], pa.int32()), pa.array([lo + int(x)], pa.int64()), pa.array([bool((classes[x:y] == CONTROL).any())]), pa.array([raw[x:y][keep].tobytes()], pa.binary())], [FILE, RECORD_NO, "column_no", "seq", "quoted", "text"])
-                    col += int((classes == FIELD).sum())
+                    runs, s, col = field_runs(read_range(file, lo, min(BLOCK, stop - lo)), s, col, dfa, lane)
+                    for c, at, quoted, text in runs:
+                        yield pa.RecordBatch.from_arrays([pa.array([file]), pa.array([record], pa.int64()), pa.array([c], pa.int32()), pa.array([lo + at], pa.int64()), pa.array([quoted]), pa.array([text], pa.binary())], [FILE, RECORD_NO, "column_no", "seq", "quoted", "text"])
 
     return spread(mine.withColumn("split", F.col("begin"))).select("file", "record", "state", "column", "begin", "stop").mapInArrow(run, f"{FILE} string, {RECORD_NO} long, column_no int, seq long, quoted boolean, text binary")
 
@@ -312,7 +318,7 @@ def _without(ranges: DataFrame | list[tuple], spans: DataFrame) -> DataFrame | l
     return ranges.join(giant, hit, "left").withColumn("final", F.col("final") & F.col("_b").isNull()).withColumn("stop", F.coalesce("_b", "stop")).drop("_f", "_b").where("stop > begin")
 
 
-def _giant_rows(pieces: DataFrame, names: list[str], wanted: list[str], o: Options) -> tuple[DataFrame, DataFrame | None]:
+def giant_rows(pieces: DataFrame, names: list[str], wanted: list[str], o: Options) -> tuple[DataFrame, DataFrame | None]:
     """Rows of giant records from their fragments, and the fragments of fields that stay out of them."""
     sizes = pieces.groupBy(FILE, RECORD_NO, "column_no").agg(F.sum(F.octet_length("text")).alias("n"), F.max("quoted").alias("quoted"))
     large = sizes.where(F.col("n") > o.giant_bytes).select(FILE, RECORD_NO, "column_no") if o.giant_fields == "fragments" else None

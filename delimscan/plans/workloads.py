@@ -90,6 +90,25 @@ def one_file(spark: SparkSession, sf_dir: str, name: str, data) -> str:
     return rendered(spark, sf_dir, f"one|{name}", make)
 
 
+def one_large(spark: SparkSession, sf_dir: str, name: str, copies: int = 1) -> str:
+    """The rendering of a table as one file, ``copies`` times over: an input for timings, copied block by block by this process."""
+
+    def make(spark: SparkSession, sf_dir: str) -> str:
+        from ..sources.files import listed, read_range
+
+        parts, path = sorted(listed(spark, fixture(spark, sf_dir, name))), fresh_path(spark, f"{name}-large")
+        store, root = _store(path)
+        store.create_dir(root, recursive=True)
+        with store.open_output_stream(f"{root}/part-0") as f:
+            for _ in range(copies):
+                for file, size in parts:
+                    for lo in range(0, size, 32 << 20):
+                        f.write(read_range(file, lo, min(32 << 20, size - lo)).tobytes())
+        return path
+
+    return rendered(spark, sf_dir, f"large|{name}|{copies}", make)
+
+
 def text_of(spark: SparkSession, sf_dir: str, name: str, quote: bool = True) -> DataFrame:
     """A small table's whole rendering as one row ``(file, data)``: input of the byte-level methods."""
     df = table(spark, sf_dir, name)

@@ -1,163 +1,38 @@
-"""The experiment workloads of the method on the given tables; prints a JSON line a measurement.
+"""Run the experiment queries and print a JSON line a measurement.
 
-    python experiments.py [chunk size tags skew partition compare ...]     (all by default; EXP_SF_DIR, EXP_CPUS)
+    python experiments.py [chunk size tagging skew partition compare sinks kernel]     (all by default)
+
+EXP_SF_DIR: tables; EXP_CPUS: threads; EXP_COPIES: how often an input is repeated in its file; EXP_RUNS: runs a median is of.
 """
 
 from __future__ import annotations
 
+import inspect
 import json
 import os
 import sys
-import time
-
-import numpy as np
 
 SF_DIR = os.environ.get("EXP_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("EXP_CPUS", "8")
-LANES = (4, 8, 15, 16, 31, 32, 48, 64, 256, 1024, 4096)
-
-
-def say(**x) -> None:
-    print(json.dumps({k: round(v, 4) if isinstance(v, float) else v for k, v in x.items()}), flush=True)
-
-
-def raw(spark, path: str, limit: int | None = None) -> np.ndarray:
-    from delimscan.sources.files import list_files, read_range
-
-    parts = [read_range(r["file"], 0, r["size"]) for r in list_files(spark, path).where("size > 0").orderBy("file").collect()]
-    data = np.concatenate(parts)
-    return data[:limit] if limit else data
-
-
-def steps(data: np.ndarray, lane: int) -> dict[str, float]:
-    """Seconds of each step over one block-wise pass in this process: parse, scan, classify, tag and convert to columns."""
-    from delimscan.functions.dialect import compile_dialect
-    from delimscan.operators import kernel
-    from delimscan.plans.measures import StepTimer
-
-    dfa, t = compile_dialect("rfc4180"), StepTimer()
-    for lo in range(0, len(data), kernel.BLOCK):
-        block = data[lo : lo + kernel.BLOCK]
-        with t.step("parse"):
-            lanes = kernel.Lanes(block, dfa, lane)
-            vectors = lanes.vectors()
-        with t.step("scan"):
-            before = kernel.exclusive_prefix(vectors)
-        with t.step("tag"):
-            lanes.run(before[:, 0])
-        with t.step("partition_convert"):
-            p = kernel.parse_block(block, dfa, lane=lane)
-            width = int(np.diff(np.concatenate([[0], p.ends])).max()) if p.records else 0
-            [kernel.decode(c) for c in kernel.columns_of(p, list(range(width)))]
-    return t.seconds
-
-
-def chunk(spark, inputs) -> None:
-    for name, path in inputs.items():
-        data = raw(spark, path, 16 << 20)
-        for lane in LANES:
-            s = steps(data, lane)
-            say(experiment="chunk", input=name, lane=lane, **s, scan_share=s["scan"] / sum(s.values()), mb_s=len(data) / 1e6 / sum(s.values()))
-
-
-def size(spark, inputs) -> None:
-    for name, path in inputs.items():
-        data, rates = raw(spark, path), {}
-        n = 64 << 10
-        while n <= len(data):
-            rates[n] = n / 1e6 / sum(steps(data[:n], 256).values())
-            n *= 2
-        top = max(rates.values())
-        for n, r in rates.items():
-            say(experiment="size", input=name, bytes=n, mb_s=r, of_peak=r / top)
-
-
-def tags(spark, inputs) -> None:
-    from delimscan.functions.dialect import compile_dialect
-    from delimscan.operators import tagging
-    from delimscan.plans import measures
-    from delimscan.plans.reader import aligned_ranges, seed_table, summary_table
-    from delimscan.sources.files import durable, list_files, splits, spread
-    from pyspark.sql import functions as F
-
-    dfa = compile_dialect("rfc4180")
-    for name, path in inputs.items():
-        seeds = durable(seed_table(summary_table(spread(splits(list_files(spark, path), 4 << 20)), dfa), dfa))
-        runs = durable(tagging.tag_runs(spread(aligned_ranges(seeds)), dfa))
-        n = runs.agg(F.count("*").alias("n"), F.sum("len").alias("b")).first()
-        for mode in tagging.MODES:
-            say(experiment="tags", input=name, mode=mode, seconds=measures.force(tagging.field_index(tagging.column_buffers(runs, mode), mode)), tag_bytes=tagging.tag_bytes(n["n"], n["b"], mode))
-
-
-def skew(spark, inputs) -> None:
-    from delimscan.plans import measures, workloads
-    from delimscan.plans.reader import read_delimited
-    from delimscan.sources import render
-
-    schema = "doc_id bigint, text string, lang string"
-    docs = workloads.table(spark, SF_DIR, "documents").select("doc_id", "text", "lang")
-    for name, df in (("original", docs), ("one giant record", workloads.skewed(spark, SF_DIR))):
-        path = render.write_lines(render.lines(df.orderBy("doc_id"), quote=True), "skew")
-        for again in ("first", "warm"):
-            seconds = measures.force(read_delimited(spark, path, schema=schema, split_bytes=2 << 20).df)
-        say(experiment="skew", input=name, run=again, seconds=seconds)
-
-
-def partition(spark, inputs) -> None:
-    from delimscan.plans import measures, workloads
-    from delimscan.plans.reader import read_delimited
-    from delimscan.streaming.slices import cut, parse_stream
-
-    for name, path in inputs.items():
-        schema = workloads.frame(spark, SF_DIR, name).schema
-        for split_bytes in (64 << 10, 256 << 10, 1 << 20, 4 << 20, 16 << 20, 128 << 20):
-            say(experiment="partition", kind="batch", input=name, split_bytes=split_bytes, seconds=measures.force(read_delimited(spark, path, schema=schema, split_bytes=split_bytes).df))
-    schema, path = workloads.frame(spark, SF_DIR, "events").schema, workloads.fixture(spark, SF_DIR, "events")
-    for slice_bytes in (256 << 10, 1 << 20, 4 << 20):
-        folder = cut(spark, path, slice_bytes)
-        began = time.perf_counter()
-        parse_stream(spark, folder, schema, files_per_batch=4)
-        say(experiment="partition", kind="stream", input="events", slice_bytes=slice_bytes, seconds=time.perf_counter() - began)
-
-
-def compare(spark, inputs) -> None:
-    from delimscan.operators import baselines
-    from delimscan.plans import measures, workloads
-    from delimscan.plans.reader import read_delimited
-
-    for name, path in inputs.items():
-        want = workloads.frame(spark, SF_DIR, name)
-        schema, columns = want.schema, want.columns
-        systems = {
-            "multi-start scan": lambda: read_delimited(spark, path, schema=schema, split_bytes=4 << 20).df,
-            "one task": lambda: baselines.sequential(spark, path, schema), "pre-pass": lambda: baselines.prepass(spark, path, schema, split_bytes=4 << 20),
-            "speculative": lambda: baselines.speculative(spark, path, schema, split_bytes=4 << 20)[0], "built-in, whole files": lambda: baselines.spark_csv(spark, path, schema),
-            "built-in, lines": lambda: baselines.spark_csv(spark, path, schema, multiline=False), "one task, in memory": lambda: baselines.single_node(spark, path, schema),
-            "line loader": lambda: baselines.parallel_line_loader(spark, path, schema)[0], "one task per field": lambda: baselines.one_task_per_field(spark, path, schema), "transfer, then parse": lambda: baselines.bulk_then_parse(spark, path, schema),
-        }
-        base = None
-        for system, run in systems.items():
-            began = time.perf_counter()
-            df = run().select(*columns)
-            measures.force(df)
-            seconds = time.perf_counter() - began
-            base = base or seconds
-            rows = df.count()
-            say(experiment="compare", input=name, system=system, seconds=seconds, against_scan=seconds / base, failed=bool(rows != want.count() or measures.exactness(df, want)))
+GIVEN = {"copies": int(os.environ.get("EXP_COPIES", "1")), "runs": int(os.environ.get("EXP_RUNS", "3"))}
+NAMES = {"sinks": "measure_sinks", "kernel": "measure_kernel_vs_end_to_end"}
 
 
 def main() -> None:
-    from delimscan.plans import workloads
+    from delimscan.plans import experiments
     from pyspark.sql import SparkSession
 
     spark = (
         SparkSession.builder.master(f"local[{CPUS}]").config("spark.sql.shuffle.partitions", CPUS).config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false")
-        .config("spark.driver.memory", "8g").config("spark.sql.session.timeZone", "UTC").getOrCreate()
+        .config("spark.driver.memory", "8g").config("spark.driver.maxResultSize", "4g").config("spark.sql.session.timeZone", "UTC").getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
-    inputs = {n: workloads.fixture(spark, SF_DIR, n) for n in ("text9", "num17")}
-    for name in sys.argv[1:] or ("chunk", "size", "tags", "skew", "partition", "compare"):
-        globals()[name](spark, inputs)
+    wanted = [NAMES.get(n, f"exp_{n}") for n in sys.argv[1:]] or list(experiments.Q)
+    for name in wanted:
+        run = experiments.Q[name]
+        options = {k: v for k, v in GIVEN.items() if k in inspect.signature(run).parameters}
+        for r in run(spark, SF_DIR, **options).collect():
+            print(json.dumps({"experiment": name, **{k: round(v, 4) if isinstance(v, float) else v for k, v in r.asDict().items()}}), flush=True)
 
 
 if __name__ == "__main__":
