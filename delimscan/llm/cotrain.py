@@ -28,11 +28,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, fresh
+from .common import durable, fresh, tidy
 
 SHAPES = 14
 TRIM = ".,;:!?\"'()[]|*#$%&<>"
 META_BINS = 1 << 8
+BROADCAST_IDS = 1_000_000  # labelled ids that go to every executor
 RESULTS = ("p_text", "p_meta", "score", "keep")
 
 
@@ -182,7 +183,9 @@ class Pool:
     def __init__(self, docs: DataFrame, marks: DataFrame, model: CoModel):
         """``docs(id, lang, source, n_chars, text)``; ``marks(id)`` are the labelled ones."""
         slim = _features(docs, model)
-        self.table = durable(slim.join(marks.select("id"), "id", "left_anti").select("x", "keys"))
+        own = marks.select("id")
+        side = F.broadcast(own) if own.count() <= BROADCAST_IDS else own  # some 20 MB to each executor; above that the join shuffles
+        self.table = durable(slim.join(side, "id", "left_anti").select("x", "keys"))
 
     def lend(self, by_text: list[Lender], by_meta: list[Lender], sure: float) -> list[tuple[list[int], int, int, int]]:
         """``(keys, label for the metadata view, label for the text view, documents)``."""
@@ -269,6 +272,7 @@ def _features(rows: DataFrame, model: CoModel) -> DataFrame:
                 x = [held.value.text_row(t or "").tolist() for t in b.column(4).to_pylist()]
                 metas = [meta_keys(*m) for m in zip(*(b.column(k).to_pylist() for k in (1, 2, 3)), strict=True)]
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(x, pa.list_(pa.float64())), pa.array(metas, pa.list_(pa.int32()))], ["id", "x", "keys"])
+        tidy()
 
     return rows.select("id", "lang", "source", "n_chars", "text").mapInArrow(run, "id long, x array<double>, keys array<int>")
 
@@ -316,6 +320,7 @@ def score(docs: DataFrame, model: CoModel, text_col: str = "text") -> DataFrame:
                 a, b, both = held.value.scores(texts, metas)
                 cols = [*rows.columns[: len(names)], pa.array(a), pa.array(b), pa.array(both), pa.array(both >= held.value.cut)]
                 yield pa.RecordBatch.from_arrays(cols, [*names, *RESULTS])
+        tidy()
 
     schema = plain.schema.add("p_text", "double").add("p_meta", "double").add("score", "double").add("keep", "boolean")
     return src.mapInArrow(run, schema).toDF(*docs.columns, *[fresh(c, docs.columns) for c in RESULTS])

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bpe_cache import encoder
+from .bpe_cache import ROOM, encoder
 from .common import durable, slices
 
 
@@ -74,14 +74,14 @@ def pack_sizes(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, int]:
         ways += 1
 
 
-def encode_pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, segment: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def encode_pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, segment: int, id_col: str = "doc_id", text_col: str = "text", room: int = ROOM, slice_bytes: int = 4 << 20) -> DataFrame:
     """``(doc_id, start, length, ids_crc32, doc_tokens, piece)``: each document cut at whole windows; ``piece`` is unique."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        enc, piece = encoder(tokenizer), TaskContext.get().partitionId() << 33
-        for rows, raw, off in slices(batches, "text", 2 << 20):
+        enc, piece = encoder(tokenizer, room), TaskContext.get().partitionId() << 33
+        for rows, raw, off in slices(batches, "text", slice_bytes):
             ids, at = enc.encode(raw, off)
             ids = np.insert(ids, at[1:], end_id).astype("<u4")
             at = at + np.arange(len(at))
@@ -102,9 +102,9 @@ def encode_pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, s
     return rows.mapInArrow(run, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, piece long")
 
 
-def pack_documents(docs: DataFrame, tokenizer: str, end_id: int = 1, capacity: int = 2048, segment: int = 512, pool_windows: int = 384, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def pack_documents(docs: DataFrame, tokenizer: str, end_id: int = 1, capacity: int = 2048, segment: int = 512, pool_windows: int = 384, id_col: str = "doc_id", text_col: str = "text", room: int = ROOM, slice_bytes: int = 4 << 20) -> DataFrame:
     """Pieces with ``sequence_id`` and ``offset``; a pool's sequences are numbered from pool * 2**20, whole windows from 2**62."""
-    pieces = durable(encode_pieces(docs, tokenizer, end_id, capacity, segment, id_col, text_col))
+    pieces = durable(encode_pieces(docs, tokenizer, end_id, capacity, segment, id_col, text_col, room, slice_bytes))
     whole = pieces.where(F.col("length") == capacity)
     rest = pieces.where(F.col("length") < capacity)
     pools = max(1, round((rest.agg(F.sum("length")).first()[0] or 0) / (capacity * pool_windows)))

@@ -130,12 +130,12 @@ def postings(fps: DataFrame, fp: str = "fp") -> DataFrame:
 
 
 def wide_postings(fps: DataFrame) -> DataFrame:
-    """``(combo, key, fp, fp2)`` of 128-bit fingerprints, ``key`` a hash of the four bytes (equal hashes are only candidates)."""
+    """``(combo, key, fp, fp2, root)`` of 128-bit fingerprints, ``key`` a hash of the four bytes (equal hashes are only candidates)."""
     sets = position_sets(WIDE_BYTES)
-    each = fps.select("fp", "fp2", F.explode(F.sequence(F.lit(0), F.lit(len(sets) - 1))).alias("combo"))
+    each = fps.select("fp", "fp2", "root", F.explode(F.sequence(F.lit(0), F.lit(len(sets) - 1))).alias("combo"))
     low, high = ([_mask(tuple(p - shift for p in c)) for c in sets] for shift in (0, BYTES))
-    key = F.xxhash64(F.col("fp").bitwiseAND(_pick(low, F.col("combo"))), F.col("fp2").bitwiseAND(_pick(high, F.col("combo"))))
-    return each.select("combo", key.alias("key"), "fp", "fp2")
+    key = F.xxhash64("combo", F.col("fp").bitwiseAND(_pick(low, F.col("combo"))), F.col("fp2").bitwiseAND(_pick(high, F.col("combo"))))
+    return each.select("combo", key.alias("key"), "fp", "fp2", "root")
 
 
 def split_crowds(posts: DataFrame, crowd: int | None = None) -> DataFrame:
@@ -343,17 +343,20 @@ def _all_prints(docs: DataFrame, id_col: str, text_col: str, size: int) -> DataF
 def _wide_candidates(kinds: DataFrame) -> DataFrame:
     """Pairs ``(u, v)`` of ``no`` from ``kinds(no, root, w, w2)`` in different narrow groups, within ``WIDE_RADIUS`` bits."""
     prints = durable(kinds.groupBy("w", "w2", "root").agg(F.min("no").alias("no")))
-    posts = wide_postings(prints.select(F.col("w").alias("fp"), F.col("w2").alias("fp2")).distinct())
+    posts = wide_postings(prints.groupBy(F.col("w").alias("fp"), F.col("w2").alias("fp2")).agg(F.min("root").alias("root")))
 
     def out(cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
         fp, fp2 = cols[2].view(np.uint64), cols[3].view(np.uint64)
         a, b = wide_runs(cols[0], cols[1], fp, fp2)
+        apart = cols[4][a] != cols[4][b]  # what the narrow fingerprints have linked needs no second link
+        a, b = a[apart], b[apart]
         if len(a):
             yield pa.RecordBatch.from_arrays([pa.array(x) for x in (cols[2][a], cols[3][a], cols[2][b], cols[3][b])], ["a", "a2", "b", "b2"])
 
-    # by range, so a posting with a third of all texts is dealt among tasks; its cuts fall elsewhere in each of its fellows, which link the parts
-    order = ["combo", "key", "fp", "fp2"]
-    near = posts.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(_by_posting(out, 4, PIECE), "a long, a2 long, b long, b2 long").distinct()
+    # by range, so a posting with a third of all texts is dealt among tasks; its cuts fall elsewhere in each of its fellows, which link the parts.
+    # The hashed key comes first, so every task has postings of all position sets, dense ones and sparse ones
+    order = ["key", "combo", "fp", "fp2"]
+    near = posts.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(_by_posting(out, 5, PIECE), "a long, a2 long, b long, b2 long").distinct()
     # texts of equal wide fingerprints in different narrow groups are candidates too: each with the first of them
     first = Window.partitionBy("w", "w2").orderBy("no").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     same = prints.withColumn("first", F.first("no").over(first)).where("first <> no").select(F.col("first").alias("u"), F.col("no").alias("v"))

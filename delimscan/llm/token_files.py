@@ -70,7 +70,7 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer: str, end_id: int,
         enc, total, n = encoder(tokenizer), 0, 0
         sinks = {x: store.open_output_stream(f"{p}.{attempt}") for x, p in names.items()}
         sinks["off"].write(np.zeros(1, "<u8").tobytes())
-        for rows, raw, off in slices(batches, "text", 2 << 20):
+        for rows, raw, off in slices(batches, "text", 4 << 20):
             ids, at = enc.encode(raw, off)
             ids = np.insert(ids, at[1:], end_id)
             ends = at[1:] + np.arange(1, len(at))
