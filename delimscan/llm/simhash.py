@@ -24,6 +24,7 @@ row.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from functools import lru_cache
 from itertools import combinations
 
 import numpy as np
@@ -230,6 +231,22 @@ def link_runs(combo: np.ndarray, key: np.ndarray, fp: np.ndarray) -> np.ndarray:
     return parent
 
 
+@lru_cache(maxsize=1)
+def _first_sets() -> np.ndarray:
+    """The first position set within each choice of 16 positions (255: none)."""
+    choice, out = np.arange(1 << WIDE_BYTES), np.full(1 << WIDE_BYTES, 255, np.uint8)
+    for i, c in reversed(list(enumerate(position_sets(WIDE_BYTES)))):
+        mask = sum(1 << p for p in c)
+        out[(choice & mask) == mask] = i
+    return out
+
+
+def first_meeting(combo: np.ndarray, far: np.ndarray, far2: np.ndarray) -> np.ndarray:
+    """Whether a pair, given by its exclusive or, meets under no position set before ``combo``."""
+    low, high = (np.packbits(x.view(np.uint8).reshape(-1, BYTES) == 0, axis=1, bitorder="little")[:, 0].astype(np.int64) for x in (far, far2))
+    return _first_sets()[low | (high << 8)] == combo
+
+
 def wide_runs(combo: np.ndarray, key: np.ndarray, fp: np.ndarray, fp2: np.ndarray, radius: int = WIDE_RADIUS) -> tuple[np.ndarray, np.ndarray]:
     """Candidate pairs (indices) of a table sorted by ``(combo, key, fp, fp2)``: within ``radius`` bits of 128.
 
@@ -240,6 +257,7 @@ def wide_runs(combo: np.ndarray, key: np.ndarray, fp: np.ndarray, fp2: np.ndarra
     n = len(fp)
     remaining = np.repeat(size, size) - (np.arange(n) - np.repeat(begin, size)) - 1
     left, right = [], []
+    small = np.repeat(size <= PARTNERS + 1, size)
     for step in range(1, PARTNERS + 1):
         at = np.flatnonzero(remaining >= step)
         left.append(at)
@@ -253,7 +271,9 @@ def wide_runs(combo: np.ndarray, key: np.ndarray, fp: np.ndarray, fp2: np.ndarra
         left.append(np.minimum(rest, mid))
         right.append(np.maximum(rest, mid))
     a, c = np.concatenate(left), np.concatenate(right)
-    near = np.bitwise_count(fp[a] ^ fp[c]).astype(np.int64) + np.bitwise_count(fp2[a] ^ fp2[c]) <= radius
+    far, far2 = fp[a] ^ fp[c], fp2[a] ^ fp2[c]
+    near = np.bitwise_count(far).astype(np.int64) + np.bitwise_count(far2) <= radius
+    near &= ~small[a] | first_meeting(combo[a], far, far2)
     return a[near], c[near]
 
 
