@@ -14,6 +14,8 @@ The stage of a pipeline (:func:`keep_one`) also wants copies that were edited fu
 shingles have a Jaccard similarity of ``least`` or more.  These are sought with a second fingerprint of 128 bits over
 word pairs (of the usual sizes the one that moves least under an edit), in the same index of four out of 16 positions,
 140 sets, of which any seven positions hold one.  Candidates are verified exactly on the whole texts' shingles.
+Crowded postings are linked in two steps: a sparse one, which joins most copies, and one that looks at every pair of
+members still apart (:func:`apart_pairs`), so no pair of a posting is left out.
 
 Defined results: null or empty text has fingerprint 0 and links like any other; rows with a null ``doc_id`` keep
 their fingerprint and group, whose ``component_id`` is the smallest non-null id in it (null if there is none);
@@ -40,7 +42,9 @@ KEEP = BYTES - RADIUS  # positional bytes that a link shares at least
 CROWD = 16384  # members from which a posting is split, and a part of it settled on its cube
 WIDE_BYTES, WIDE_RADIUS, WIDE_SHINGLE = 16, 20, 2
 PIECE = 1 << 20  # rows of one posting that a task holds at once
-PARTNERS = 4  # next members of a posting, in order of fingerprint, that a member is put to beside the posting's centre
+SMALL = 5  # members up to which all pairs of a posting are candidates at once
+SKETCH = 1024  # bits of a set's parity sketch
+FIRST_TRY = 256  # pairs of a member and cell that the second step tries first, eight times as many in each further try until none waits
 
 
 def position_sets(positions: int) -> list[tuple[int, ...]]:
@@ -250,19 +254,20 @@ def first_meeting(combo: np.ndarray, far: np.ndarray, far2: np.ndarray) -> np.nd
 def wide_runs(combo: np.ndarray, key: np.ndarray, fp: np.ndarray, fp2: np.ndarray, radius: int = WIDE_RADIUS) -> tuple[np.ndarray, np.ndarray]:
     """Candidate pairs (indices) of a table sorted by ``(combo, key, fp, fp2)``: within ``radius`` bits of 128.
 
-    A member is put to the next ``PARTNERS`` of its posting and to the posting's centre, the member nearest to the
-    bitwise majority, so pairs grow with the members and not with their square.
+    All pairs of postings of up to ``SMALL`` members.  In a larger one a member is put to the next and to the posting's
+    centre, the member nearest to the bitwise majority, so pairs grow with the members and not with their square; the
+    others are left to :func:`apart_pairs`.
     """
     begin, size = _runs(combo, key)
     n = len(fp)
     remaining = np.repeat(size, size) - (np.arange(n) - np.repeat(begin, size)) - 1
     left, right = [], []
-    small = np.repeat(size <= PARTNERS + 1, size)
-    for step in range(1, PARTNERS + 1):
-        at = np.flatnonzero(remaining >= step)
+    small = np.repeat(size <= SMALL, size)
+    for step in range(1, SMALL):
+        at = np.flatnonzero((remaining >= step) & (small | (step == 1)))
         left.append(at)
         right.append(at + step)
-    for b, m in zip(begin[size > PARTNERS + 1], size[size > PARTNERS + 1], strict=True):
+    for b, m in zip(begin[size > SMALL], size[size > SMALL], strict=True):
         own = np.stack([fp[b : b + m], fp2[b : b + m]], axis=1)
         bits = np.unpackbits(own.view(np.uint8).reshape(m, -1), axis=1)
         centre = np.packbits(2 * bits.sum(axis=0, dtype=np.int64) > m).view(np.uint64)
@@ -277,10 +282,85 @@ def wide_runs(combo: np.ndarray, key: np.ndarray, fp: np.ndarray, fp2: np.ndarra
     return a[near], c[near]
 
 
+def crowds(combo: np.ndarray, key: np.ndarray, several: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """``(begin, size)`` of the postings of a sorted table whose pairs :func:`wide_runs` does not give whole.
+
+    These are postings of more than ``SMALL`` members, those with a member of ``several`` texts (alone in its posting
+    only under the first position set, where equal members meet), and the table's first and last, which may go on in
+    another table.
+    """
+    begin, size = _runs(combo, key)
+    many = np.logical_or.reduceat(several, begin) & ((size > 1) | (combo[begin] == 0))
+    many |= size > SMALL
+    many[[0, -1]] = True
+    return begin[many], size[many]
+
+
+def shingle_sets(h: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """``(hashes, count of each text)`` without repeats, in order."""
+    doc = np.repeat(np.arange(len(count)), count)
+    order = np.lexsort((h, doc))
+    h = h[order]
+    once = np.ones(len(h), bool)
+    once[1:] = (h[1:] != h[:-1]) | (doc[1:] != doc[:-1])
+    return h[once], np.bincount(doc[once], minlength=len(count))
+
+
+def sketches(h: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """A row of ``SKETCH // 64`` words for each set: bit b says whether it has an odd number of hashes that are b modulo ``SKETCH``.
+
+    Two sketches differ in at most as many bits as the sets have elements that are not common.
+    """
+    at = np.repeat(np.arange(len(count)), count) * SKETCH + (h % np.uint64(SKETCH)).astype(np.int64)
+    odd = (np.bincount(at, minlength=len(count) * SKETCH) & 1).astype(np.uint8)
+    return np.packbits(odd, bitorder="little").view(np.uint64).reshape(len(count), SKETCH // 64)
+
+
+def apart_pairs(combo: np.ndarray, fp: np.ndarray, fp2: np.ndarray, root: np.ndarray, block: np.ndarray, n: np.ndarray, sketch: np.ndarray, least: float, most: int, crossing: bool = False, radius: int = WIDE_RADIUS) -> tuple[np.ndarray, np.ndarray, int]:
+    """Pairs (indices) of one posting in different groups ``root``, within ``radius`` bits, that may have a similarity of ``least``; and how many wait.
+
+    Every pair is looked at.  Ruled out are those of which the sizes ``n`` or the sketches show more differing elements
+    than the similarity allows, and those that meet in an earlier posting.  A member gives up to ``most`` pairs; the
+    others wait for a call with more.  ``crossing``: only pairs of different blocks.
+    """
+    names, label, members = np.unique(root, return_inverse=True, return_counts=True)
+    order = np.argsort(label == np.argmax(members), kind="stable")  # the largest group last: no pairs inside it are looked at
+    few = len(root) - int(members.max()) if len(names) else 0
+    left, right, waiting = [], [], 0
+    step = max(1, (1 << 20) // max(1, len(root)))
+    for lo in range(0, few, step):
+        own, rest = order[lo : min(few, lo + step)], order[lo + 1 :]
+        far, far2 = fp[own][:, None] ^ fp[rest], fp2[own][:, None] ^ fp2[rest]
+        near = np.bitwise_count(far).astype(np.int64) + np.bitwise_count(far2) <= radius
+        near &= (label[own][:, None] != label[rest]) & (np.arange(len(rest)) >= np.arange(len(own))[:, None])
+        if crossing:
+            near &= block[own][:, None] != block[rest]
+        i, j = np.nonzero(near)
+        first = first_meeting(combo[own[i]], far[i, j], far2[i, j])
+        a, b = own[i[first]], rest[j[first]]
+        allowed = (1 - least) / (1 + least) * (n[a] + n[b]) + 1e-6
+        fits = np.abs(n[a] - n[b]) <= allowed
+        a, b, allowed = a[fits], b[fits], allowed[fits]
+        fits = np.bitwise_count(sketch[a] ^ sketch[b]).sum(axis=1, dtype=np.int64) <= allowed
+        a, b = a[fits], b[fits]
+        run = _places(a)
+        rank = np.arange(len(a)) - np.searchsorted(run, run, "left")
+        left.append(a[rank < most])
+        right.append(b[rank < most])
+        waiting += int((rank >= most).sum())
+    none = np.zeros(0, np.int64)
+    return np.concatenate([none, *left]), np.concatenate([none, *right]), waiting
+
+
+def _places(a: np.ndarray) -> np.ndarray:
+    """Number of the run of equal values that each value is in."""
+    return np.cumsum(np.concatenate([[0], a[1:] != a[:-1]])[: len(a)])
+
+
 def _by_posting(out: Callable[[list[np.ndarray]], Iterator[pa.RecordBatch]], width: int, most: int | None = None) -> Callable:
     """A function of batches sorted by ``(combo, key)`` that gives ``out`` whole postings, many at a time.
 
-    With ``most``, a posting of more rows comes in pieces that overlap by ``PARTNERS`` rows.
+    With ``most``, a posting of more rows comes in pieces that overlap by one row.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -298,7 +378,7 @@ def _by_posting(out: Callable[[list[np.ndarray]], Iterator[pa.RecordBatch]], wid
             held = [c[cut:] for c in cols]
             if most and len(held[0]) > most:
                 yield from out(held)
-                held = [c[-PARTNERS:] for c in held]
+                held = [c[-1:] for c in held]
         if held is not None and len(held[0]):
             yield from out(held)
 
@@ -348,42 +428,91 @@ def _stored(docs: DataFrame) -> DataFrame:
     return docs if plan.getClass().getSimpleName() == "LogicalRelation" and "parquet" in plan.toString().lower() else durable(docs)
 
 
-def _all_prints(docs: DataFrame, id_col: str, text_col: str, size: int) -> DataFrame:
-    """``(file, row, id, chars, fp, w, w2)``: the narrow fingerprint and both halves of the wide one."""
+def _all_prints(docs: DataFrame, id_col: str, text_col: str, size: int, shingle: int = 5) -> DataFrame:
+    """``(file, row, id, size, fp, w, w2, n, total, sketch)``: the narrow fingerprint, both halves of the wide one, and of the set of
+    ``shingle`` words its size, the sum of its hashes and its parity sketch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, raw, off in slices(batches, "text"):
             h, count = shingle_hashes(raw, off, WIDE_SHINGLE)
             prints = [fingerprints_of(raw, off, size), majority(h, count), majority(remixed(h), count)]
-            yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), rows.column(3), pa.array(np.diff(off)), *[pa.array(x.view(np.int64)) for x in prints]], ["file", "row", "id", "size", "fp", "w", "w2"])
+            h, n = shingle_sets(*shingle_hashes(raw, off, shingle))
+            upto = np.concatenate([np.zeros(1, np.uint64), np.cumsum(h)])
+            edge = np.concatenate([[0], np.cumsum(n)])
+            total = upto[edge[1:]] - upto[edge[:-1]]
+            sketch = pa.array([x.tobytes() for x in sketches(h, n)], pa.binary())
+            names = ["file", "row", "id", "size", "fp", "w", "w2", "n", "total", "sketch"]
+            yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), rows.column(3), pa.array(np.diff(off)), *[pa.array(x.view(np.int64)) for x in prints], pa.array(n), pa.array(total.view(np.int64)), sketch], names)
 
-    return _keyed(docs, text_col, F.col(id_col).cast("long").alias("id")).mapInArrow(run, "file long, row long, id long, size long, fp long, w long, w2 long")
+    kind = "file long, row long, id long, size long, fp long, w long, w2 long, n long, total long, sketch binary"
+    return _keyed(docs, text_col, F.col(id_col).cast("long").alias("id")).mapInArrow(run, kind)
 
 
-def _wide_candidates(kinds: DataFrame) -> DataFrame:
-    """Pairs ``(u, v)`` of ``no`` from ``kinds(no, root, w, w2)`` in different narrow groups, within ``WIDE_RADIUS`` bits."""
-    prints = durable(kinds.groupBy("w", "w2", "root").agg(F.min("no").alias("no")))
-    posts = wide_postings(prints.groupBy(F.col("w").alias("fp"), F.col("w2").alias("fp2")).agg(F.min("root").alias("root")))
+def _wide_candidates(kinds: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """From ``kinds(no, root, w, w2)``: pairs ``(u, v)`` of ``no`` in different narrow groups, within ``WIDE_RADIUS`` bits, and the
+    members ``(combo, key, w, w2)`` of postings that hold further ones."""
+    prints = durable(kinds.groupBy("w", "w2", "root").agg(F.min("no").alias("no"), F.count("*").alias("texts")))
+    posts = wide_postings(prints.groupBy(F.col("w").alias("fp"), F.col("w2").alias("fp2")).agg(F.when(F.sum("texts") == 1, F.min("root")).alias("root")))
+    kind = pa.schema([*[(c, pa.int64()) for c in ("a", "a2", "b", "b2")], ("combo", pa.int32()), ("key", pa.int64()), ("m", pa.list_(pa.int64())), ("m2", pa.list_(pa.int64()))])
 
     def out(cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
-        fp, fp2 = cols[2].view(np.uint64), cols[3].view(np.uint64)
-        a, b = wide_runs(cols[0], cols[1], fp, fp2)
-        apart = cols[4][a] != cols[4][b]  # what the narrow fingerprints have linked needs no second link
+        combo, key, fp, fp2, root, several = cols[0], cols[1], cols[2].view(np.uint64), cols[3].view(np.uint64), cols[4], cols[5].astype(bool)
+        a, b = wide_runs(combo, key, fp, fp2)
+        apart = (root[a] != root[b]) | several[a] | several[b]  # what the narrow fingerprints have linked needs no second link
         a, b = a[apart], b[apart]
         if len(a):
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (cols[2][a], cols[3][a], cols[2][b], cols[3][b])], ["a", "a2", "b", "b2"])
-
-    # by range, so a posting with a third of all texts is dealt among tasks; its cuts fall elsewhere in each of its fellows, which link the parts.
+            yield pa.RecordBatch.from_arrays([*[pa.array(x) for x in (cols[2][a], cols[3][a], cols[2][b], cols[3][b])], *[pa.nulls(len(a), f.type) for f in list(kind)[4:]]], schema=kind)
+        for x, m in zip(*crowds(combo, key, several), strict=True):
+            if 0 < x and x + m < len(key) and not several[x : x + m].any() and (root[x : x + m] == root[x]).all():
+                continue  # one narrow group
+            edge = np.append(np.arange(x, x + m, CROWD), x + m)
+            lists = [pa.ListArray.from_arrays(pa.array(edge - x, pa.int32()), pa.array(c[x : x + m])) for c in cols[2:4]]
+            k = len(edge) - 1
+            yield pa.RecordBatch.from_arrays([*[pa.nulls(k, pa.int64())] * 4, pa.array(np.repeat(combo[x], k), pa.int32()), pa.array(np.repeat(key[x], k)), *lists], schema=kind)
+
+    # by range, so a posting with a third of all texts is dealt among tasks; where one is cut, its parts are among the postings given.
     # The hashed key comes first, so every task has postings of all position sets, dense ones and sparse ones
     order = ["key", "combo", "fp", "fp2"]
-    near = posts.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(_by_posting(out, 5, PIECE), "a long, a2 long, b long, b2 long").distinct()
+    posts = posts.select("combo", "key", "fp", "fp2", F.coalesce("root", F.lit(0).cast("long")).alias("root"), F.col("root").isNull().cast("int").alias("several"))
+    kinds_out = "a long, a2 long, b long, b2 long, combo int, key long, m array<long>, m2 array<long>"
+    found = durable(posts.repartitionByRange(*order).sortWithinPartitions(*order).mapInArrow(_by_posting(out, 6, PIECE), kinds_out))
+    near = found.where("combo is null").select("a", "a2", "b", "b2").distinct()
     # texts of equal wide fingerprints in different narrow groups are candidates too: each with the first of them
     first = Window.partitionBy("w", "w2").orderBy("no").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     same = prints.withColumn("first", F.first("no").over(first)).where("first <> no").select(F.col("first").alias("u"), F.col("no").alias("v"))
     one = prints.groupBy("w", "w2").agg(F.min(F.struct("no", "root")).alias("x")).select("w", "w2", "x.no", "x.root")
     u = near.join(one.select(F.col("w").alias("a"), F.col("w2").alias("a2"), F.col("no").alias("u"), F.col("root").alias("ur")), ["a", "a2"])
     both = u.join(one.select(F.col("w").alias("b"), F.col("w2").alias("b2"), F.col("no").alias("v"), F.col("root").alias("vr")), ["b", "b2"]).where("ur <> vr").select("u", "v")
-    return both.unionByName(same)
+    listed = found.where("combo is not null").select("combo", "key", F.explode(F.arrays_zip("m", "m2")).alias("x"))
+    return both.unionByName(same), durable(listed.select("combo", "key", F.col("x.m").alias("w"), F.col("x.m2").alias("w2")).distinct())
+
+
+def _apart(crowded: DataFrame, members: DataFrame, least: float, most: int) -> tuple[DataFrame, bool]:
+    """Pairs ``(u, v)`` of ``members(no, root, w, w2, n, sketch)`` of crowded postings in different groups (:func:`apart_pairs`), and whether some wait.
+
+    A posting of more than ``CROWD`` members is dealt in blocks, a cell for every two of them.
+    """
+    rows = crowded.join(members.select("no", "root", "w", "w2"), ["w", "w2"])
+    open_ = rows.groupBy("combo", "key").agg(F.count("*").alias("of"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("combo", "key", F.ceil(F.col("of") / CROWD).cast("int").alias("blocks"))
+    block = F.pmod(F.xxhash64("no"), F.col("blocks")).cast("int")
+    dealt = rows.join(open_, ["combo", "key"]).withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    cell = F.least("block", "other") * F.lit(1 << 16).cast("long") + F.greatest("block", "other")
+    rich = dealt.select((cell * 256 + F.col("combo")).alias("cell"), "key", "block", "no").join(members, "no").select("cell", "key", "w", "w2", "root", "block", "n", "no", "sketch")
+
+    def out(cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        for x, m in zip(*_runs(cols[0], cols[1]), strict=True):
+            cell, _, fp, fp2, root, part, n, no, sketch = (c[x : x + m] for c in cols)
+            place = int(cell[0]) >> 8
+            words = np.frombuffer(b"".join(sketch), np.uint64).reshape(m, -1)
+            a, b, waiting = apart_pairs(cell & 255, fp.view(np.uint64), fp2.view(np.uint64), root, part, n, words, least, most, place >> 16 != place & 0xFFFF)
+            if len(a):
+                yield pa.RecordBatch.from_arrays([pa.array(no[a]), pa.array(no[b])], ["u", "v"])
+            if waiting:
+                yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64())], ["u", "v"])
+
+    order = ["cell", "key"]
+    found = durable(rich.repartition(*order).sortWithinPartitions(*order).mapInArrow(_by_posting(out, 9), "u long, v long").distinct())
+    return found.where("u is not null"), found.where("u is null").limit(1).count() > 0
 
 
 def _similar(docs: DataFrame, text_col: str, pairs: DataFrame, keys: DataFrame, least: float, shingle: int) -> DataFrame:
@@ -391,13 +520,9 @@ def _similar(docs: DataFrame, text_col: str, pairs: DataFrame, keys: DataFrame,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, raw, off in slices(batches, "text"):
-            h, count = shingle_hashes(raw, off, shingle)
-            order = np.lexsort((h, np.repeat(np.arange(len(count)), count)))
-            h, doc = h[order], np.repeat(np.arange(len(count)), count)
-            once = np.ones(len(h), bool)
-            once[1:] = (h[1:] != h[:-1]) | (doc[1:] != doc[:-1])
-            at = np.concatenate([[0], np.cumsum(np.bincount(doc[once], minlength=len(count)))])
-            yield pa.RecordBatch.from_arrays([rows.column(0), pa.LargeListArray.from_arrays(pa.array(at), pa.array(h[once].view(np.int64))).cast(pa.list_(pa.int64()))], ["no", "set"])
+            h, count = shingle_sets(*shingle_hashes(raw, off, shingle))
+            at = np.concatenate([[0], np.cumsum(count)])
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.LargeListArray.from_arrays(pa.array(at), pa.array(h.view(np.int64))).cast(pa.list_(pa.int64()))], ["no", "set"])
 
     ends = pairs.select(F.col("u").alias("no")).distinct().unionByName(pairs.select(F.col("v").alias("no")).distinct())
     asked = durable(ends.distinct().join(keys, "no"))
@@ -417,22 +542,30 @@ def survivors(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", s
     wide ones (not where ``least`` is null).  The row of smallest id stays (rows without an id only where a group has no other), of equal ids the one
     of the shortest text.
     """
-    prints = durable(_all_prints(docs, id_col, text_col, size))
-    order = F.struct(F.col("id").isNull().alias("lost"), "id", "size", "file", "row")
-    # a row a kind of text: rows that share all fingerprints are one group
-    kinds = prints.groupBy("fp", "w", "w2").agg(F.min(order).alias("best"))
+    prints = durable(_all_prints(docs, id_col, text_col, size, shingle))
+    order = F.struct(F.col("id").isNull().alias("lost"), "id", "size", "file", "row", "n", "sketch")
+    # a row a kind of text: rows that share all fingerprints and the set of shingles are one group
+    kinds = prints.groupBy("fp", "w", "w2", "total").agg(F.min(order).alias("best"))
     roots = connected_components(links(prints))
     placed = durable(kinds.join(roots, kinds.fp == roots.node, "left").select("w", "w2", "best", F.coalesce("root", "fp").alias("root"), F.xxhash64("best.file", "best.row").alias("no")))
     if least is not None:
-        pairs = durable(_wide_candidates(placed.select("no", "root", "w", "w2")))
-        real = _similar(docs, text_col, pairs, placed.select("no", "best.file", "best.row"), least, shingle)
-        at = placed.select("no", "root")
-        edges = real.join(at.select(F.col("no").alias("u"), F.col("root").alias("a")), "u").join(at.select(F.col("no").alias("v"), F.col("root").alias("b")), "v")
-        joined = connected_components(edges, "a", "b").withColumnRenamed("root", "top")
-        placed = placed.join(joined, placed.root == joined.node, "left").select("best", F.coalesce("top", "root").alias("root"))
+        keys = placed.select("no", "best.file", "best.row")
+        pairs, crowded = _wide_candidates(placed.select("no", "root", "w", "w2"))
+        placed, most, waiting = _joined(placed, _similar(docs, text_col, durable(pairs), keys, least, shingle)), FIRST_TRY, True
+        while waiting:
+            pairs, waiting = _apart(crowded, placed.select("no", "root", "w", "w2", "best.n", "best.sketch"), least, most)
+            placed, most = _joined(placed, _similar(docs, text_col, pairs, keys, least, shingle)), 8 * most
     return placed.groupBy("root").agg(F.min("best").alias("best")).select("best.file", "best.row")
 
 
+def _joined(placed: DataFrame, real: DataFrame) -> DataFrame:
+    """``placed`` with the groups of ``real(u, v)`` under one root."""
+    at = placed.select("no", "root")
+    edges = real.join(at.select(F.col("no").alias("u"), F.col("root").alias("a")), "u").join(at.select(F.col("no").alias("v"), F.col("root").alias("b")), "v")
+    joined = connected_components(edges, "a", "b").withColumnRenamed("root", "top")
+    return durable(placed.join(joined, placed.root == joined.node, "left").select("w", "w2", "best", F.coalesce("top", "root").alias("root"), "no"))
+
+
 CHUNK = 1 << 16  # rows of a file that one bitmap holds
 BITMAP_BYTES = 64 << 20  # bitmaps of survivors are broadcast up to this size, half a billion rows of input
 

@@ -302,3 +302,58 @@ def test_a_hot_pattern_is_spread(spark):
     for i, lists in one.items():
         m, hot = i % 100, i % 3 > 0
         assert set(lists) == ({"l1"} if hot and 10 <= m < 50 else set()) | ({"l2"} if m >= 30 or i == 9 else set())
+
+
+def test_no_pair_of_a_crowded_posting_is_left_out(spark, tmp_path, monkeypatch):
+    """Groups equal brute force over all pairs that share a posting, in one large family of edited copies and their twins."""
+    rng = np.random.default_rng(11)
+    words = [f"w{i}" for i in range(4000)]
+    base, texts = rng.choice(words, 180), []
+    for _ in range(300):
+        t = base.copy()
+        for some in (rng.integers(3, 9), rng.integers(2, 4)):  # far from the others, then near its own twin
+            t[rng.choice(len(t), some, replace=False)] = rng.choice(words, some)
+            texts.append(" ".join(t))
+    spark.createDataFrame([(i, texts[i]) for i in rng.permutation(len(texts)).tolist()], "doc_id long, text string").repartition(3).write.parquet(str(tmp_path / "docs"))
+    docs = spark.read.parquet(str(tmp_path / "docs"))
+
+    raw, off = np.frombuffer("".join(texts).encode(), np.uint8), np.concatenate([[0], np.cumsum([len(t) for t in texts])])
+    h, n = simhash.shingle_hashes(raw, off, 2)
+    wide = np.stack([simhash.majority(h, n), simhash.majority(simhash.remixed(h), n)], axis=1)
+    fp = simhash.fingerprints_of(raw, off)
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(str.split, texts)]
+    places = simhash.position_sets(16)
+    parent = list(range(len(texts)))
+
+    def find(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i in range(len(texts)):
+        for j in range(i):
+            far, like = wide[i] ^ wide[j], False
+            if int(np.bitwise_count(far).sum()) <= simhash.WIDE_RADIUS:
+                same = set(np.flatnonzero(far.view(np.uint8) == 0).tolist())
+                like = any(same.issuperset(c) for c in places) and 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j])
+            if like or int(fp[i] ^ fp[j]).bit_count() <= 3:
+                parent[max(find(i), find(j))] = min(find(i), find(j))
+    want = {find(i) for i in range(len(texts))}
+
+    def kept():
+        return {r.doc_id for r in simhash.keep_one(docs, least=0.8, shingle=5).collect()}
+
+    assert 50 < len(want) < 590
+    assert kept() == want
+    monkeypatch.setattr(simhash, "CROWD", 64)  # several cells a posting, and pairs that wait
+    monkeypatch.setattr(simhash, "FIRST_TRY", 1)
+    assert kept() == want
+
+
+def test_sketches_bound_the_difference_of_sets():
+    rng = np.random.default_rng(5)
+    sets = [np.unique(rng.integers(0, 400, k).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) for k in (0, 1, 30, 300, 300, 900)]
+    s = simhash.sketches(np.concatenate(sets), np.array([len(x) for x in sets]))
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets):
+            assert np.bitwise_count(s[i] ^ s[j]).sum() <= len(np.setxor1d(a, b))
