@@ -492,7 +492,7 @@ def _apart(crowded: DataFrame, members: DataFrame, least: float, most: int) -> t
 
     A posting of more than ``CROWD`` members is dealt in blocks, a cell for every two of them.
     """
-    rows = crowded.join(members.select("no", "root", "w", "w2"), ["w", "w2"])
+    rows = durable(crowded.join(members.select("no", "root", "w", "w2"), ["w", "w2"]))  # a row a listed member, read twice below but joined once
     open_ = rows.groupBy("combo", "key").agg(F.count("*").alias("of"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("combo", "key", F.ceil(F.col("of") / CROWD).cast("int").alias("blocks"))
     block = F.pmod(F.xxhash64("no"), F.col("blocks")).cast("int")
     dealt = rows.join(open_, ["combo", "key"]).withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
