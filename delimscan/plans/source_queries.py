@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources.datasource import register
-from ..sources.files import fresh_path
+from ..sources.files import fresh_path, spread
 from . import measures
 from .parse_queries import NATION, _seeded
 from .reader import aligned_ranges
@@ -89,7 +89,7 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     """Seconds and share of each kernel step over all blocks of the numeric set, for several lane sizes."""
     path = fixture(spark, sf_dir, "num17")
-    one = measures.step_seconds(aligned_ranges(_seeded(spark, path, split_size(spark, path))), (15, 31, 64, 256), len(frame(spark, sf_dir, "num17").columns))
+    one = measures.step_seconds(spread(aligned_ranges(_seeded(spark, path, split_size(spark, path)))), (15, 31, 64, 256), len(frame(spark, sf_dir, "num17").columns))
     total = one.groupBy("lane", "step").agg(F.sum("seconds").alias("seconds"))
     return total.withColumn("share", F.col("seconds") / F.sum("seconds").over(Window.partitionBy("lane")))  # a row a step
 
