@@ -196,3 +196,16 @@ def test_utf16_slices(big):
 
 def test_align():
     assert chunking.align(4, 31) == 28 and chunking.align(4, 3) == 4 and chunking.bytewise_safe(",", "\n") and not chunking.bytewise_safe("§")
+
+
+def test_starts_that_agree_share_the_summary_of_later_lanes(monkeypatch):
+    """Symbols of later lanes were summed again for every start state, however many of them agree."""
+    dfa, seen = compile_dialect("rfc4180"), []
+    summed = kernel._summed
+    monkeypatch.setattr(kernel, "_summed", lambda classes, *a: seen.append(len(classes)) or summed(classes, *a))
+    data = np.frombuffer(b'1,"a, b",c\n' * 400, np.uint8)
+    n, lane = len(kernel.Lanes(data, dfa, 16).symbols), 16
+    got = kernel.summarize(data, dfa, lane)
+    assert sum(seen) < dfa.n_states * lane + dfa.n_states / 2 * n
+    whole = [kernel.summarize(data, dfa, n + 1)[s] for s in range(dfa.n_states)]  # one lane
+    assert got == whole
